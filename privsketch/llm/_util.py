@@ -6,6 +6,7 @@ Everything an operator keeps between jobs is a Parquet table under the folder th
 
 from __future__ import annotations
 
+import gc
 import os
 import re
 import tempfile
@@ -80,6 +81,7 @@ def width(spark: SparkSession) -> int:
 
 def slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int = 8 << 20) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
     """Row slices of at most about ``limit`` characters (one row at least), with the texts (null: empty)."""
+    gc.set_threshold(500_000, 20, 20)  # the word memories hold many small objects and no cycles
     for batch in batches:
         texts = ["" if t is None else t for t in batch.column(column).to_pylist()]
         at, size = 0, 0

@@ -11,7 +11,6 @@ Null and empty texts are one end mark. Sequence numbers are unique over the tabl
 
 from __future__ import annotations
 
-import os
 import zlib
 
 import numpy as np
@@ -20,25 +19,36 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from ._util import Recent, ship, slices
-from .token_counts import _CHUNK, _ODD, CACHE
+from .token_counts import _CHUNK, _ODD, CACHE, WordCounter
 
 WINDOW, END, SHARD_IDS, COLUMNS = 2048, 1, 4_000_000, 20_000
 
 
 class WordIds:
-    """Little-endian ids of texts by the library, remembered chunk by chunk (no match crosses white space)."""
+    """Little-endian ids of texts, remembered chunk by chunk (no match crosses white space): merged rank by rank as for token
+    counts, with the library itself for chunks that hold a special string."""
 
     def __init__(self, path: str):
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        self.library, self.known = Tokenizer.from_file(path), Recent(CACHE)
+        self.path, self.counter, self.known = path, WordCounter(path), Recent(CACHE)
+
+    def learn(self, chunks: list[str]) -> None:
+        special = [c for c in chunks if "<|" in c and self.counter.specials.search(c)]
+        if special:
+            from tokenizers import Tokenizer
+
+            library = Tokenizer.from_file(self.path)
+            self.known.now.update((c, np.array(library.encode(c, add_special_tokens=False).ids, "<u4").tobytes()) for c in special)
+            chunks = list(set(chunks) - set(special))
+        ids, counts, per = self.counter.symbols(chunks)
+        data = ids.astype("<u4").tobytes()
+        end = np.cumsum(counts * 4).tolist()
+        word = [data[a:b] for a, b in zip([0, *end], end, strict=False)]
+        self.known.now.update(zip(chunks, (word[p[0]] if len(p) == 1 else b"".join([word[w] for w in p]) for p in per), strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         split = [_CHUNK.findall(t) if _ODD.search(t) else t.split() for t in texts]
         if new := self.known.missing(set().union(*split)):
-            codes = self.library.encode_batch_fast(new, add_special_tokens=False)
-            self.known.now.update(zip(new, (np.array(c.ids, "<u4").tobytes() for c in codes), strict=True))
+            self.learn(new)
         get = self.known.now.__getitem__
         return [b"".join(map(get, s)) for s in split]
 

@@ -34,36 +34,55 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in plain else chr(next(spare)) for b in range(256)]
 
 
-def merge_counts(ids: np.ndarray, lengths: np.ndarray, ranks: HashTable, merged: np.ndarray, base: int) -> np.ndarray:
-    """Symbols that survive in each ragged sequence (all lengths positive)."""
-    out, alive = lengths.astype(np.int64), np.arange(len(lengths))
-    lengths = out.copy()
+def merge_ranked(ids: np.ndarray, lengths: np.ndarray, ranks: HashTable, merged: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray]:
+    """Symbols that survive in each ragged sequence (all lengths positive), end to end, and how many there are of each."""
     none = len(merged)
+    lengths, alive = lengths.astype(np.int64), np.arange(len(lengths))
+    counts, ready = np.zeros(len(lengths), np.int64), []
+
+    def rank_of(at: np.ndarray) -> np.ndarray:
+        found = ranks.get(ids[at].astype(np.uint64) * np.uint64(base) + ids[at + 1].astype(np.uint64))
+        return np.where(found < 0, none, found)
+
+    ends = np.cumsum(lengths) - 1
+    inner = np.ones(len(ids), bool)
+    inner[ends] = False
+    rank = np.full(len(ids), none, np.int64)
+    rank[inner] = rank_of(np.flatnonzero(inner))
     while len(alive):
-        starts = np.r_[0, np.cumsum(lengths)[:-1]]
-        rank = np.full(len(ids), none, np.int64)
-        if len(ids) > 1:
-            found = ranks.get(ids[:-1].astype(np.uint64) * np.uint64(base) + ids[1:].astype(np.uint64))
-            rank[:-1] = np.where(found < 0, none, found)
-        rank[starts + lengths - 1] = none
-        low = np.minimum.reduceat(rank, starts)
+        low = np.minimum.reduceat(rank, np.r_[0, np.cumsum(lengths)[:-1]])
         go = low < none
-        out[alive[~go]] = lengths[~go]
-        stay = np.repeat(go, lengths)
-        ids, rank, lengths, low, alive = ids[stay], rank[stay], lengths[go], low[go], alive[go]
-        if not len(alive):
-            break
+        if not go.all():
+            stay = np.repeat(go, lengths)
+            counts[alive[~go]] = lengths[~go]
+            ready.append((alive[~go], lengths[~go], ids[~stay]))
+            ids, rank, lengths, low, alive = ids[stay], rank[stay], lengths[go], low[go], alive[go]
+            if not len(alive):
+                break
         hit = np.flatnonzero(rank == np.repeat(low, lengths))
         run = np.cumsum(np.r_[True, np.diff(hit) > 1]) - 1
         first = hit[np.r_[True, np.diff(run) > 0]]
         hit = hit[((hit - first[run]) & 1) == 0]  # of overlapping pairs, the leftmost
         ids[hit] = merged[rank[hit]]
-        gone = np.zeros(len(ids), bool)
-        gone[hit + 1] = True
+        keep = np.ones(len(ids), bool)
+        keep[hit + 1] = False
         owner = np.repeat(np.arange(len(lengths)), lengths)
-        lengths = lengths - np.bincount(owner[hit + 1], minlength=len(lengths))
-        ids = ids[~gone]
-    return out
+        lengths = lengths - np.bincount(owner[hit], minlength=len(lengths))
+        ids, rank = ids[keep], rank[keep]
+        hit = hit - np.arange(len(hit))
+        stale = np.zeros(len(ids) + 1, bool)
+        stale[hit] = True
+        stale[hit - 1] = True  # -1 is the spare place
+        stale = stale[:-1]
+        rank[stale] = none
+        stale[np.cumsum(lengths) - 1] = False
+        near = np.flatnonzero(stale)
+        rank[near] = rank_of(near)
+    out = np.empty(int(counts.sum()), np.int64)
+    begin = np.cumsum(counts) - counts
+    for who, size, flat in ready:
+        out[np.repeat(begin[who] - (np.cumsum(size) - size), size) + np.arange(len(flat))] = flat
+    return out, counts
 
 
 class WordCounter:
@@ -90,26 +109,31 @@ class WordCounter:
         chunk = unicodedata.normalize("NFC", chunk)
         return "".join(c.lower() for c in chunk) if "Σ" in chunk else chunk.lower()
 
-    def learn(self, chunks: list[str]) -> None:
+    def symbols(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray, list[tuple[int, ...]]]:
+        """Surviving ids of the distinct pre-tokens end to end, their counts, and the pre-tokens of each chunk. Letters with at
+        most a comma or full stop behind need no pattern."""
         words: dict[str, int] = {}
-        per, sizes = [], []
+        place, per = words.setdefault, []
         for c in chunks:
-            found = self.pattern.findall(self.normal(c))
-            sizes.append(len(found))
-            per += [words.setdefault(w, len(words)) for w in found]
-        if not words:
-            self.known.now.update(dict.fromkeys(chunks, 0))
-            return
+            c = c.lower() if c.isascii() else self.normal(c)
+            if c.isalpha():
+                per.append((place(c, len(words)),))
+            elif c[-1] in ",." and c[:-1].isalpha():
+                per.append((place(c[:-1], len(words)), place(c[-1], len(words))))
+            else:
+                per.append(tuple([place(w, len(words)) for w in self.pattern.findall(c)]))
         raw = [w.encode("utf-8", "surrogatepass") for w in words]
-        lengths = np.array([len(w) for w in raw], np.int64)
+        lengths = np.fromiter(map(len, raw), np.int64, len(raw))
         data = np.frombuffer(b"".join(raw), np.uint8)
         ids = self.first[data]
         ends = np.cumsum(lengths) - 1
         ids[ends] = self.last[data[ends]]
-        counts = merge_counts(ids, lengths, self.ranks, self.merged, self.base)
-        total = np.r_[0, np.cumsum(counts[per])] if per else np.zeros(1, np.int64)
-        at = np.r_[0, np.cumsum(sizes)]
-        self.known.now.update(zip(chunks, (total[at[1:]] - total[at[:-1]]).tolist(), strict=True))
+        return *merge_ranked(ids, lengths, self.ranks, self.merged, self.base), per
+
+    def learn(self, chunks: list[str]) -> None:
+        _, counts, per = self.symbols(chunks)
+        count = counts.tolist()
+        self.known.now.update(zip(chunks, (count[p[0]] if len(p) == 1 else sum([count[w] for w in p]) for p in per), strict=True))
 
     def count(self, texts: list[str]) -> list[int]:
         split, extra = [], []
