@@ -10,7 +10,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, language_id, media_ogg, packing, token_counts
+from . import byte_bpe, language_id, media_ogg, packing, token_counts, toxicity
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,6 +25,10 @@ def op2_media_ogg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_ogg.media_rows(documents(spark, sf_dir))
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"), hold=(3, 1))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -38,7 +42,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_token_counts, op2_media_ogg, op7_packing, op8_language_id, op10_byte_bpe]
+    found = [op1_token_counts, op2_media_ogg, op6_toxicity, op7_packing, op8_language_id, op10_byte_bpe]
     return {f.__name__: f for f in found}
 
 
