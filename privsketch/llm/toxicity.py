@@ -30,7 +30,7 @@ from ._util import Recent, ship, slices
 from .language_id import held_out
 
 DECAY, SPAN, ALPHABET, LONGEST = 0.6, 7, 40, 24
-SAMPLE_DOCS, LANDMARKS, ROUNDS, COST, THRESHOLD, CACHE = 2500, 512, 5, 5.0, 0.7, 300_000
+SAMPLE_DOCS, LANDMARKS, ROUNDS, COST, THRESHOLD, CACHE = 2500, 384, 4, 5.0, 0.7, 300_000
 _OFFSETS = [(i, j) for j in range(2, SPAN) for i in range(1, j)]
 _WORD, _OTHER = re.compile(r"[^\x20\x09-\x0D]+"), re.compile(r"[\W\d_]+")
 
@@ -82,11 +82,12 @@ def subsequences(units: list[str]):
 
 
 def dense(units: list[str]) -> np.ndarray:
-    """Normalised explicit feature rows (for landmarks: few units)."""
-    out = np.zeros((len(units), ALPHABET**3))
+    """Normalised explicit features of landmarks, one column each."""
+    out = np.zeros((ALPHABET**3, len(units)), np.float32)
     for u, f, w in subsequences(units):
-        np.add.at(out, (u, f), w)
-    return out / np.maximum(np.linalg.norm(out, axis=1, keepdims=True), 1e-12)
+        np.add.at(out, (f, u), np.float32(w))
+    out /= np.maximum(np.sqrt((out * out).sum(0)), 1e-12)
+    return out
 
 
 def norms(units: list[str]) -> np.ndarray:
@@ -113,16 +114,16 @@ def values(units: list[str], weights: np.ndarray, bias: float) -> np.ndarray:
 
 
 def kernel(units: list[str], landmarks: np.ndarray) -> np.ndarray:
-    """Kernel of units against dense landmark rows."""
-    table, out = np.ascontiguousarray(landmarks.T), np.zeros((len(units), len(landmarks)))
-    for at in range(0, len(units), 2000):
-        some = units[at : at + 2000]
-        part = np.zeros((len(some), len(landmarks)))
+    """Kernel of units against landmark columns."""
+    out = np.zeros((len(units), landmarks.shape[1]), np.float32)
+    for at in range(0, len(units), 500):
+        some = units[at : at + 500]
+        part = out[at : at + 500]
         for u, f, w in subsequences(some):
             starts = np.flatnonzero(np.r_[True, u[1:] != u[:-1]])
-            if len(starts):
-                part[u[starts]] += w * np.add.reduceat(table[f], starts, axis=0)
-        out[at : at + 2000] = part / np.maximum(norms(some), 1e-12)[:, None]
+            if len(starts) and len(u):
+                part[u[starts]] += np.float32(w) * np.add.reduceat(landmarks[f], starts, axis=0)
+        part /= np.maximum(norms(some), 1e-12)[:, None]
     return out
 
 
@@ -223,7 +224,7 @@ def train(bags: list[tuple[list[str], int]]) -> Machine:
         near = hard[np.argsort(-value[hard], kind="stable")][: LANDMARKS // 4].tolist() if value is not None else []
         spread = rng.choice(hard, min(len(hard), LANDMARKS - len(tops) - len(near)), replace=False).tolist()
         landmarks = dense([names[i] for i in dict.fromkeys(tops + near + spread)])
-        size, base = np.linalg.eigh(landmarks @ landmarks.T)
+        size, base = np.linalg.eigh((landmarks.T @ landmarks).astype(float))
         good = size > 1e-4
         root = base[:, good] / np.sqrt(size[good])
         x = kernel([names[i] for i in [*chosen.tolist(), *hard.tolist()]], landmarks) @ root
@@ -231,8 +232,8 @@ def train(bags: list[tuple[list[str], int]]) -> Machine:
         gain, harm = np.minimum(weight, 20.0), np.sqrt(c[hard])
         cost = np.r_[gain / gain.sum(), 2 * harm / harm.sum()] * COST * len(hard)
         w, bias = support_vector(x, y, cost)
-        folded = landmarks.T @ (root @ w)
-        value = np.concatenate([values(names[i : i + 50_000], folded, bias) for i in range(0, len(names), 50_000)])
+        folded = landmarks @ (root @ w)
+        value = np.concatenate([values(names[i : i + 10_000], folded, bias) for i in range(0, len(names), 10_000)])
         hard = np.union1d(hard, seen[np.argsort(-value[seen], kind="stable")][:2500])
     floor = float(min(bias, np.median(value[seen])))
     top = np.array([evidence(value[p], floor) for p in positive + negative])
@@ -260,7 +261,7 @@ _MACHINES: dict[str, Machine] = {}
 
 def fit(docs: DataFrame, labels: DataFrame, hold=(3, 1), sample_docs: int = SAMPLE_DOCS) -> Machine:
     """Machine from labelled texts (conflicting labels of a document: toxic wins)."""
-    spark = ship(docs.sparkSession)
+    ship(docs.sparkSession)
     marks = labels.selectExpr("cast(doc_id as long) doc_id", "cast(toxic as int) toxic").filter("doc_id is not null and toxic is not null")
     if hold:
         marks = marks.filter(~held_out(*hold))
@@ -272,11 +273,13 @@ def fit(docs: DataFrame, labels: DataFrame, hold=(3, 1), sample_docs: int = SAMP
     def work(batches):
         for batch, texts in slices(batches):
             sets = [sorted({u for w in [*_WORD.findall(t), *spelled(t)] for u in units_of_token(w)}) for t in texts]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sets, pa.list_(pa.string())), batch.column("toxic")], names=["doc_id", "units", "toxic"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([" ".join(x) for x in sets]), batch.column("toxic")], names=["doc_id", "units", "toxic"])
 
-    got = rows.mapInArrow(work, "doc_id long, units array<string>, toxic int").toArrow().sort_by([("doc_id", "ascending")])
-    del spark
-    return train(list(zip(got["units"].to_pylist(), got["toxic"].to_pylist(), strict=True)))
+    names: dict[str, str] = {}  # one copy of each unit
+    bags = []
+    for r in rows.mapInArrow(work, "doc_id long, units string, toxic int").orderBy("doc_id").toLocalIterator():
+        bags.append(([names.setdefault(u, u) for u in r[1].split(" ")] if r[1] else [], r[2]))
+    return train(bags)
 
 
 def with_score(docs: DataFrame, machine: Machine, carry: list[str]) -> DataFrame:
