@@ -182,3 +182,12 @@ class Recent:
             self.now.update(zip(old, map(self.before.__getitem__, old), strict=True))
             new -= old
         return list(new)
+
+
+def tabled(work, fields: str, sides: int = 1):
+    """A grouped (or cogrouped) Arrow function from a generator ``work(key, batches...)`` of batches with ``fields``."""
+    kinds = {"int": pa.int32(), "long": pa.int64(), "string": pa.string(), "binary": pa.binary(), "double": pa.float64(), "boolean": pa.bool_()}
+    schema = pa.schema([(n, kinds[k]) for n, k in (f.split() for f in fields.split(", "))])
+    if sides == 1:
+        return lambda key, table: pa.Table.from_batches(list(work(key, table.to_batches())), schema)
+    return lambda key, left, right: pa.Table.from_batches(list(work(key, left.to_batches(), right.to_batches())), schema)

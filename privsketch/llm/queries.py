@@ -10,7 +10,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, embedding_cover, language_id, media_ogg, packing, simhash, token_counts, toxicity
+from . import byte_bpe, embedding_cover, language_id, lm_score, media_ogg, packing, simhash, token_counts, toxicity
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -29,6 +29,10 @@ def op3_embedding_cover(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embedding_cover.near_duplicates(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), 0.95)
 
 
+def op4_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_score.score(documents(spark, sf_dir), hold=(7, 2))
+
+
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(documents(spark, sf_dir), 2).select("doc_id", "fingerprint", "component_id")
 
@@ -50,7 +54,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_token_counts, op2_media_ogg, op3_embedding_cover, op5_simhash, op6_toxicity, op7_packing, op8_language_id, op10_byte_bpe]
+    found = [op1_token_counts, op2_media_ogg, op3_embedding_cover, op4_lm_score, op5_simhash, op6_toxicity, op7_packing, op8_language_id, op10_byte_bpe]
     return {f.__name__: f for f in found}
 
 
