@@ -10,7 +10,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, embedding_cover, language_id, lm_score, media_ogg, packing, simhash, token_counts, toxicity
+from . import byte_bpe, embedding_cover, language_id, lm_score, media_ogg, packing, simhash, suffix_dedup, token_counts, toxicity
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -49,12 +49,16 @@ def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(documents(spark, sf_dir), hold=(4, 2))
 
 
+def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.deduplicate(documents(spark, sf_dir)).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.encode_digests(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_token_counts, op2_media_ogg, op3_embedding_cover, op4_lm_score, op5_simhash, op6_toxicity, op7_packing, op8_language_id, op10_byte_bpe]
+    found = [op1_token_counts, op2_media_ogg, op3_embedding_cover, op4_lm_score, op5_simhash, op6_toxicity, op7_packing, op8_language_id, op9_suffix_dedup, op10_byte_bpe]
     return {f.__name__: f for f in found}
 
 
