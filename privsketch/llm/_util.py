@@ -52,7 +52,12 @@ def drop(df: DataFrame) -> None:
         jvm = df.sparkSession.sparkContext._jvm
         at = jvm.org.apache.hadoop.fs.Path(path)
         at.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-    df.sparkSession.sparkContext._jvm.System.gc()
+
+
+def free_shuffles(spark: SparkSession) -> None:
+    """Shuffle files go when the driver collects the plans that made them; between heavy passes that should be now."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def ship(spark: SparkSession, batch_rows: int = 2000) -> SparkSession:

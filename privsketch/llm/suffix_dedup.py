@@ -3,6 +3,8 @@
 A document byte goes when a ``SPAN``-byte string over it also starts in a document with a smaller doc_id. Strings are found in three
 passes over blocks of documents.
 
+Later copies of a whole text are found by digest and lose everything, so they take no part in the passes.
+
 1. Every string contains an anchor: the ``GRAM``-byte window with the least hash. A block sends the distinct anchors of its strings,
    packed by hash range; a range's task answers which occur in more than one document, one bit an anchor.
 2. Blocks send the runs of strings with a shared anchor, with their text and smallest document, to the anchor's range. There the text
@@ -27,7 +29,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._util import drop, keep, ship, tabled, width
+from ._util import drop, free_shuffles, keep, ship, tabled, width
 
 SPAN, GRAM, PERIOD = 50, 24, 16
 #: Residues whose differences give every residue of the period.
@@ -190,8 +192,8 @@ def sort_suffixes(buf: bytes, at: np.ndarray, rank: np.ndarray, n: int) -> np.nd
     return at[np.lexsort((-at, group))]
 
 
-def least_origin(pieces: list[bytes], counts: np.ndarray, origin: np.ndarray, span: int = SPAN) -> list[np.ndarray]:
-    """For pieces of text whose first ``counts`` positions start strings: the smallest origin of each string."""
+def least_origin(pieces: list[bytes], counts: np.ndarray, origin: np.ndarray, span: int = SPAN) -> np.ndarray:
+    """For pieces of text whose first ``counts`` positions start strings: the smallest origin of each string, end to end."""
     gap = span + 2 * PERIOD
     sizes = np.fromiter(map(len, pieces), np.int64, len(pieces)) + 1
     begin = np.cumsum(sizes) - sizes
@@ -212,48 +214,88 @@ def least_origin(pieces: list[bytes], counts: np.ndarray, origin: np.ndarray, sp
         head = np.flatnonzero(np.r_[True, ~same])
         low = np.minimum.reduceat(who[place[order]], head)
         out[place[order]] = np.repeat(low, np.diff(np.r_[head, len(order)]))
-    return np.split(out, np.cumsum(counts)[:-1]) if len(counts) else []
+    return out
 
 
 # --- the three passes ---------------------------------------------------------------------------------------------------
 
 ANCHORS = "part int, block long, keys binary, many binary"
-SHARED = "block long, part int, bits binary"
-RUNS = "part int, block long, anchors binary, starts binary, counts binary, origins binary, text binary"
-MARKS = "block long, starts binary, counts binary"
+REPLY = "block long, part int, one binary, two binary"
+RUNS = "part int, block long, anchors binary, starts binary, counts binary, owners binary, origins binary, text binary"
 
 
-def blocks(docs: DataFrame, carry: list[str], size: int) -> DataFrame:
-    """Rows with a ``block``: a hash of doc_id over blocks of about ``size`` bytes."""
+def blocks(docs: DataFrame, carry: list[str], size: int) -> tuple[DataFrame, int]:
+    """Rows with a ``block``: a hash of doc_id over blocks of about ``size`` bytes; and the bytes of all."""
     spark = docs.sparkSession
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("origin"), F.coalesce(F.col("text"), F.lit("")).alias("body"), "doc_id", *carry)
     total = rows.agg(F.sum(F.octet_length("body"))).first()[0] or 0
     many = max(width(spark), -(-total // size))
-    return rows.withColumn("block", F.pmod(F.xxhash64("origin"), F.lit(many)))
+    return rows.withColumn("block", F.pmod(F.xxhash64("origin"), F.lit(many))), total
+
+
+def later_copies(rows: DataFrame) -> DataFrame:
+    """``block, part`` (-1)``, one, two``: origins of texts that an earlier document has as well, one row each; texts do not move."""
+    marks = rows.select("block", "origin", F.sha2(F.col("body").cast("binary"), 256).alias("digest"))
+    first = marks.groupBy("digest").agg(F.min("origin").alias("first"), F.max("origin").alias("last")).filter("last > first").select("digest", "first")
+    late = marks.join(first, "digest").filter("origin > first")
+    return late.select("block", F.lit(-1).alias("part"), F.col("origin").cast("string").cast("binary").alias("one"), F.lit(None).cast("binary").alias("two"))
+
+
+def _texts(batches) -> tuple[list[int], list[bytes]]:
+    """Origins and texts of a block in order."""
+    got = []
+    for b in batches:
+        got += zip(b.column("origin").to_pylist(), (t.encode("utf-8", "surrogatepass") for t in b.column("body").to_pylist()), strict=True)
+    got.sort()
+    return [o for o, _ in got], [t for _, t in got]
+
+
+def _replies(batches) -> tuple[set[int], list[tuple[int, bytes, bytes]]]:
+    """Origins of later copies, and the other rows as (part, one, two)."""
+    late, rest = set(), []
+    for b in batches:
+        for part, one, two in zip(*(b.column(c).to_pylist() for c in ("part", "one", "two")), strict=True):
+            if part < 0:
+                late.add(int(one))
+            else:
+                rest.append((part, one, two))
+    return late, rest
+
+
+def _ints(data: bytes) -> np.ndarray:
+    return np.frombuffer(zstandard.decompress(data), np.int32).astype(np.int64)
 
 
-def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPAN, size: int = 8_000_000) -> DataFrame:
+def _shrink(values: np.ndarray) -> bytes:
+    return zstandard.compress(values.astype(np.int32).tobytes(), 1)
+
+
+def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPAN, size: int = 8_000_000, part_size: int = 6_000_000) -> DataFrame:
     """``doc_id``, the ``carry`` columns, ``n_bytes, n_removed, n_spans, kept_sha256`` and the remaining ``kept`` bytes."""
     spark = ship(docs.sparkSession)
     carry = carry or []
-    rows = blocks(docs, carry, size)
-    parts = max(width(spark), 2)
-    inside = rows.select("block", "origin", "body")
-
-    def sorted_block(batches):
-        """Origins and texts of a block in order."""
-        got = []
-        for b in batches:
-            got += zip(b.column("origin").to_pylist(), (t.encode("utf-8", "surrogatepass") for t in b.column("body").to_pylist()), strict=True)
-        got.sort()
-        return [o for o, _ in got], [t for _, t in got]
-
-    def send_anchors(key, batches):
-        origin, texts = sorted_block(batches)
-        _, begin, anchor, start, _ = runs(texts, span)
-        owner = np.array(origin, np.int64)[np.searchsorted(begin, start, side="right") - 1] if len(start) else start
+    rows, total = blocks(docs, carry, size)
+    parts = max(width(spark), 2, -(-total // part_size))
+    copies = keep(later_copies(rows), "copies")
+    inside = rows.select("block", "origin", "body").groupBy("block")
+
+    def sources(left, right):
+        """Texts of a block without later copies, their runs, and the replies."""
+        late, rest = _replies(right)
+        origin, texts = _texts(left)
+        use = [i for i, o in enumerate(origin) if o not in late]
+        own = np.array([origin[i] for i in use], np.int64)
+        # positions are those of the whole block, in order
+        sizes = np.fromiter(map(len, texts), np.int64, len(texts))
+        at = (np.cumsum(sizes) - sizes)[use]
+        buf, begin, anchor, start, count = runs([texts[i] for i in use], span)
+        owner = np.searchsorted(begin, start, side="right") - 1
+        return buf, own, at - begin, anchor, start, count, owner, rest
+
+    def send_anchors(key, left, right):
+        _, own, _, anchor, _, _, owner, _ = sources(left, right)
         order = np.argsort(anchor, kind="stable")
-        anchor, owner = anchor[order], owner[order]
+        anchor, owner = anchor[order], own[owner[order]] if len(own) else owner
         head = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]]) if len(anchor) else np.zeros(0, int)
         if not len(head):
             return
@@ -271,102 +313,98 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
             got += zip(b.column("block").to_pylist(), b.column("keys").to_pylist(), b.column("many").to_pylist(), strict=True)
         keys = [_unpack(k) for _, k, _ in got]
         every = np.concatenate(keys)
-        flags = np.concatenate([np.unpackbits(np.frombuffer(m, np.uint8), count=len(k)).astype(bool) for k, (_, _, m) in zip(keys, got, strict=True)])
+        shared = np.concatenate([np.unpackbits(np.frombuffer(m, np.uint8), count=len(k)).astype(bool) for k, (_, _, m) in zip(keys, got, strict=True)])
         order = np.argsort(every, kind="stable")
         s = every[order]
         more = np.zeros(len(s), bool)
         more[1:] |= s[1:] == s[:-1]
         more[:-1] |= s[1:] == s[:-1]
-        shared = flags.copy()
         shared[order] |= more
-        # a flag of one block holds for all, as its other document is elsewhere
         at = 0
         for k, (block, _, _) in zip(keys, got, strict=True):
-            yield _row(SHARED, block, key[0].as_py(), np.packbits(shared[at : at + len(k)]).tobytes())
+            yield _row(REPLY, block, key[0].as_py(), np.packbits(shared[at : at + len(k)]).tobytes(), b"")
             at += len(k)
 
     def send_runs(key, left, right):
-        bits = {p: x for b in right for p, x in zip(b.column("part").to_pylist(), b.column("bits").to_pylist(), strict=True)}
-        origin, texts = sorted_block(left)
-        buf, begin, anchor, start, count = runs(texts, span)
+        buf, own, moved, anchor, start, count, owner, rest = sources(left, right)
         if not len(anchor):
             return
+        bits = {p: one for p, one, _ in rest}
         names = np.unique(anchor)
         cut = np.searchsorted(names, _bounds(parts))
         shared = np.concatenate([np.unpackbits(np.frombuffer(bits[p], np.uint8), count=int(cut[p + 1] - cut[p])).astype(bool) for p in range(parts) if cut[p] < cut[p + 1]])
-        use = shared[np.searchsorted(names, anchor)]
-        anchor, start, count = anchor[use], start[use], count[use]
-        owner = np.array(origin, np.int64)[np.searchsorted(begin, start, side="right") - 1] if len(start) else start
-        order = np.argsort(anchor, kind="stable")
-        anchor, start, count, owner = anchor[order], start[order], count[order], owner[order]
-        cut = np.searchsorted(anchor, _bounds(parts))
+        use = np.flatnonzero(shared[np.searchsorted(names, anchor)])
+        part = np.searchsorted(_bounds(parts)[1:-1], anchor[use], side="right")
+        use = use[np.argsort(part, kind="stable")]
+        cut = np.searchsorted(np.sort(part), np.arange(parts + 1))
         for p in range(parts):
-            a, b = int(cut[p]), int(cut[p + 1])
-            if a < b:
-                size_ = count[a:b] + span - 1
-                text = b"".join([buf[i : i + n] for i, n in zip(start[a:b].tolist(), size_.tolist(), strict=True)])
-                yield _row(RUNS, p, key[0].as_py(), anchor[a:b].tobytes(), start[a:b].astype(np.int32).tobytes(), count[a:b].astype(np.int32).tobytes(), owner[a:b].tobytes(), zstandard.compress(text, 1))
+            some = use[cut[p] : cut[p + 1]]
+            if len(some):
+                length = count[some] + span - 1
+                text = b"".join([buf[i : i + n] for i, n in zip(start[some].tolist(), length.tolist(), strict=True)])
+                who, owners = np.unique(owner[some], return_inverse=True)
+                yield _row(RUNS, p, key[0].as_py(), (anchor[some] & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes(), _shrink(np.diff(start[some] + moved[owner[some]], prepend=0)), _shrink(count[some]), _shrink(np.diff(owners, prepend=0)), own[who].tobytes(), zstandard.compress(text, 3))
 
     def compare(key, batches):
         held: list[tuple[int, np.ndarray, np.ndarray, np.ndarray]] = []
         pieces: dict[bytes, int] = {}
         index, anchors = [], []
         for b in batches:
-            for block, names, starts, counts, origins, text in zip(*(b.column(c).to_pylist() for c in ("block", "anchors", "starts", "counts", "origins", "text")), strict=True):
-                count = np.frombuffer(counts, np.int32).astype(np.int64)
+            for block, names, starts, counts, owners, origins, text in zip(*(b.column(c).to_pylist() for c in ("block", "anchors", "starts", "counts", "owners", "origins", "text")), strict=True):
+                count = _ints(counts)
                 end = np.cumsum(count + span - 1)
                 begin = (end - (count + span - 1)).tolist()
                 text, place = zstandard.decompress(text), pieces.setdefault
                 index.append(np.array([place(text[i:j], len(pieces)) for i, j in zip(begin, end.tolist(), strict=True)]))
-                anchors.append(np.frombuffer(names, np.uint64))
-                held.append((block, np.frombuffer(starts, np.int32).astype(np.int64), count, np.frombuffer(origins, np.int64)))
+                anchors.append(np.frombuffer(names, np.uint32))
+                held.append((block, np.cumsum(_ints(starts)), count, np.frombuffer(origins, np.int64)[np.cumsum(_ints(owners))]))
         least = np.full(len(pieces), LAST)
         for at, (_, _, _, origin) in zip(index, held, strict=True):
             np.minimum.at(least, at, origin)
-        every = np.concatenate(index)
-        anchor = np.zeros(len(pieces), np.uint64)
-        anchor[every] = np.concatenate(anchors)
-        _, of, pieces_of = np.unique(anchor, return_inverse=True, return_counts=True)
+        anchor = np.zeros(len(pieces), np.uint32)
+        for at, names in zip(index, anchors, strict=True):
+            anchor[at] = names
+        _, of, alike = np.unique(anchor, return_inverse=True, return_counts=True)
         texts = list(pieces)
+        del pieces
         size_of = np.fromiter(map(len, texts), np.int64, len(texts)) - span + 1
-        low = [np.full(c, o) for c, o in zip(size_of.tolist(), least.tolist(), strict=True)]
-        mixed = np.flatnonzero(pieces_of[of] > 1)
-        for i, found in zip(mixed.tolist(), least_origin([texts[i] for i in mixed.tolist()], size_of[mixed], least[mixed], span), strict=True):
-            low[i] = found
-        offset = np.cumsum([0] + [len(x) for x in low])
-        flat = np.concatenate(low) if low else np.zeros(0, np.int64)
+        offset = np.cumsum(np.r_[0, size_of])
+        low = np.repeat(least, size_of)
+        mixed = np.flatnonzero(alike[of] > 1)
+        if len(mixed):
+            found = least_origin([texts[i] for i in mixed.tolist()], size_of[mixed], least[mixed], span)
+            low[_ranges(offset[mixed], size_of[mixed])] = found
         for at, (block, start, count, origin) in zip(index, held, strict=True):
-            total = int(count.sum())
-            inner = np.arange(total) - np.repeat(np.cumsum(count) - count, count)
-            gone = flat[np.repeat(offset[at], count) + inner] < np.repeat(origin, count)
-            place = np.repeat(start, count) + inner
-            place = np.sort(place[gone])
+            gone = low[_ranges(offset[at], count)] < np.repeat(origin, count)
+            place = np.sort(_ranges(start, count)[gone])
             if len(place):
                 head = np.flatnonzero(np.r_[True, np.diff(place) > 1])
-                yield _row(MARKS, block, place[head].astype(np.int32).tobytes(), np.diff(np.r_[head, len(place)]).astype(np.int32).tobytes())
+                yield _row(REPLY, block, key[0].as_py(), _shrink(place[head]), _shrink(np.diff(np.r_[head, len(place)])))
 
     fields = ["origin", "body", "doc_id", *carry]
     kept_fields = ", ".join(f"`{c}` {rows.schema[c].dataType.simpleString()}" for c in ["doc_id", *carry])
     result = f"{kept_fields}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
 
     def remove(key, left, right):
+        late, marks = _replies(right.to_batches())
         body = [t.encode("utf-8", "surrogatepass") for t in left.column("body").to_pylist()]
         origin = left.column("origin").to_pylist()
         order = sorted(range(len(body)), key=lambda i: (origin[i], body[i]))
         sizes = np.array([len(body[i]) for i in order], np.int64)
-        begin = np.cumsum(sizes) - sizes
         edge = np.zeros(int(sizes.sum()) + 1, np.int32)
-        for starts, counts in zip(right.column("starts").to_pylist(), right.column("counts").to_pylist(), strict=True):
-            s = np.frombuffer(starts, np.int32)
+        for _, starts, counts in marks:
+            s = _ints(starts)
             np.add.at(edge, s, 1)
-            np.add.at(edge, s + np.frombuffer(counts, np.int32) + span - 1, -1)
+            np.add.at(edge, s + _ints(counts) + span - 1, -1)
         covered = np.cumsum(edge[:-1]) > 0
         n = len(body)
         removed, spans, digest, kept = [0] * n, [0] * n, [""] * n, [b""] * n
-        for i, b, s in zip(order, begin.tolist(), sizes.tolist(), strict=True):
+        for i, b, s in zip(order, (np.cumsum(sizes) - sizes).tolist(), sizes.tolist(), strict=True):
             c = covered[b : b + s]
             text = body[i]
-            if c.any():
+            if origin[i] in late and s >= span:  # every byte lies in a string of the first copy
+                removed[i], spans[i], text = s, 1, b""
+            elif c.any():
                 removed[i] = int(c.sum())
                 spans[i] = int(c[0]) + int((c[1:] & ~c[:-1]).sum())
                 text = np.frombuffer(text, np.uint8)[~c].tobytes()
@@ -374,13 +412,18 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
         cols = [*(left.column(c) for c in ["doc_id", *carry]), pa.array([len(x) for x in body], pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(digest), pa.array(kept, pa.binary())]
         return pa.table(cols, names=["doc_id", *carry, "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    by_block = inside.groupBy("block")
-    shared = keep(by_block.applyInArrow(tabled(send_anchors, ANCHORS), ANCHORS).groupBy("part").applyInArrow(tabled(answer, SHARED), SHARED), "shared")
-    drop(spark.range(0))
-    moved = by_block.cogroup(shared.groupBy("block")).applyInArrow(tabled(send_runs, RUNS, 2), RUNS)
-    marks = keep(moved.groupBy("part").applyInArrow(tabled(compare, MARKS), MARKS), "marks")
+    shared = keep(inside.cogroup(copies.groupBy("block")).applyInArrow(tabled(send_anchors, ANCHORS, 2), ANCHORS).groupBy("part").applyInArrow(tabled(answer, REPLY), REPLY), "shared")
+    free_shuffles(spark)
+    moved_runs = inside.cogroup(shared.union(copies).groupBy("block")).applyInArrow(tabled(send_runs, RUNS, 2), RUNS)
+    marks = keep(moved_runs.groupBy("part").applyInArrow(tabled(compare, REPLY), REPLY), "marks")
     drop(shared)
-    return rows.select("block", *fields).groupBy("block").cogroup(marks.groupBy("block")).applyInArrow(lambda key, a, b: remove(key, a, b), result)
+    free_shuffles(spark)
+    return rows.select("block", *fields).groupBy("block").cogroup(marks.union(copies).groupBy("block")).applyInArrow(lambda key, a, b: remove(key, a, b), result)
+
+
+def _ranges(start: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """All positions of the ranges, end to end."""
+    return np.repeat(start - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
 
 
 def without_repeats(docs: DataFrame, carry: list[str] | None = None, span: int = SPAN) -> DataFrame:
