@@ -82,7 +82,9 @@ def runs(texts: list[bytes], span: int = SPAN) -> tuple[bytes, np.ndarray, np.nd
     start = np.flatnonzero(ok & (change | first[:n]))
     stop = np.flatnonzero(np.r_[~ok, True] & np.r_[False, ok])
     end = np.minimum(np.r_[start[1:], n], stop[np.searchsorted(stop, start, side="right")] if len(start) else start)
-    return buf, begin, low[start], start, end - start
+    anchor = low[start] * _M2  # least values crowd near zero; mixed again they spread evenly over the ranges
+    anchor ^= anchor >> np.uint64(32)
+    return buf, begin, anchor * _M3, start, end - start
 
 
 # --- blockwise suffix sorting -------------------------------------------------------------------------------------------
