@@ -1 +1 @@
-"""Streaming of the private frequency engine."""
+"""Structured Streaming forms of collection, capping and discovery."""
