@@ -6,6 +6,8 @@ Everything an operator keeps between jobs is a Parquet table under the folder th
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import gc
 import os
 import re
@@ -113,6 +115,20 @@ def tokens(text: str) -> list[str]:
     return TOKEN.findall(text) if _ODD.search(text) else text.split()
 
 
+_HELD: dict = {}
+
+
+def only(key, make):
+    """The one model this worker holds: asking for another drops it first, so stages that share a worker do not add up."""
+    if key not in _HELD:
+        _HELD.clear()
+        gc.collect()
+        with contextlib.suppress(OSError, AttributeError):  # give freed memory back where the C library can
+            ctypes.CDLL(None).malloc_trim(0)
+        _HELD[key] = make()
+    return _HELD[key]
+
+
 class HashTable:
     """Open addressing over uint64 keys with numpy: ``get`` returns int64 values, -1 where a key is absent."""
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from ._util import HashTable, Recent, ship, slices
+from ._util import HashTable, Recent, only, ship, slices
 
 CACHE = 400_000
 _P = np.uint64(0x9E3779B97F4A7C15 | 1)
@@ -248,11 +248,8 @@ class TextCodec:
         return out
 
 
-_CODECS: dict[tuple[str, str], TextCodec] = {}
-
-
 def codec(path: str, pattern: str) -> TextCodec:
-    return _CODECS.get((path, pattern)) or _CODECS.setdefault((path, pattern), TextCodec(path, pattern))
+    return only(("codec", path, pattern), lambda: TextCodec(path, pattern))
 
 
 def encode_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:

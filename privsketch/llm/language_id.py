@@ -19,14 +19,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import ppm
-from ._util import Recent, ship, slices
+from ._util import Recent, only, ship, slices
 
-ORDER, SAMPLE_DOCS, MAX_LANGUAGES, CACHE = 4, 400, 500, 300_000
+ORDER, SAMPLE_DOCS, MAX_LANGUAGES, CACHE = 4, 400, 500, 250_000
 LETTERS = re.compile(r"[^\W\d_]+")
 
 
 def held_out(k: int, rest: int):
-    return (F.crc32(F.col("doc_id").cast("string").cast("binary")) % k) == rest
+    """Whether crc32 of the doc_id as text leaves ``rest`` modulo ``k`` (null ids: no)."""
+    return F.coalesce((F.crc32(F.col("doc_id").cast("string").cast("binary")) % k) == rest, F.lit(False))
 
 
 def letter_words(text: str) -> list[str]:
@@ -44,13 +45,14 @@ class Languages:
         split = [letter_words(t) for t in texts]
         if new := self.known.missing(set().union(*split)):
             raw = [w.encode("utf-8", "surrogatepass") for w in new]
-            table = np.stack([m.bits(raw) for m in self.models], 1)
-            self.known.now.update(zip(new, map(tuple, table.tolist()), strict=True))
+            table = np.stack([m.bits(raw) for m in self.models], 1).astype(np.float32).tobytes()
+            row = 4 * len(self.names)
+            self.known.now.update((w, table[i : i + row]) for w, i in zip(new, range(0, len(table), row), strict=True))
         get, sizes = self.known.now.__getitem__, np.array([len(s) for s in split])
         out = np.zeros((len(texts), len(self.names)))
         for i, s in enumerate(split):
             if s:
-                out[i] = np.sum(np.array(list(map(get, s))), 0)
+                out[i] = np.frombuffer(b"".join(map(get, s)), np.float32).reshape(len(s), -1).sum(0, dtype=float)
         return out, sizes
 
     def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
@@ -98,12 +100,10 @@ def fit(docs: DataFrame, order: int = ORDER, sample_docs: int = SAMPLE_DOCS, hol
     return names, [ppm.merge(np.concatenate([k for k, _ in parts[n]]), np.concatenate([c for _, c in parts[n]])) for n in names]
 
 
-_MODELS: dict[str, Languages] = {}
-
-
 def identify(docs: DataFrame, train: DataFrame | None = None, order: int = ORDER, sample_docs: int = SAMPLE_DOCS, hold=(4, 2)) -> DataFrame:
     """``doc_id, held_out, lang_pred, score, bits_per_word`` of every document."""
-    return with_language(docs, train, order, sample_docs, hold, []).selectExpr("doc_id", f"crc32(cast(cast(doc_id as string) as binary)) % {hold[0]} = {hold[1]} held_out", "lang_pred", "score", "bits_per_word")
+    out = with_language(docs, train, order, sample_docs, hold, [])
+    return out.select("doc_id", held_out(*hold).alias("held_out"), "lang_pred", "score", "bits_per_word")
 
 
 def with_language(docs: DataFrame, train: DataFrame | None, order: int, sample_docs: int, hold, carry: list[str]) -> DataFrame:
@@ -114,11 +114,7 @@ def with_language(docs: DataFrame, train: DataFrame | None, order: int, sample_d
     key = uuid.uuid4().hex
 
     def work(batches):
-        model = _MODELS.get(key)
-        if model is None:
-            own, tables = shared.value
-            _MODELS.clear()
-            model = _MODELS[key] = Languages(own, [ppm.Model(k, c, order) for k, c in tables])
+        model = only(key, lambda: Languages(shared.value[0], [ppm.Model(k, c, order) for k, c in shared.value[1]]))
         for batch, texts in slices(batches, limit=4 << 20):
             if model.names:
                 lang, score, bits = model.predict(texts)

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from ._util import Recent, ship, slices
+from ._util import Recent, only, ship, slices
 from .token_counts import _CHUNK, _ODD, CACHE, WordCounter
 
 WINDOW, END, SHARD_IDS, COLUMNS = 2048, 1, 4_000_000, 20_000
@@ -136,7 +136,6 @@ def _runs(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, list[np.nda
     return keys[at], np.split(values, at[1:]) if len(at) else []
 
 
-_IDS: dict[str, WordIds] = {}
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
@@ -145,7 +144,7 @@ def pack_documents(docs: DataFrame, path: str, window: int = WINDOW, with_ids: b
     ship(docs.sparkSession)
 
     def work(batches):
-        source = _IDS.get(path) or _IDS.setdefault(path, WordIds(path))
+        source = only(("ids", path), lambda: WordIds(path))
         base, done = TaskContext.get().partitionId() << 40, 0
         names, codes, total = [], [], 0
 

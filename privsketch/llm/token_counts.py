@@ -18,7 +18,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from ._util import HashTable, Recent, ship, slices
+from ._util import HashTable, Recent, only, ship, slices
 
 #: The white space that the normaliser's \s stands for.
 SPACE = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -150,15 +150,12 @@ class WordCounter:
         return [e + sum(map(get, s)) for e, s in zip(extra, split, strict=True)]
 
 
-_COUNTERS: dict[str, WordCounter] = {}
-
-
 def token_counts(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
     """``doc_id, n_bytes, n_tokens, over_limit`` of every document under the vocabulary file at ``path``."""
     ship(docs.sparkSession)
 
     def work(batches):
-        counter = _COUNTERS.get(path) or _COUNTERS.setdefault(path, WordCounter(path))
+        counter = only(("words", path), lambda: WordCounter(path))
         for batch, texts in slices(batches, limit=4 << 20):
             n = np.array(counter.count(texts), np.int64)
             size = [len(t) if t.isascii() else len(t.encode("utf-8", "surrogatepass")) for t in texts]

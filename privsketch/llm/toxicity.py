@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._util import Recent, ship, slices
+from ._util import Recent, only, ship, slices
 from .language_id import held_out
 
 DECAY, SPAN, ALPHABET, LONGEST = 0.6, 7, 40, 24
@@ -256,9 +256,6 @@ def _calibrate(value: np.ndarray, label: np.ndarray) -> tuple[float, float]:
     return float(slope), float(-slope * centre + np.log(THRESHOLD / (1 - THRESHOLD)))
 
 
-_MACHINES: dict[str, Machine] = {}
-
-
 def fit(docs: DataFrame, labels: DataFrame, hold=(3, 1), sample_docs: int = SAMPLE_DOCS) -> Machine:
     """Machine from labelled texts (conflicting labels of a document: toxic wins)."""
     ship(docs.sparkSession)
@@ -289,10 +286,7 @@ def with_score(docs: DataFrame, machine: Machine, carry: list[str]) -> DataFrame
     shared, key = spark.sparkContext.broadcast(parts), uuid.uuid4().hex  # 64,000 weights
 
     def work(batches):
-        own = _MACHINES.get(key)
-        if own is None:
-            _MACHINES.clear()
-            own = _MACHINES[key] = Machine(*shared.value)
+        own = only(key, lambda: Machine(*shared.value))
         for batch, texts in slices(batches, limit=4 << 20):
             kept = ["doc_id", *carry]
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(own.score(texts))], names=[*kept, "score"])
