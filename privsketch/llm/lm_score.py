@@ -18,7 +18,6 @@ from __future__ import annotations
 
 import uuid
 import zlib
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import ppm
-from ._util import keep, lower_ascii, ship, tabled, tokens, width
+from ._util import keep, lower_ascii, only, ship, tabled, tokens, width
 from .language_id import held_out
 
 ORDER, TRIE_ENTRIES, CLASSES, HOLD = 4, 2_000_000, 7, (7, 2)
@@ -36,13 +35,34 @@ BACK = "kind int, part int, bucket int, one binary, two binary"
 SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def ordered_words(texts: list[str], ranges: int) -> tuple[list[list[str]], dict[int, list[str]]]:
-    """Words of each text, and the distinct words of all by hash range, sorted."""
-    split = [tokens(lower_ascii(t)) for t in texts]
-    parts: dict[int, list[str]] = {}
-    for w in sorted(set().union(*split)):
-        parts.setdefault(zlib.crc32(w.encode("utf-8", "surrogatepass")) % ranges, []).append(w)
-    return split, parts
+class Words:
+    """Distinct words of a bucket's texts, in an order that depends on the texts alone, cut by hash range."""
+
+    def __init__(self, texts: list[str], ranges: int):
+        split = [tokens(lower_ascii(t)) for t in texts]
+        at: dict[str, int] = {}
+        put = at.setdefault
+        self.place = np.array([put(w, len(at)) for s in split for w in s], np.int64)
+        self.sizes = np.fromiter(map(len, split), np.int64, len(split))
+        self.owner = np.repeat(np.arange(len(split)), self.sizes)
+        self.words = list(at)
+        self.raw = [w.encode("utf-8", "surrogatepass") for w in self.words]
+        part = np.fromiter(map(zlib.crc32, self.raw), np.int64, len(self.raw)) % ranges
+        self.order = np.argsort(part, kind="stable")
+        self.cut = np.searchsorted(part[self.order], np.arange(ranges + 1))
+
+    def parts(self):
+        """(range, word numbers) of each range with words."""
+        for p in np.flatnonzero(np.diff(self.cut)).tolist():
+            yield p, self.order[self.cut[p] : self.cut[p + 1]]
+
+
+def in_order(batches, columns: list[str]) -> list[list]:
+    """Columns of a bucket, its rows sorted by doc_id (nulls first) and text; both visits of a bucket see one order."""
+    cols = [[x for b in batches for x in b.column(c).to_pylist()] for c in columns]
+    ids, texts = cols[columns.index("doc_id")], cols[columns.index("text")]
+    order = sorted(range(len(ids)), key=lambda i: (ids[i] is not None, ids[i] or 0, texts[i]))
+    return [[c[i] for i in order] for c in cols]
 
 
 def bucketed(docs: DataFrame, buckets: int) -> DataFrame:
@@ -50,9 +70,9 @@ def bucketed(docs: DataFrame, buckets: int) -> DataFrame:
 
 
 def bucket_count(docs: DataFrame) -> int:
-    """Buckets of about 12 MB of text, and no fewer than the session's shuffle partitions."""
+    """Buckets of about 8 MB of text, and no fewer than the session's shuffle partitions."""
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    return max(width(docs.sparkSession), -(-size // 12_000_000))
+    return max(width(docs.sparkSession), -(-size // 8_000_000))
 
 
 def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
@@ -61,31 +81,27 @@ def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
     buckets = bucket_count(docs)
     ranges = buckets
     lang = F.col("lang") if "lang" in docs.columns else F.lit(None).cast("string")
-    rows = bucketed(docs.withColumn("lang", lang.cast("string")), buckets).withColumn("held_out", F.coalesce(held_out(*hold), F.lit(False)))
+    rows = bucketed(docs.withColumn("lang", lang.cast("string")), buckets).withColumn("held_out", held_out(*hold))
     usual = [r[0] for r in rows.filter("not held_out and lang is not null").groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(CLASSES).collect()]
     classes = {x: i for i, x in enumerate(usual)}
     many = len(classes) + 1
 
     def words_out(key, batches):
-        texts, train, kinds = [], [], []
-        for b in batches:
-            texts += b.column("text").to_pylist()
-            train += [not h for h in b.column("held_out").to_pylist()]
-            kinds += [classes.get(x, many - 1) for x in b.column("lang").to_pylist()]
-        split, parts = ordered_words(texts, ranges)
-        count = [Counter() for _ in range(many)]
-        ends = np.zeros(many, np.int64)
-        for s, t, k in zip(split, train, kinds, strict=True):
-            if t:
-                count[k].update(s)
-                ends[k] += 1
+        _, texts, held, langs = in_order(list(batches), ["doc_id", "text", "held_out", "lang"])
+        w = Words(texts, ranges)
+        train = ~np.array(held, bool)
+        kind = np.array([classes.get(x, many - 1) for x in langs], np.int64)
+        ends = np.bincount(kind[train], minlength=many)
+        use = train[w.owner]
+        count = np.bincount(kind[w.owner[use]] * len(w.words) + w.place[use], minlength=many * len(w.words)).reshape(many, -1) if w.words else np.zeros((many, 0), np.int64)
         names = [f.split()[0] for f in SENT.split(", ")]
         bucket = pa.array([key[0].as_py()], pa.int32())
-        for r, own in [*parts.items(), (-1, [])]:
-            table = ends if r < 0 else np.stack([np.fromiter(map(c.get, own, [0] * len(own)), np.int64, len(own)) for c in count])
-            yield pa.RecordBatch.from_arrays([pa.array([r], pa.int32()), bucket, pa.array(["\n".join(own)]), pa.array([table.tobytes()], pa.binary())], names=names)
+        for r, own in [*w.parts(), (-1, None)]:
+            table = ends if own is None else np.ascontiguousarray(count[:, own])
+            text = "" if own is None else "\n".join([w.words[i] for i in own.tolist()])
+            yield pa.RecordBatch.from_arrays([pa.array([r], pa.int32()), bucket, pa.array([text]), pa.array([table.astype(np.int64).tobytes()], pa.binary())], names=names)
 
-    sent = rows.select("bucket", "text", "held_out", "lang").groupBy("bucket").applyInArrow(tabled(words_out, SENT), SENT)
+    sent = rows.select("bucket", "doc_id", "text", "held_out", "lang").groupBy("bucket").applyInArrow(tabled(words_out, SENT), SENT)
 
     def add_up(key, batches):
         """``kind`` 0: counts back to a bucket; 1: context counts of class ``bucket``; 2: tokens and distinct words."""
@@ -124,25 +140,19 @@ def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
     shared, key_of = spark.sparkContext.broadcast((tries(back, order, ends), size, kinds, distinct, ends)), uuid.uuid4().hex
 
     def finish(key, left, right):
-        models, size, kinds, distinct, ends = _open(shared, key_of)
+        models, size, kinds, distinct, ends = only(key_of, lambda: _open(shared))
         back_of = {p: np.frombuffer(c, np.int64).reshape(many, -1) for b in right for p, c in zip(b.column("part").to_pylist(), b.column("one").to_pylist(), strict=True)}
-        ids, texts, held = [], [], []
-        for b in left:
-            ids += b.column("doc_id").to_pylist()
-            texts += b.column("text").to_pylist()
-            held += b.column("held_out").to_pylist()
+        ids, texts, held = in_order(left, ["doc_id", "text", "held_out"])
         if not texts:
             return
-        split, parts = ordered_words(texts, ranges)
-        words = [w for p in parts for w in parts[p]]
-        count = np.concatenate([np.zeros((many, 0), np.int64), *(back_of[p] for p in parts)], axis=1)
-        at = {w: i for i, w in enumerate(words)}
-        sizes = np.fromiter(map(len, split), np.int64, len(split))
-        place = np.fromiter((at[w] for s in split for w in s), np.int64, int(sizes.sum()))
-        owner = np.repeat(np.arange(len(split)), sizes)
+        w = Words(texts, ranges)
+        count = np.zeros((many, len(w.words)), np.int64)
+        for p, own in w.parts():
+            count[:, own] = back_of[p]
+        place, owner, sizes = w.place, w.owner, w.sizes
 
         def per_doc(values):
-            return np.bincount(owner, values, len(split)) if len(owner) else np.zeros(len(split))
+            return np.bincount(owner, values, len(texts)) if len(owner) else np.zeros(len(texts))
 
         n = int(size.sum())
         all_count, low = count.sum(0), np.log10(n + distinct + 1.0)
@@ -155,9 +165,9 @@ def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
         for k in np.unique(chosen).tolist():
             use = np.flatnonzero(chosen[owner] == k)
             need, where = np.unique(place[use], return_inverse=True)
-            log = word_logs(models[k], [words[i].encode("utf-8", "surrogatepass") for i in need.tolist()], count[k, need], int(size[k]), int(kinds[k]))
+            log = word_logs(models[k], [w.raw[i] for i in need.tolist()], count[k, need], int(size[k]), int(kinds[k]))
             end = word_logs(models[k], [b""], ends[k : k + 1], int(size[k]), int(kinds[k]))[0]
-            total = total + np.bincount(owner[use], log[where], len(split)) + np.where(chosen == k, end, 0.0)
+            total = total + np.bincount(owner[use], log[where], len(texts)) + np.where(chosen == k, end, 0.0)
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(held), pa.array(sizes + 1), pa.array(known), pa.array(np.full(len(ids), n, np.int64)), pa.array(base), pa.array(total)], names=[f.split()[0] for f in SCORED.split(", ")])
 
     replies = back.filter("kind = 0").select("bucket", "part", "one")
@@ -201,12 +211,6 @@ def tries(back: DataFrame, order: int, ends: np.ndarray) -> tuple[list[tuple[np.
     return [w[0] for w in wait], order
 
 
-_OPEN: dict[str, tuple] = {}
-
-
-def _open(shared, key: str) -> tuple:
-    if key not in _OPEN:
-        _OPEN.clear()
-        (tables, depth), *rest = shared.value
-        _OPEN[key] = ([ppm.Model(k, c, depth) for k, c in tables], *rest)
-    return _OPEN[key]
+def _open(shared) -> tuple:
+    (tables, depth), *rest = shared.value
+    return ([ppm.Model(k, c, depth) for k, c in tables], *rest)
