@@ -146,12 +146,11 @@ def links(fp: np.ndarray, anchor: np.ndarray, threshold: int) -> tuple[np.ndarra
             part = fp[own[s : s + 1000], None]
             for r in range(s, len(own), 1000):
                 i, j = np.nonzero(np.bitwise_count(part ^ fp[own[r : r + 1000]][None, :]) <= threshold)
-                label = min_labels(2000, i, j + 1000)  # only a forest of the block goes on
-                node = np.arange(2000)
-                way = np.flatnonzero(label != node)
-                full = lambda x, s=s, r=r, own=own: own[np.where(x < 1000, np.minimum(s + x, len(own) - 1), np.minimum(r + x - 1000, len(own) - 1))]
-                a.append(full(way))
-                b.append(full(label[way]))
+                label = min_labels(2000, i, j + 1000)  # rows of both sides; only a forest of the block goes on
+                way = np.flatnonzero(label != np.arange(2000))
+                both = np.r_[np.resize(own[s : s + 1000], 1000), np.resize(own[r : r + 1000], 1000)]
+                a.append(both[way])
+                b.append(both[label[way]])
     return (np.concatenate(a), np.concatenate(b)) if a else (np.zeros(0, int), np.zeros(0, int))
 
 
