@@ -105,8 +105,10 @@ def norms(units: list[str]) -> np.ndarray:
     return np.sqrt(np.bincount(key[at] // ALPHABET**3, np.add.reduceat(weight, at) ** 2, len(units)))
 
 
-def values(units: list[str], weights: np.ndarray, bias: float) -> np.ndarray:
-    """Machine values of units under folded weights."""
+def values(units: list[str], weights: np.ndarray, bias: float, chunk: int = 1000) -> np.ndarray:
+    """Machine values of units under folded weights, a bounded number of units at a time."""
+    if len(units) > chunk:
+        return np.concatenate([values(units[i : i + chunk], weights, bias) for i in range(0, len(units), chunk)])
     total = np.zeros(len(units))
     for u, f, w in subsequences(units):
         total += np.bincount(u, weights[f], len(units)) * w
@@ -233,7 +235,7 @@ def train(bags: list[tuple[list[str], int]]) -> Machine:
         cost = np.r_[gain / gain.sum(), 2 * harm / harm.sum()] * COST * len(hard)
         w, bias = support_vector(x, y, cost)
         folded = landmarks @ (root @ w)
-        value = np.concatenate([values(names[i : i + 10_000], folded, bias) for i in range(0, len(names), 10_000)])
+        value = values(names, folded, bias)
         hard = np.union1d(hard, seen[np.argsort(-value[seen], kind="stable")][:2500])
     floor = float(min(bias, np.median(value[seen])))
     top = np.array([evidence(value[p], floor) for p in positive + negative])
