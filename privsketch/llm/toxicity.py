@@ -86,7 +86,7 @@ def dense(units: list[str]) -> np.ndarray:
     out = np.zeros((ALPHABET**3, len(units)), np.float32)
     for u, f, w in subsequences(units):
         np.add.at(out, (f, u), np.float32(w))
-    out /= np.maximum(np.sqrt((out * out).sum(0)), 1e-12)
+    out /= np.maximum(np.sqrt(np.einsum("ij,ij->j", out, out)), 1e-12)
     return out
 
 
