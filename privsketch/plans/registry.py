@@ -39,7 +39,7 @@ def lt(seed, tag, p: float, *parts) -> str:
 
 def items_sql(key: str) -> str:
     """The item frame of a key: ``report_id, client_id, item, epoch``."""
-    from ..sources.items import band_ladder
+    from ..sources.items import LINE_SQL, band_ladder
 
     words = "SELECT DISTINCT {id}, unnest(regexp_extract_all(lower(coalesce(text, '')), '[a-z]+')) AS word FROM {t}"
     band = "CASE " + " ".join(f"WHEN u >= {a} AND u < {b} THEN '{n}'" for n, a, b in band_ladder()) + " END"
@@ -49,10 +49,10 @@ def items_sql(key: str) -> str:
         "source": "SELECT doc_id AS report_id, doc_id AS client_id, source AS item, DATE '2024-01-01' AS epoch FROM documents",
         "event_type": "SELECT event_id AS report_id, user_id AS client_id, event_type AS item, CAST(ts AS DATE) AS epoch FROM events",
         "prop_k": "SELECT event_id AS report_id, user_id AS client_id, json_extract_string(props, '$.k') AS item, CAST(ts AS DATE) AS epoch FROM events",
-        "brand": "SELECT l_orderkey * 8 + l_linenumber AS report_id, l_orderkey AS client_id, p_brand AS item, CAST(l_shipdate AS DATE) AS epoch FROM lineitem JOIN part ON l_partkey = p_partkey",
+        "brand": f"SELECT {h(7, 'rid', *LINE_SQL)} AS report_id, l_orderkey AS client_id, p_brand AS item, CAST(l_shipdate AS DATE) AS epoch FROM lineitem JOIN part ON l_partkey = p_partkey",
         "psize": "SELECT p_partkey AS report_id, p_partkey AS client_id, CAST(p_size AS VARCHAR) AS item, DATE '2024-01-01' AS epoch FROM part",
         "nation": "SELECT c_custkey AS report_id, c_custkey AS client_id, n_name AS item, DATE '2024-01-01' AS epoch FROM customer JOIN nation ON c_nationkey = n_nationkey",
-        "band16": f"SELECT report_id, client_id, {band} AS item, epoch FROM (SELECT l_orderkey * 8 + l_linenumber AS report_id, l_orderkey AS client_id, CAST(l_shipdate AS DATE) AS epoch, {h(7, 'band', 'l_orderkey', 'l_linenumber')} AS u FROM lineitem)",
+        "band16": f"SELECT report_id, client_id, {band} AS item, epoch FROM (SELECT {h(7, 'rid', *LINE_SQL)} AS report_id, l_orderkey AS client_id, CAST(l_shipdate AS DATE) AS epoch, {h(7, 'band', *LINE_SQL)} AS u FROM lineitem)",
         "url20": "SELECT page_id AS report_id, page_id AS client_id, left(url, 20) AS item, DATE '2024-01-01' AS epoch FROM pages",
         "host": "SELECT page_id AS report_id, page_id AS client_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS item, DATE '2024-01-01' AS epoch FROM pages",
         "href": "SELECT page_id * 10000 + n - 1 AS report_id, page_id AS client_id, left(href, 20) AS item, DATE '2024-01-01' AS epoch FROM (SELECT page_id, unnest(l) AS href, generate_subscripts(l, 1) AS n FROM (SELECT page_id, regexp_extract_all(html, 'href=\"([^\"]*)\"', 1) AS l FROM pages))",

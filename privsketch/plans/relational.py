@@ -12,7 +12,7 @@ from ..functions.prf import below, prf
 from ..functions.theory import SketchParams
 from ..operators import discover, exact, joint, randomize, sketch
 from ..sources import tables
-from ..sources.items import band_ladder, item_frame, words
+from ..sources.items import LINE_COLUMNS, LINE_SQL, band_ladder, item_frame, line_key, words
 from ..sources.tables import load
 from .core import B_, R6, SMOKE, T_, _r6
 from .registry import counts_sql, encode_sql, h, items_sql, lt, matrix_sql, noisy_sql, query, reports_sql
@@ -134,10 +134,10 @@ def join_cross_grid(s, d):
 _LADDER = "(VALUES " + ", ".join(f"('{n}', {a}, {b})" for n, a, b in band_ladder()) + ") AS ladder(band, lo, hi)"
 
 
-@query(f"SELECT band, count(*) AS cnt FROM (SELECT {h(7, 'band', 'l_orderkey', 'l_linenumber')} AS u FROM lineitem) JOIN {_LADDER} ON u >= lo AND u < hi GROUP BY band")
+@query(f"SELECT band, count(*) AS cnt FROM (SELECT {h(7, 'band', *LINE_SQL)} AS u FROM lineitem) JOIN {_LADDER} ON u >= lo AND u < hi GROUP BY band")
 def join_range_band(s, d):
     ladder = s.createDataFrame(band_ladder(), "band string, lo long, hi long")
-    lines = load(s, d, "lineitem", ["l_orderkey", "l_linenumber"]).select(prf(7, "band", "l_orderkey", "l_linenumber").alias("u"))
+    lines = load(s, d, "lineitem", LINE_COLUMNS).select(prf(7, "band", *line_key()).alias("u"))
     return lines.join(F.broadcast(ladder), (F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi"))).groupBy("band").agg(F.count("*").alias("cnt"))
 
 

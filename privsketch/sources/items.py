@@ -13,6 +13,13 @@ from .tables import load
 #: Shares of the 16 bands fall by this factor, so that the largest is about a third and the smallest a six-hundredth.
 BAND_RATIO, BANDS = 0.702, 16
 DAY = "date'2024-01-01'"
+#: Line numbers repeat inside an order, so a line is named by these.
+LINE_COLUMNS = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]
+LINE_SQL = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "CAST(l_shipdate AS DATE)")
+
+
+def line_key() -> tuple:
+    return (*LINE_COLUMNS[:4], F.col("l_shipdate").cast("date"))
 
 
 def band_ladder() -> list[tuple[str, int, int]]:
@@ -58,8 +65,8 @@ def _prop_k(s, d):
 
 def _brand(s, d):
     parts = load(s, d, "part", ["p_partkey", "p_brand"])
-    lines = load(s, d, "lineitem", ["l_orderkey", "l_partkey", "l_linenumber", "l_shipdate"])
-    return _frame(lines.join(parts, lines.l_partkey == parts.p_partkey), "l_orderkey * 8 + l_linenumber", "l_orderkey", "p_brand", "l_shipdate")
+    lines = load(s, d, "lineitem", LINE_COLUMNS).withColumn("rid", prf(7, "rid", *line_key()))
+    return _frame(lines.join(parts, lines.l_partkey == parts.p_partkey), "rid", "l_orderkey", "p_brand", "l_shipdate")
 
 
 def _psize(s, d):
@@ -72,11 +79,11 @@ def _nation(s, d):
 
 
 def _band16(s, d):
-    lines = load(s, d, "lineitem", ["l_orderkey", "l_linenumber", "l_shipdate"]).withColumn("u", prf(7, "band", "l_orderkey", "l_linenumber"))
+    lines = load(s, d, "lineitem", LINE_COLUMNS).withColumn("u", prf(7, "band", *line_key())).withColumn("rid", prf(7, "rid", *line_key()))
     band = F.lit(None).cast("string")
     for name, low, high in reversed(band_ladder()):
         band = F.when((F.col("u") >= low) & (F.col("u") < high), name).otherwise(band)
-    return _frame(lines.withColumn("band", band), "l_orderkey * 8 + l_linenumber", "l_orderkey", "band", "l_shipdate")
+    return _frame(lines.withColumn("band", band), "rid", "l_orderkey", "band", "l_shipdate")
 
 
 def _url20(s, d):
