@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import theory
@@ -54,10 +54,13 @@ def consistency(est: DataFrame, method: str = "clip") -> DataFrame:
     if method == "clip":
         return est.withColumn("est", F.greatest("est", F.lit(0.0)))
     if method == "scale":
-        every = Window.partitionBy()
         out = est.withColumn("est", F.greatest("est", F.lit(0.0)))
-        return out.withColumn("est", F.col("est") * F.col("n") / F.sum("est").over(every))
-    order = Window.orderBy(F.desc("est"), "item").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    ranked = est.withColumn("_shift", (F.sum("est").over(order) - F.col("n")) / F.count("*").over(order)).filter(F.col("est") > F.col("_shift"))
-    cut = ranked.agg(F.min_by("_shift", "est").alias("_cut"))
-    return est.crossJoin(F.broadcast(cut)).withColumn("est", F.greatest(F.col("est") - F.col("_cut"), F.lit(0.0))).drop("_cut")
+        return out.crossJoin(F.broadcast(out.agg(F.sum("est").alias("_total")))).withColumn("est", F.col("est") * F.col("n") / F.col("_total")).drop("_total")
+    # the shift is the mean excess of what stays positive; each round is one aggregate and drops what falls below
+    cut, left = float("-inf"), None
+    while True:
+        r = est.filter(F.col("est") > cut).agg(F.sum("est").alias("t"), F.count("*").alias("c"), F.first("n").alias("n")).first()
+        if not r["c"] or r["c"] == left:
+            break
+        cut, left = (r["t"] - r["n"]) / r["c"], r["c"]
+    return est.withColumn("est", F.greatest(F.col("est") - F.lit(cut), F.lit(0.0)))

@@ -31,14 +31,29 @@ def adaptive_rounds(items: DataFrame, target: str, eps: float, k: int, m: int, r
     return out
 
 
-def asof_params(reports: DataFrame, schedule: DataFrame) -> DataFrame:
-    """Parameter version in force at each report's ``ts``: last schedule row at or before it, by one union and one window a day."""
+def asof_params(reports: DataFrame, schedule: DataFrame, most: int = 10_000) -> DataFrame:
+    """Parameter version in force at each report's ``ts``: last schedule row at or before it, null before the first. A schedule of
+    at most ``most`` rows is broadcast as intervals and the reports are not moved; a longer one goes through ``asof_sorted``."""
+    if schedule.limit(most + 1).count() > most:
+        return asof_sorted(reports, schedule)
+    spans = schedule.select(F.col("valid_from").alias("_from"), F.lead("valid_from").over(Window.orderBy("valid_from")).alias("_to"), "ver")
+    inside = (F.col("ts") >= F.col("_from")) & (F.col("_to").isNull() | (F.col("ts") < F.col("_to")))
+    return reports.join(F.broadcast(spans), inside, "left").drop("_from", "_to")
+
+
+def asof_sorted(reports: DataFrame, schedule: DataFrame) -> DataFrame:
+    """The same for a long schedule: both sides in one stream an hour, sorted by time; every hour starts from the version that
+    the hours before it left."""
+    hour = lambda c: F.date_trunc("hour", c)
     left = reports.select(F.struct(*reports.columns).alias("row"), F.col("ts").alias("_at"), F.lit(None).cast("int").alias("ver"), F.lit(1).alias("_kind"))
-    right = schedule.select(F.lit(None).cast(left.schema["row"].dataType).alias("row"), F.col("valid_from").alias("_at"), "ver", F.lit(0).alias("_kind"))
-    # days are independent: each gets the version that was in force when it began
-    starts = reports.select(F.to_date("ts").alias("day")).distinct().join(F.broadcast(schedule), F.to_timestamp("day") >= F.col("valid_from")).groupBy("day").agg(F.max_by("ver", "valid_from").alias("ver"))
-    seeds = starts.select(F.lit(None).cast(left.schema["row"].dataType).alias("row"), F.to_timestamp("day").alias("_at"), "ver", F.lit(-1).alias("_kind"))
-    order = Window.partitionBy(F.to_date("_at")).orderBy("_at", "_kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    empty = F.lit(None).cast(left.schema["row"].dataType).alias("row")
+    right = schedule.select(empty, F.col("valid_from").alias("_at"), F.col("ver").cast("int").alias("ver"), F.lit(0).alias("_kind"))
+    hours = reports.select(hour("ts").alias("_hour")).union(schedule.select(hour("valid_from"))).distinct()
+    last = schedule.groupBy(hour("valid_from").alias("_hour")).agg(F.max_by("ver", "valid_from").alias("ver"))
+    before = Window.orderBy("_hour").rowsBetween(Window.unboundedPreceding, -1)  # one row an hour
+    starts = hours.join(last, "_hour", "left").withColumn("ver", F.last("ver", ignorenulls=True).over(before))
+    seeds = starts.select(empty, F.col("_hour").alias("_at"), F.col("ver").cast("int").alias("ver"), F.lit(-1).alias("_kind"))
+    order = Window.partitionBy(hour("_at")).orderBy("_at", "_kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return left.unionByName(right).unionByName(seeds).withColumn("ver", F.last("ver", ignorenulls=True).over(order)).filter("_kind = 1").select("row.*", "ver")
 
 

@@ -154,6 +154,11 @@ def join_asof_params(s, d):
     return joint.asof_params(load(s, d, "events", ["event_id", "ts"]), _schedule(s)).select("event_id", F.col("ver").cast("long"))
 
 
+@query(f"SELECT event_id, CAST(arg_max(ver, valid_from) AS BIGINT) AS ver FROM events JOIN {_SCHED_SQL} ON ts >= valid_from GROUP BY event_id")
+def join_asof_sorted(s, d):
+    return joint.asof_sorted(load(s, d, "events", ["event_id", "ts"]), _schedule(s)).select("event_id", F.col("ver").cast("long"))
+
+
 @query(f"SELECT event_id, CAST(ver AS BIGINT) AS ver FROM events JOIN {_SCHED_SQL} ON ts >= valid_from AND ts < valid_from + INTERVAL 1 HOUR")
 def join_interval(s, d):
     e, v = load(s, d, "events", ["event_id", "ts"]), F.broadcast(_schedule(s))
@@ -271,7 +276,7 @@ def win_running_budget(s, d):
 @query(f"SELECT item, f, {_r6('f * 1.0 / sum(f) OVER ()')} AS lam FROM (SELECT item, count(*) AS f FROM {items_sql('brand')} GROUP BY item)")
 def win_share(s, d):
     f = exact.frequencies(item_frame(s, d, "brand"))
-    return f.select("item", "f", R6(F.col("f") / F.sum("f").over(Window.partitionBy())).alias("lam"))
+    return f.crossJoin(F.broadcast(f.agg(F.sum("f").alias("n")))).select("item", "f", R6(F.col("f") / F.col("n")).alias("lam"))
 
 
 @query(f"SELECT item, cnt FROM {counts_sql('word')} ORDER BY cnt DESC, item LIMIT 20 OFFSET 5")
