@@ -216,6 +216,11 @@ def agg_central_sketches(s, d):
     return item_frame(s, d, "word").agg(F.length(F.count_min_sketch("item", F.lit(0.01), F.lit(0.95), F.lit(1))).alias("sketch_bytes"), F.approx_percentile("report_id", F.lit(0.5)).alias("median"))
 
 
+@query()
+def agg_central_topk(s, d):
+    return item_frame(s, d, "word").agg(F.expr("approx_top_k(item, 10)").alias("top")).select(F.explode("top").alias("t")).select("t.*")
+
+
 @query(f"SELECT item, count(*) FILTER (WHERE own) AS truthful, count(*) AS n FROM {reports_sql(SMOKE, items_sql('lang'))} GROUP BY item")
 def agg_conditional(s, d):
     return randomize.include(item_frame(s, d, "lang"), SMOKE).groupBy("item").agg(F.count_if("own").alias("truthful"), F.count("*").alias("n"))
@@ -273,6 +278,12 @@ def win_running_budget(s, d):
     return f.select(F.col("epoch").cast("string"), R6(F.avg("f").over(w.rowsBetween(-6, 0))).alias("moving"), F.sum("f").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("total"))
 
 
+@query(f"SELECT CAST(epoch AS VARCHAR) AS epoch, CAST(sum(f) OVER (ORDER BY epoch RANGE BETWEEN INTERVAL 2 DAY PRECEDING AND CURRENT ROW) AS BIGINT) AS three_days FROM (SELECT epoch, count(*) AS f FROM {items_sql('event_type')} GROUP BY 1)")
+def win_range_days(s, d):
+    f = item_frame(s, d, "event_type").groupBy("epoch").agg(F.count("*").alias("f")).withColumn("day", F.unix_date("epoch"))
+    return f.select(F.col("epoch").cast("string"), F.sum("f").over(Window.orderBy("day").rangeBetween(-2, 0)).alias("three_days"))
+
+
 @query(f"SELECT item, f, {_r6('f * 1.0 / sum(f) OVER ()')} AS lam FROM (SELECT item, count(*) AS f FROM {items_sql('brand')} GROUP BY item)")
 def win_share(s, d):
     f = exact.frequencies(item_frame(s, d, "brand"))

@@ -154,12 +154,11 @@ _W2 = [(e, f, b) for e in (1.0, 2.0, 3.0, 4.0, 5.0, 6.0, 8.0) for f in (1000.0,
 
 
 def _largest_m(eps: float, bits: int) -> tuple[int, int]:
-    """Largest power-of-two range whose subset report at p = 1/2 fits the bits, with its subset size."""
+    """Largest hash range (up to 2^14) whose subset report at p = 1/2 fits the bits, with its subset size."""
     best = (2, 1)
-    for e in range(1, 15):
-        m = 1 << e
+    for m in range(4, (1 << 14) + 1):
         z = max(1, min(m // 2, theory.s_of(0.5, eps, m)))
-        if z * e <= bits:
+        if z * math.ceil(math.log2(m)) <= bits:
             best = (m, z)
     return best
 
@@ -247,6 +246,18 @@ def census_like(s, d):
     return g.select("item", "f", *(rel(sp.p, sp.u).alias(name) for name, sp in CENSUS), rel(_PB, _CU).alias("classical"))
 
 
+@query()
+def census_simulated(s, d):
+    """Measured error of every value under the two tuned settings and the even split, from the exact marginal law."""
+    counts = exact.frequencies(item_frame(s, d, "band16"))
+    even = SketchParams(100, 100, 14, _PB)  # the even split as a subset report
+    out = None
+    for name, sp in (*CENSUS, ("even", even)):
+        r = simulate.marginal_support(counts, sp, 400).select("item", "f", F.lit(name).alias("setting"), (F.sqrt("mse") / F.col("f")).alias("rel_rmse"))
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
 @query()
 def census_measured(s, d):
     """One collection of the census column through the production path, beside exact counts."""

@@ -200,3 +200,49 @@ def test_the_rest_works_without_the_operator_folder(tmp_path):
     shutil.copy(os.path.join(root, "__spark_entry__.py"), tmp_path)
     out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), any(k.startswith('op') and k[2].isdigit() for k in e.queries()))"], cwd=tmp_path, capture_output=True, text=True, timeout=120, env={**os.environ, "PYTHONPATH": ""})
     assert out.stdout.split() == [str(len(QUERIES)), "False"], out.stderr
+
+
+@pytest.mark.parametrize("mode", ["keyed", "fast"])
+def test_other_modes_repeat_and_differ_from_replay(spark, small, mode):
+    items, sp = item_frame(spark, small, "lang"), SketchParams(8, 64, 5, 0.6)
+    a, b, c = (randomize.subset_reports(items, sp, mode=x, keep=["report_id"]) for x in (mode, mode, "replay"))
+    assert a.exceptAll(b).count() == 0 and a.exceptAll(c).count() > 0
+    est = estimate.frequencies(items, sketch.build(a), sp, mode=mode)
+    assert est.count() == 4
+
+
+def test_asof_forms_agree(spark, small):
+    from privsketch.operators import joint
+    from privsketch.sources.tables import load
+
+    events = load(spark, small, "events", ["event_id", "ts"])
+    schedule = spark.createDataFrame([("2024-01-03 05:10:00", 0), ("2024-01-03 05:40:00", 1), ("2024-01-20 00:00:00", 2)], "t string, ver int").select(F.to_timestamp("t").alias("valid_from"), "ver")
+    a, b = joint.asof_params(events, schedule), joint.asof_sorted(events, schedule)
+    assert a.exceptAll(b).count() == 0 and a.count() == b.count() == events.count()
+    assert a.filter("ver is null").count() > 0 and "Exchange hashpartitioning" not in plan(a)
+
+
+def test_versions_add_up(spark):
+    from privsketch.operators import joint
+
+    parts = spark.createDataFrame([("a", 10.0, 3.0), ("a", 5.0, 4.0), ("b", 1.0, 1.0)], "item string, est double, std_err double")
+    assert {r["item"]: (r["est"], r["std_err"]) for r in joint.combine_versions(parts).collect()} == {"a": (15.0, 5.0), "b": (1.0, 1.0)}
+
+
+def test_tuned_settings_win_near_their_targets(spark, medium):
+    """Closed form: the mid setting is best for rare values; the top value prefers a large p."""
+    rows = {r["item"]: r for r in QUERIES["census_like"](spark, medium).collect()}
+    assert rows["b15"]["mid"] < rows["b15"]["top"] < rows["b15"]["classical"]
+    assert rows["b00"]["top"] < rows["b00"]["mid"]
+
+
+def test_discovery_grows_with_budget(spark, medium):
+    found = [r["found"] for r in QUERIES["word_discovery"](spark, medium).orderBy("eps").collect()]
+    assert found == sorted(found)
+    want = [1533, 3089, 5592, 7893, 11389, 17320]
+    assert all(abs(a - b) < 0.1 * b for a, b in zip(found, want, strict=True))
+
+
+def test_subset_reports_beat_bit_vectors_at_equal_bits(spark, medium):
+    rows = QUERIES["sweep_eps_equal_bits"](spark, medium).filter("f = 1000 and eps >= 2").collect()
+    assert all(r["ours"] < r["classical"] for r in rows)
