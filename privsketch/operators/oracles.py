@@ -8,26 +8,24 @@ from __future__ import annotations
 import math
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import theory, tune
-from ..functions.prf import below, prf
+from ..functions.prf import below, prf, prf_int
 from .randomize import cell
 
 
-def coded(items: DataFrame, domain: DataFrame) -> DataFrame:
-    """Reports joined with the code (1..D, by name) of their item; ``domain`` must be a known small set."""
-    from pyspark.sql import Window
+#: Largest domain for protocols whose reports are scanned once an item.
+LARGEST_DOMAIN = 20_000
 
-    codes = domain.select("item").distinct().withColumn("code", F.row_number().over(Window.orderBy("item")))
-    return items.join(F.broadcast(codes), "item")
 
-
-def codes_of(domain: DataFrame) -> DataFrame:
-    from pyspark.sql import Window
-
-    return domain.select("item").distinct().withColumn("code", F.row_number().over(Window.orderBy("item")))
+def codes_of(domain: DataFrame, largest: int = LARGEST_DOMAIN) -> DataFrame:
+    """Items with their code 1..D, by name. These protocols cost a domain's worth of work a report, so its size is checked."""
+    names = domain.select("item").distinct()
+    if names.limit(largest + 1).count() > largest:
+        raise ValueError(f"the domain has more than {largest} items; use the subset sketch")
+    return names.withColumn("code", F.row_number().over(Window.orderBy("item")))
 
 
 def pure_estimate(support: DataFrame, n: int | Column, p: float, q: float) -> DataFrame:
@@ -103,7 +101,7 @@ def local_hash(items: DataFrame, domain: DataFrame, eps: float, g: int | None =
     other = prf(seed, "lho", "report_id") % (g - 1)
     said = F.when(below(seed, "lhp", p, "report_id"), F.col("own")).otherwise(F.when(other >= F.col("own"), other + 1).otherwise(other))
     rows = items.withColumn("own", own).withColumn("said", said).select("report_id", "said")
-    names = domain.select("item").distinct()
+    names = codes_of(domain).select("item")
     hits = rows.join(F.broadcast(names)).filter(F.col("said") == prf(seed, "lh", "report_id", "item") % g)
     out = names.join(hits.groupBy("item").agg(F.count("*").alias("support")), "item", "left").select("item", F.coalesce("support", F.lit(0)).cast("long").alias("support"))
     return pure_estimate(out.crossJoin(F.broadcast(items.agg(F.count("*").alias("n")))), F.col("n"), p, q)
@@ -140,9 +138,7 @@ def classical_reports(items: DataFrame, k: int, m: int, eps: float, seed: int =
 def classical_estimate(items: DataFrame, matrix: DataFrame, k: int, m: int, eps: float, n: int | Column, seed: int = 42) -> DataFrame:
     """The count-mean estimator of the bit-vector sketch from its matrix."""
     p = 1 / (1 + math.exp(-eps / 2))
-    from ..functions.theory import SketchParams
-
-    sp = SketchParams(k, m, 1, 0.5, seed)
+    sp = theory.SketchParams(k, m, 1, 0.5, seed)
     probes = items.select("item").distinct().withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(k)))).withColumn("x", cell(sp, F.col("j"), F.col("item")))
     got = probes.join(matrix, ["j", "x"], "left").groupBy("item").agg(F.sum(F.coalesce("cnt", F.lit(0))).cast("long").alias("support"))
     got = got.withColumn("n", n if isinstance(n, Column) else F.lit(n).cast("long"))
@@ -170,8 +166,6 @@ def cohort_bits(items: DataFrame, cohorts: int, bits: int, hashes: int, flip: fl
 
 def cohort_decode(counts: DataFrame, domain: list[str], cohorts: int, bits: int, hashes: int, flip: float = 0.25, p1: float = 0.35, q1: float = 0.65, seed: int = 42, rounds: int = 2000) -> DataFrame:
     """Candidate counts by non-negative least squares on the debiased bit counts (cohorts x bits equations, small domain)."""
-    from ..functions.prf import prf_int
-
     target = np.zeros((cohorts, bits))
     for r in counts.collect():  # cohorts x bits rows
         target[r["cohort"], r["bit"]] = (r["cnt"] - (p1 + 0.5 * flip * (q1 - p1)) * r["n"]) / ((1 - flip) * (q1 - p1))
