@@ -102,11 +102,10 @@ def slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int =
 
 
 def lower_ascii(text: str) -> str:
-    """Lower-case A-Z only."""
-    return text.lower() if text.isascii() else text.translate(_AZ)
+    """Lower-case A-Z only (bytes know no other letters)."""
+    return text.lower() if text.isascii() else text.encode("utf-8", "surrogatepass").lower().decode("utf-8", "surrogatepass")
 
 
-_AZ = {i: i + 32 for i in range(65, 91)}
 _ODD = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
 
 
