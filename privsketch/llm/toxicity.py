@@ -30,7 +30,7 @@ from ._util import Recent, only, ship, slices
 from .language_id import held_out
 
 DECAY, SPAN, ALPHABET, LONGEST = 0.6, 7, 40, 24
-SAMPLE_DOCS, LANDMARKS, ROUNDS, COST, THRESHOLD, CACHE = 2500, 384, 4, 5.0, 0.7, 300_000
+SAMPLE_DOCS, LANDMARKS, ROUNDS, COST, THRESHOLD, CACHE = 2500, 320, 4, 5.0, 0.7, 300_000
 _OFFSETS = [(i, j) for j in range(2, SPAN) for i in range(1, j)]
 _WORD, _OTHER = re.compile(r"[^\x20\x09-\x0D]+"), re.compile(r"[\W\d_]+")
 
@@ -234,7 +234,7 @@ def train(bags: list[tuple[list[str], int]]) -> Machine:
         gain, harm = np.minimum(weight, 20.0), np.sqrt(c[hard])
         cost = np.r_[gain / gain.sum(), 2 * harm / harm.sum()] * COST * len(hard)
         w, bias = support_vector(x, y, cost)
-        folded = landmarks @ (root @ w)
+        folded = (landmarks @ (root @ w).astype(np.float32)).astype(float)
         value = values(names, folded, bias)
         hard = np.union1d(hard, seen[np.argsort(-value[seen], kind="stable")][:2500])
     floor = float(min(bias, np.median(value[seen])))
