@@ -12,6 +12,7 @@ import gc
 import os
 import re
 import tempfile
+import unicodedata
 import uuid
 import zipfile
 from collections.abc import Iterable, Iterator
@@ -114,6 +115,20 @@ def tokens(text: str) -> list[str]:
     return TOKEN.findall(text) if _ODD.search(text) else text.split()
 
 
+class Settled:
+    """Whether all characters of a text have had their class since Unicode 3.2; libraries' tables differ for younger ones."""
+
+    def __init__(self):
+        self.fine, self.young = set(map(chr, range(128))), set()
+
+    def __call__(self, text: str) -> bool:
+        if text.isascii():
+            return True
+        for c in set(text) - self.fine - self.young:
+            (self.young if unicodedata.ucd_3_2_0.category(c) in ("Cn", "Cs", "Co") else self.fine).add(c)
+        return not self.young or self.young.isdisjoint(text)
+
+
 _HELD: dict = {}
 
 

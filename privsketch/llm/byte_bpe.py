@@ -19,7 +19,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from ._util import HashTable, Recent, only, ship, slices
+from ._util import HashTable, Recent, Settled, only, ship, slices
 
 CACHE = 400_000
 _P = np.uint64(0x9E3779B97F4A7C15 | 1)
@@ -204,10 +204,30 @@ class TextCodec:
 
     def __init__(self, path: str, pattern: str):
         self.v, self.pattern = Vocabulary(path), regex.compile(pattern)
-        self.known = Recent(CACHE)
+        self.known, self.settled, self.kinds, self.probes = Recent(CACHE), Settled(), {}, None
+
+    def stand_in(self, c: str) -> str:
+        """A character of the class that the library gives to ``c``: it drops what a one-class pattern does not match."""
+        if self.probes is None:
+            import tiktoken
+
+            ranks = {bytes([i]): i for i in range(256)}
+            self.probes = {x: tiktoken.Encoding(f"probe{i}", pat_str=p, mergeable_ranks=ranks, special_tokens={}) for i, (x, p) in enumerate((("a", r"\p{L}"), ("0", r"\p{N}"), ("\t", r"\s")))}
+        got = self.kinds.get(c)
+        if got is None:
+            got = self.kinds[c] = next((x for x, e in self.probes.items() if e.encode_ordinary(c)), "!")
+        return got
+
+    def matches(self, text: str) -> list[str]:
+        """Matches of the pattern; characters of disputed class are read as the library reads them."""
+        if self.settled(text):
+            return self.pattern.findall(text)
+        young = self.settled.young
+        plain = "".join([self.stand_in(c) if c in young else c for c in text])
+        return [text[m.start() : m.end()] for m in self.pattern.finditer(plain)]
 
     def ids(self, text: str) -> list[int]:
-        return [t for p in encode_pieces(self.v, [m.encode("utf-8", "surrogatepass") for m in self.pattern.findall(text)]) for t in p]
+        return [t for p in encode_pieces(self.v, [m.encode("utf-8", "surrogatepass") for m in self.matches(text)]) for t in p]
 
     def decode(self, ids: list[int]) -> bytes:
         of = self.v.bytes_of
@@ -217,7 +237,7 @@ class TextCodec:
         if not text:
             return []
         if _WIDE.search(text):
-            return ["\0" + m for m in self.pattern.findall(text)]
+            return ["\0" + m for m in self.matches(text)]
         first, *rest = text.replace("\n", " \n").split(" ")
         return ["\0" + first, *rest]
 
@@ -226,7 +246,7 @@ class TextCodec:
         per, pieces = [], {}
         for c in chunks:
             text = c[1:] if c[0] == "\0" else c if c[0] == "\n" else " " + c
-            per.append([pieces.setdefault(m.encode("utf-8", "surrogatepass"), len(pieces)) for m in self.pattern.findall(text)])
+            per.append([pieces.setdefault(m.encode("utf-8", "surrogatepass"), len(pieces)) for m in self.matches(text)])
         raw = list(pieces)
         codes = encode_pieces(self.v, raw)
         for p, ids in zip(raw, codes, strict=True):

@@ -18,7 +18,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from ._util import HashTable, Recent, only, ship, slices
+from ._util import HashTable, Recent, Settled, only, ship, slices
 
 #: The white space that the normaliser's \s stands for.
 SPACE = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -100,7 +100,16 @@ class WordCounter:
         self.base = len(vocab)
         self.ranks = HashTable(np.array([vocab[a] * self.base + vocab[b] for a, b in pairs], np.uint64), np.arange(len(pairs)))
         self.merged = np.array([vocab[a + b] for a, b in pairs], np.int64)
-        self.known = Recent(CACHE)
+        self.known, self.settled, self.path, self.library = Recent(CACHE), Settled(), path, None
+
+    def split_young(self, chunk: str) -> list[str]:
+        """Pre-tokens of a chunk with characters of disputed class: the library's own normaliser and splitter say."""
+        if self.library is None:
+            from tokenizers import Tokenizer
+
+            self.library = Tokenizer.from_file(self.path)
+        chunk = self.library.normalizer.normalize_str(chunk)
+        return [chunk[a:b] for _, (a, b) in self.library.pre_tokenizer.pre_tokenize_str(chunk)]
 
     def normal(self, chunk: str) -> str:
         """Composed form, each character lower-cased by itself."""
@@ -115,6 +124,9 @@ class WordCounter:
         words: dict[str, int] = {}
         place, per = words.setdefault, []
         for c in chunks:
+            if not c.isascii() and not self.settled(c):
+                per.append(tuple([place(w, len(words)) for w in self.split_young(c)]))
+                continue
             c = c.lower() if c.isascii() else self.normal(c)
             if c.isalpha():
                 per.append((place(c, len(words)),))

@@ -157,3 +157,19 @@ def test_media_frame(spark, odd, none, texts):
     assert media_ogg.media_rows(none).count() == 0
     one = media_ogg.media_column(odd).filter("doc_id = 4").first()
     assert hashlib.sha256(one.media).hexdigest() == next(r.media_sha256 for r in rows if r.doc_id == 4)
+
+
+def test_young_characters_follow_the_libraries(library):
+    """Classes of characters newer than Unicode 3.2 differ between libraries; whole planes at random."""
+    import base64
+
+    import tiktoken
+
+    r = random.Random(77)
+    t = ["".join(chr(r.choice([r.randrange(32, 127), r.randrange(0x80, 0xD7FF), r.randrange(0xE000, 0x1FFFF)])) for _ in range(30)) for _ in range(400)] + ["Ŋ֋ x"]
+    assert packing.WordIds(WORDS).encode(t) == [np.array(library.encode(x, add_special_tokens=False).ids, "<u4").tobytes() for x in t]
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(RANKS, "rb"))}
+    lib = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    c = byte_bpe.codec(RANKS, P.PATTERN)
+    assert [c.ids(x) for x in t] == [lib.encode_ordinary(x) for x in t]
+    assert [g[1] for g in c.digest(t)] == [hashlib.sha256(" ".join(map(str, lib.encode_ordinary(x))).encode()).hexdigest() for x in t]
