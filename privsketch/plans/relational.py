@@ -430,3 +430,26 @@ def arrow_sketch(s, d):
     r = randomize.subset_reports(item_frame(s, d, "priority"), SMOKE)
     return sketch.build_dense(r, 8, 64).select(F.col("j").cast("long"), F.col("x").cast("long"), "cnt")
 
+
+@query("SELECT event_type, date_trunc('month', ts)::DATE::VARCHAR AS month, count(*) AS cnt FROM events GROUP BY 1, 2")
+def sql_views(s, d):
+    tables.register_views(s, d, ["events"])
+    return s.sql("SELECT event_type, cast(to_date(date_trunc('month', ts)) AS string) AS month, count(*) AS cnt FROM events GROUP BY 1, 2")
+
+
+@query("SELECT n_name, levenshtein(n_name, 'CANADA') AS distance, upper(left(n_name, 3)) AS code FROM nation")
+def str_distance(s, d):
+    return load(s, d, "nation", ["n_name"]).select("n_name", F.levenshtein("n_name", F.lit("CANADA")).cast("long").alias("distance"), F.upper(F.left("n_name", F.lit(3))).alias("code"))
+
+
+@query("SELECT event_id, CAST(date_diff('hour', TIMESTAMP '2024-01-01', date_trunc('hour', ts)) AS BIGINT) AS hours, CAST(date_trunc('hour', ts) + INTERVAL 90 MINUTE AS VARCHAR) AS closes FROM events")
+def date_windows(s, d):
+    hour = F.date_trunc("hour", "ts")
+    return load(s, d, "events", ["event_id", "ts"]).select("event_id", F.timestamp_diff("HOUR", F.lit("2024-01-01").cast("timestamp"), hour).alias("hours"), (hour + F.make_interval(mins=F.lit(90))).cast("string").alias("closes"))
+
+
+@query("SELECT item, count(*) AS times FROM (SELECT event_type AS item FROM events WHERE user_id < 40 INTERSECT ALL SELECT event_type FROM events WHERE user_id >= 40 AND user_id < 60) GROUP BY item")
+def setop_intersect_all(s, d):
+    df = load(s, d, "events", ["event_type", "user_id"])
+    both = df.filter("user_id < 40").select(F.col("event_type").alias("item")).intersectAll(df.filter("user_id >= 40 and user_id < 60").select("event_type"))
+    return both.groupBy("item").agg(F.count("*").alias("times"))
