@@ -12,6 +12,7 @@ import gc
 import os
 import re
 import tempfile
+import time
 import unicodedata
 import uuid
 import zipfile
@@ -59,8 +60,10 @@ def drop(df: DataFrame) -> None:
 
 def free_shuffles(spark: SparkSession) -> None:
     """Shuffle files go when the driver collects the plans that made them; between heavy passes that should be now."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # the first round lets go of what Python held, the second of what that held
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def ship(spark: SparkSession, batch_rows: int = 2000) -> SparkSession:

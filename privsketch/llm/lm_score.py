@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import ppm
-from ._util import keep, lower_ascii, only, ship, tabled, tokens, width
+from ._util import free_shuffles, keep, lower_ascii, only, ship, tabled, tokens, width
 from .language_id import held_out
 
 ORDER, TRIE_ENTRIES, CLASSES, HOLD = 4, 2_000_000, 7, (7, 2)
@@ -133,6 +133,7 @@ def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
                 yield row(1, k, keys.tobytes(), counts.tobytes())
 
     back = keep(sent.groupBy("part").applyInArrow(tabled(add_up, BACK), BACK), "counts")
+    free_shuffles(spark)
     sums = np.zeros(3 * many + 1, np.int64)
     for r in back.filter("kind = 2").select("one").toLocalIterator():
         sums += np.frombuffer(r[0], np.int64)
