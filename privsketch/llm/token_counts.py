@@ -111,30 +111,31 @@ class WordCounter:
         chunk = self.library.normalizer.normalize_str(chunk)
         return [chunk[a:b] for _, (a, b) in self.library.pre_tokenizer.pre_tokenize_str(chunk)]
 
-    def normal(self, chunk: str) -> str:
+    def normal(self, text: str) -> str:
         """Composed form, each character lower-cased by itself."""
-        if chunk.isascii():
-            return chunk.lower()
-        chunk = unicodedata.normalize("NFC", chunk)
-        return "".join(c.lower() for c in chunk) if "Σ" in chunk else chunk.lower()
+        if text.isascii():
+            return text.lower()
+        text = unicodedata.normalize("NFC", text)
+        return "".join(c.lower() for c in text) if "Σ" in text else text.lower()
 
     def symbols(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray, list[tuple[int, ...]]]:
         """Surviving ids of the distinct pre-tokens end to end, their counts, and the pre-tokens of each chunk. Letters with at
         most a comma or full stop behind need no pattern."""
         words: dict[str, int] = {}
         place, per = words.setdefault, []
-        for c in chunks:
-            if not c.isascii() and not self.settled(c):
-                per.append(tuple([place(w, len(words)) for w in self.split_young(c)]))
-                continue
-            c = c.lower() if c.isascii() else self.normal(c)
-            if c.isalpha():
+        text = "\n".join(chunks)  # chunks hold no white space, so all are normalised at once
+        young = not self.settled(text)
+        lowered = [self.normal(c) for c in chunks] if "Σ" in text else self.normal(text).split("\n")
+        for c, own in zip(lowered, chunks, strict=True):
+            if young and not own.isascii() and not self.settled(own):
+                per.append(tuple([place(w, len(words)) for w in self.split_young(own)]))
+            elif c.isalpha():
                 per.append((place(c, len(words)),))
             elif c[-1] in ",." and c[:-1].isalpha():
                 per.append((place(c[:-1], len(words)), place(c[-1], len(words))))
             else:
                 per.append(tuple([place(w, len(words)) for w in self.pattern.findall(c)]))
-        raw = [w.encode("utf-8", "surrogatepass") for w in words]
+        raw = "\n".join(words).encode("utf-8", "surrogatepass").split(b"\n") if words else []
         lengths = np.fromiter(map(len, raw), np.int64, len(raw))
         data = np.frombuffer(b"".join(raw), np.uint8)
         ids = self.first[data]
