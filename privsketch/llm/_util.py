@@ -92,6 +92,7 @@ def width(spark: SparkSession) -> int:
 
 def slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int = 8 << 20) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
     """Row slices of at most about ``limit`` characters (one row at least), with the texts (null: empty)."""
+    frugal()
     gc.set_threshold(500_000, 20, 20)  # the word memories hold many small objects and no cycles
     for batch in batches:
         texts = ["" if t is None else t for t in batch.column(column).to_pylist()]
@@ -103,6 +104,7 @@ def slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int =
             size += len(t)
         if at < len(texts):
             yield batch.slice(at), texts[at:]
+    trim()
 
 
 def lower_ascii(text: str) -> str:
@@ -132,6 +134,25 @@ class Settled:
         return not self.young or self.young.isdisjoint(text)
 
 
+def _library():
+    with contextlib.suppress(OSError):
+        return ctypes.CDLL(None)
+
+
+def frugal() -> None:
+    """Large blocks of a worker go straight back to the system when freed (where the C library can), and one arena is used."""
+    with contextlib.suppress(AttributeError):
+        for option, value in ((-3, 1 << 20), (-1, 4 << 20), (-8, 1)):
+            _library().mallopt(option, value)
+
+
+def trim() -> None:
+    """Give freed memory back at the end of a piece of work: workers wait for their next task holding little."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError):
+        _library().malloc_trim(0)
+
+
 _HELD: dict = {}
 
 
@@ -140,8 +161,7 @@ def only(key, make):
     if key not in _HELD:
         _HELD.clear()
         gc.collect()
-        with contextlib.suppress(OSError, AttributeError):  # give freed memory back where the C library can
-            ctypes.CDLL(None).malloc_trim(0)
+        trim()
         _HELD[key] = make()
     return _HELD[key]
 
@@ -226,6 +246,13 @@ def tabled(work, fields: str, sides: int = 1):
     """A grouped (or cogrouped) Arrow function from a generator ``work(key, batches...)`` of batches with ``fields``."""
     kinds = {"int": pa.int32(), "long": pa.int64(), "string": pa.string(), "binary": pa.binary(), "double": pa.float64(), "boolean": pa.bool_()}
     schema = pa.schema([(n, kinds[k]) for n, k in (f.split() for f in fields.split(", "))])
+
+    def run(key, *tables):
+        frugal()
+        out = pa.Table.from_batches(list(work(key, *(t.to_batches() for t in tables))), schema)
+        trim()
+        return out
+
     if sides == 1:
-        return lambda key, table: pa.Table.from_batches(list(work(key, table.to_batches())), schema)
-    return lambda key, left, right: pa.Table.from_batches(list(work(key, left.to_batches(), right.to_batches())), schema)
+        return lambda key, table: run(key, table)
+    return lambda key, left, right: run(key, left, right)

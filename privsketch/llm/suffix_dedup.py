@@ -29,7 +29,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._util import drop, free_shuffles, keep, ship, tabled, width
+from ._util import drop, free_shuffles, frugal, keep, ship, tabled, trim, width
 
 SPAN, GRAM, PERIOD = 50, 24, 16
 #: Residues whose differences give every residue of the period.
@@ -388,6 +388,7 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
     result = f"{kept_fields}, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
 
     def remove(key, left, right):
+        frugal()
         late, marks = _replies(right.to_batches())
         body = [t.encode("utf-8", "surrogatepass") for t in left.column("body").to_pylist()]
         origin = left.column("origin").to_pylist()
@@ -398,7 +399,8 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
             s = _ints(starts)
             np.add.at(edge, s, 1)
             np.add.at(edge, s + _ints(counts) + span - 1, -1)
-        covered = np.cumsum(edge[:-1]) > 0
+        covered = np.cumsum(edge[:-1], dtype=np.int32) > 0
+        del edge
         n = len(body)
         removed, spans, digest, kept = [0] * n, [0] * n, [""] * n, [b""] * n
         for i, b, s in zip(order, (np.cumsum(sizes) - sizes).tolist(), sizes.tolist(), strict=True):
@@ -412,6 +414,8 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
                 text = np.frombuffer(text, np.uint8)[~c].tobytes()
             kept[i], digest[i] = text, hashlib.sha256(text).hexdigest()
         cols = [*(left.column(c) for c in ["doc_id", *carry]), pa.array([len(x) for x in body], pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(digest), pa.array(kept, pa.binary())]
+        del body, covered, kept
+        trim()
         return pa.table(cols, names=["doc_id", *carry, "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
     shared = keep(inside.cogroup(copies.groupBy("block")).applyInArrow(tabled(send_anchors, ANCHORS, 2), ANCHORS).groupBy("part").applyInArrow(tabled(answer, REPLY), REPLY), "shared")
