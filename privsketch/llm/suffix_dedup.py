@@ -3,7 +3,7 @@
 A document byte goes when a ``SPAN``-byte string over it also starts in a document with a smaller doc_id. Strings are found in three
 passes over blocks of documents.
 
-Later copies of a whole text are found by digest and lose everything, so they take no part in the passes.
+Later copies of a whole text are found by digest, row by row, and lose everything, so those rows take no part in the passes.
 
 1. Every string contains an anchor: the ``GRAM``-byte window with the least hash. A block sends the distinct anchors of its strings,
    packed by hash range; a range's task answers which occur in more than one document, one bit an anchor.
@@ -236,11 +236,11 @@ def blocks(docs: DataFrame, carry: list[str], size: int) -> tuple[DataFrame, int
 
 
 def later_copies(rows: DataFrame) -> DataFrame:
-    """``block, part`` (-1)``, one, two``: origins of texts that an earlier document has as well, one row each; texts do not move."""
+    """``block, part`` (-1)``, one, two``: origin and digest of texts that an earlier document has as well; texts do not move."""
     marks = rows.select("block", "origin", F.sha2(F.col("body").cast("binary"), 256).alias("digest"))
     first = marks.groupBy("digest").agg(F.min("origin").alias("first"), F.max("origin").alias("last")).filter("last > first").select("digest", "first")
     late = marks.join(first, "digest").filter("origin > first")
-    return late.select("block", F.lit(-1).alias("part"), F.col("origin").cast("string").cast("binary").alias("one"), F.lit(None).cast("binary").alias("two"))
+    return late.select("block", F.lit(-1).alias("part"), F.col("origin").cast("string").cast("binary").alias("one"), F.unhex("digest").alias("two"))
 
 
 def _texts(batches) -> tuple[list[int], list[bytes]]:
@@ -252,18 +252,23 @@ def _texts(batches) -> tuple[list[int], list[bytes]]:
     return [o for o, _ in got], [t for _, t in got]
 
 
-def _replies(batches) -> tuple[set[int], list[tuple[int, bytes, bytes]]]:
-    """Origins of later copies, and the other rows as (part, one, two)."""
-    late, rest = set(), []
+def _replies(batches) -> tuple[dict[int, set[bytes]], list[tuple[int, bytes, bytes]]]:
+    """Digests of later copies by origin, and the other rows as (part, one, two)."""
+    late, rest = {}, []
     for b in batches:
         for part, one, two in zip(*(b.column(c).to_pylist() for c in ("part", "one", "two")), strict=True):
             if part < 0:
-                late.add(int(one))
+                late.setdefault(int(one), set()).add(two)
             else:
                 rest.append((part, one, two))
     return late, rest
 
 
+def _is_late(late: dict[int, set[bytes]], origin: int, text: bytes) -> bool:
+    """Whether this row's own text is a later copy; other rows may share its origin."""
+    return origin in late and hashlib.sha256(text).digest() in late[origin]
+
+
 def _ints(data: bytes) -> np.ndarray:
     return np.frombuffer(zstandard.decompress(data), np.int32).astype(np.int64)
 
@@ -285,7 +290,7 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
         """Texts of a block without later copies, their runs, and the replies."""
         late, rest = _replies(right)
         origin, texts = _texts(left)
-        use = [i for i, o in enumerate(origin) if o not in late]
+        use = [i for i, (o, t) in enumerate(zip(origin, texts, strict=True)) if not _is_late(late, o, t)]
         own = np.array([origin[i] for i in use], np.int64)
         # positions are those of the whole block, in order
         sizes = np.fromiter(map(len, texts), np.int64, len(texts))
@@ -406,7 +411,7 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
         for i, b, s in zip(order, (np.cumsum(sizes) - sizes).tolist(), sizes.tolist(), strict=True):
             c = covered[b : b + s]
             text = body[i]
-            if origin[i] in late and s >= span:  # every byte lies in a string of the first copy
+            if s >= span and _is_late(late, origin[i], text):  # every byte lies in a string of the first copy
                 removed[i], spans[i], text = s, 1, b""
             elif c.any():
                 removed[i] = int(c.sum())

@@ -168,6 +168,19 @@ def test_suffix_dedup(spark, small, odd, none, texts):
     assert suffix_dedup.deduplicate(none).count() == 0
 
 
+def test_copies_go_row_by_row(spark):
+    """A row that is a later copy takes no other row of its id (or without an id) along, and those stay sources."""
+    own = [f"{w} " * 30 for w in ("first", "second", "third", "fourth", "fifth")]
+    rows = [(1, own[0]), (None, own[0]), (None, own[1]), (5, own[0]), (5, own[2]), (5, own[2]), (6, own[3]), (7, "more " + own[2]), (None, own[4] + own[3])]
+    last = suffix_dedup.LAST
+    ids = [(last if i is None else i, t.encode()) for i, t in rows]
+    for size in (8_000_000, 200):
+        seen = suffix_dedup.deduplicate(spark.createDataFrame(rows, "doc_id long, text string"), size=size).collect()
+        got = sorted((last if x.doc_id is None else x.doc_id, x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in seen)
+        assert got == brute_dedup(ids)
+        assert sorted(x.n_bytes - x.n_removed for x in seen if x.doc_id is None)[::2] == [0, len(own[1])]
+
+
 def test_remaining_text_is_text(spark):
     shared = "é" * 40
     df = spark.createDataFrame([(1, "start " + shared), (2, shared + " end"), (3, "clean � text")], "doc_id long, text string")
