@@ -30,7 +30,7 @@ from ._util import Recent, only, ship, slices
 from .language_id import held_out
 
 DECAY, SPAN, ALPHABET, LONGEST = 0.6, 7, 40, 24
-SAMPLE_DOCS, LANDMARKS, ROUNDS, COST, THRESHOLD, CACHE = 2500, 320, 4, 5.0, 0.7, 300_000
+SAMPLE_DOCS, LANDMARKS, ROUNDS, COST, THRESHOLD, CACHE = 2500, 512, 5, 5.0, 0.7, 300_000
 _OFFSETS = [(i, j) for j in range(2, SPAN) for i in range(1, j)]
 _WORD, _OTHER = re.compile(r"[^\x20\x09-\x0D]+"), re.compile(r"[\W\d_]+")
 
@@ -209,7 +209,8 @@ def train(bags: list[tuple[list[str], int]]) -> Machine:
     at = {u: i for i, u in enumerate(names)}
     t, c = np.array([toxic[u] for u in names], float), np.array([clean[u] for u in names], float)
     odds = np.log((t + 0.05) / (n1 + 1)) - np.log((c + 0.05) / (n0 + 1))
-    odds[t < max(6, 0.012 * n1)] = -np.inf
+    # the bar stops where chance alone would put less than one unit into toxic texts only, however large the sample
+    odds[t < max(6, min(0.012 * n1, np.log2(len(names))))] = -np.inf
     positive = [np.array([at[u] for u in us], int) for us, y in bags if y and us]
     negative = [np.array([at[u] for u in us], int) for us, y in bags if not y and us]
     witness = [p[odds[p] > 2] for p in positive]

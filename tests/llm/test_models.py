@@ -1,4 +1,5 @@
 import math
+import random
 import re
 import zlib
 from collections import Counter
@@ -152,6 +153,16 @@ def test_units_tolerate_gaps():
     assert toxicity.units_of_token("123") == ()
 
 
+def test_rare_insults_of_large_label_sets():
+    assert (toxicity.LANDMARKS, toxicity.ROUNDS) == (512, 5)
+    r = random.Random(3)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(5))
+    plain = [word() for _ in range(300)]
+    bags = [(sorted({*r.sample(plain, 10), "twit" if i % 100 else "zoykum"}), 1) for i in range(2500)] + [(sorted(r.sample(plain, 10)), 0) for _ in range(2500)]
+    rare, common, clean = toxicity.train(bags).score(["zoykum zoykum! zoykum, (zoykum)", "twit twit! twit,", " ".join(plain[:10])])
+    assert rare >= toxicity.THRESHOLD and common >= toxicity.THRESHOLD > clean
+
+
 def test_toxicity_on_held_out_documents(spark):
     d = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
