@@ -4,8 +4,8 @@ Words are counted over all training documents, by class (the training documents'
 apart and the rest together). Documents go to buckets by a hash of doc_id. A bucket's words travel once, packed by word hash
 range; the task of a range adds the counts of each word over all buckets, sends every bucket the counts back in the order
 received, and turns its words into context counts for the tries. So no word list of the corpus is in one place: what grows with
-the corpus is shuffled, and only the tries go to the driver. Their depth is the largest, at most ``ORDER``, whose tables stay under
-``TRIE_ENTRIES`` entries together; the lowest orders are bounded by the byte alphabet.
+the corpus is shuffled, and only the tries, added up by context beforehand, go to the driver. Their depth is ``order`` whatever
+the input; they grow with the distinct strings of up to ``order`` + 1 bytes inside words.
 
 The model codes the lower-cased word sequence with an empty word as the end. The class comes first (its share of the training
 documents), chosen by the words' counts. A word known to the class is a symbol of the class's longest context, which escapes by
@@ -28,7 +28,7 @@ from . import ppm
 from ._util import free_shuffles, keep, lower_ascii, only, ship, tabled, tokens, width
 from .language_id import held_out
 
-ORDER, TRIE_ENTRIES, CLASSES, HOLD = 4, 2_000_000, 7, (7, 2)
+ORDER, CLASSES, HOLD = 4, 7, (7, 2)
 _LOG = np.log10(2)
 SENT = "part int, bucket int, words string, counts binary"
 BACK = "kind int, part int, bucket int, one binary, two binary"
@@ -184,32 +184,27 @@ def word_logs(model: ppm.Model, words: list[bytes], count: np.ndarray, size: int
 
 
 def tries(back: DataFrame, order: int, ends: np.ndarray) -> tuple[list[tuple[np.ndarray, np.ndarray]], int]:
-    """Merged context counts of each class over its words and ends, cut to the deepest order under the bound."""
-    held = [ppm.gather([b""], np.array([float(n)]), order) if n else (np.zeros(0, np.uint64), np.zeros(0, np.int64)) for n in ends.tolist()]
-    wait: list[list] = [[h] for h in held]
-    size = 0
-
-    def settle():
-        nonlocal order, size
-        for k, parts in enumerate(wait):
-            wait[k] = [ppm.merge(np.concatenate([x for x, _ in parts]), np.concatenate([c for _, c in parts]))]
-        while True:
-            for k in range(len(wait)):
-                keys, counts = wait[k][0]
-                fits = (keys >> np.uint64(56)) <= order
-                wait[k] = [(keys[fits], counts[fits])]
-            if order <= 1 or sum(len(w[0][0]) for w in wait) <= TRIE_ENTRIES:
-                break
-            order -= 1
-        size = 0
-
-    for r in back.filter("kind = 1").select("bucket", "one", "two").toLocalIterator():
+    """Context counts of each class over its words and ends, of all lengths up to ``order``: added up by key in the cluster, then
+    each entry comes to the driver once."""
+
+    def entries(batches):
+        for b in batches:
+            for k, one, two in zip(*(b.column(c).to_pylist() for c in ("bucket", "one", "two")), strict=True):
+                keys = np.frombuffer(one, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), k, np.int32)), pa.array(keys), pa.array(np.frombuffer(two, np.int64))], names=["class", "key", "n"])
+
+    def pack(batches):
+        cols = [np.concatenate(x) for x in zip(*([b.column(c).to_numpy() for c in ("class", "key", "n")] for b in batches), strict=True)]
+        for k in np.unique(cols[0]).tolist() if cols else []:
+            own = cols[0] == k
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([cols[1][own].tobytes()], pa.binary()), pa.array([cols[2][own].tobytes()], pa.binary())], names=["class", "one", "two"])
+
+    added = back.filter("kind = 1").select("bucket", "one", "two").mapInArrow(entries, "class int, key long, n long").groupBy("class", "key").agg(F.sum("n").alias("n"))
+    wait = [[ppm.gather([b""], np.array([float(n)]), order)] if n else [] for n in ends.tolist()]
+    for r in keep(added.mapInArrow(pack, "class int, one binary, two binary"), "contexts").toLocalIterator():
         wait[r[0]].append((np.frombuffer(r[1], np.uint64), np.frombuffer(r[2], np.int64)))
-        size += len(wait[r[0]][-1][0])
-        if size > TRIE_ENTRIES:
-            settle()
-    settle()
-    return [w[0] for w in wait], order
+    none = (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+    return [ppm.merge(np.concatenate([x for x, _ in w]), np.concatenate([c for _, c in w])) if w else none for w in wait], order
 
 
 def _open(shared) -> tuple:

@@ -9,6 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from privsketch.llm import language_id, lm_score, ppm, toxicity
+from privsketch.llm._util import lower_ascii, tokens
 
 
 @pytest.mark.parametrize("order", [1, 2, 3])
@@ -113,6 +114,22 @@ def test_language_model_beats_the_baseline(spark):
     assert r.s > r.b
 
 
+def test_contexts_keep_their_order(spark, small, monkeypatch):
+    """No size of the tries shortens the contexts, and adding up by key loses none."""
+    docs = spark.read.parquet(f"{small}/documents.parquet").limit(60)
+    got, first = {}, lm_score.tries
+    monkeypatch.setattr(lm_score, "tries", lambda *a: got.setdefault("tries", first(*a)))
+    monkeypatch.setattr(lm_score, "TRIE_ENTRIES", 100, raising=False)
+    docs = docs.withColumn("lang", docs.lang.substr(1, 0)).localCheckpoint()
+    lm_score.score(docs)
+    tables, depth = got["tries"]
+    assert depth == lm_score.ORDER
+    words = [w.encode() for (t,) in docs.filter(~language_id.held_out(*lm_score.HOLD)).select("text").collect() for w in [*tokens(lower_ascii(t or "")), ""]]
+    keys, counts = ppm.merge(*ppm.gather(words, np.ones(len(words)), depth))
+    mine = ppm.merge(*(np.concatenate(x) for x in zip(*tables)))
+    assert (mine[0] == keys).all() and (mine[1] == counts).all()
+
+
 def subsequence_kernel(a, b, decay, span):
     """Textbook sum over index triples, weights by the letters spanned."""
     def feats(s):
