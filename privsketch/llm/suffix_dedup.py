@@ -277,8 +277,9 @@ def _shrink(values: np.ndarray) -> bytes:
     return zstandard.compress(values.astype(np.int32).tobytes(), 1)
 
 
-def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPAN, size: int = 8_000_000, part_size: int = 6_000_000) -> DataFrame:
-    """``doc_id``, the ``carry`` columns, ``n_bytes, n_removed, n_spans, kept_sha256`` and the remaining ``kept`` bytes."""
+def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPAN, size: int = 8_000_000, part_size: int = 6_000_000, whole: bool = False) -> DataFrame:
+    """``doc_id``, the ``carry`` columns, ``n_bytes, n_removed, n_spans, kept_sha256`` and the remaining ``kept`` bytes (if ``whole``,
+    without the characters that a cut leaves in part; the digest is of all remaining bytes)."""
     spark = ship(docs.sparkSession)
     carry = carry or []
     rows, total = blocks(docs, carry, size)
@@ -418,6 +419,8 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
                 spans[i] = int(c[0]) + int((c[1:] & ~c[:-1]).sum())
                 text = np.frombuffer(text, np.uint8)[~c].tobytes()
             kept[i], digest[i] = text, hashlib.sha256(text).hexdigest()
+            if whole and text and removed[i]:
+                kept[i] = whole_characters(body[i], c)
         cols = [*(left.column(c) for c in ["doc_id", *carry]), pa.array([len(x) for x in body], pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(digest), pa.array(kept, pa.binary())]
         del body, covered, kept
         trim()
@@ -441,8 +444,16 @@ def without_repeats(docs: DataFrame, carry: list[str] | None = None, span: int =
     """General form: ``doc_id``, the ``carry`` columns and ``text`` without the removed bytes (what a cut leaves of a character goes
     with it)."""
     carry = carry or []
-    cut = deduplicate(docs, carry, span)
-    return cut.select("doc_id", *carry, F.replace(F.make_valid_utf8(F.col("kept").cast("string")), F.lit("\ufffd"), F.when(F.col("n_removed") > 0, "").otherwise("\ufffd")).alias("text"))
+    cut = deduplicate(docs, carry, span, whole=True)
+    return cut.select("doc_id", *carry, F.col("kept").cast("string").alias("text"))
+
+
+def whole_characters(text: bytes, gone: np.ndarray) -> bytes:
+    """What is left of a UTF-8 text when every character with a byte in ``gone`` goes."""
+    data = np.frombuffer(text, np.uint8)
+    head = np.flatnonzero((data & 0xC0) != 0x80)
+    hit = np.logical_or.reduceat(gone, head)
+    return data[~np.repeat(hit, np.diff(np.r_[head, len(data)]))].tobytes()
 
 
 def _bounds(parts: int) -> np.ndarray:

@@ -186,3 +186,12 @@ def test_remaining_text_is_text(spark):
     df = spark.createDataFrame([(1, "start " + shared), (2, shared + " end"), (3, "clean � text")], "doc_id long, text string")
     got = {r.doc_id: r.text for r in suffix_dedup.without_repeats(df).collect()}
     assert got == {1: "start " + shared, 2: " end", 3: "clean � text"}
+
+
+def test_replacement_characters_of_the_original_stay(spark):
+    shared = "é" * 40
+    df = spark.createDataFrame([(1, shared), (2, "a \ufffd b " + shared + " c\ufffd"), (3, "日" + shared[:30] + "日 \ufffd")], "doc_id long, text string")
+    got = {r.doc_id: r.text for r in suffix_dedup.without_repeats(df).collect()}
+    assert got == {1: shared, 2: "a \ufffd b  c\ufffd", 3: "日日 \ufffd"}
+    text = "é日"
+    assert [suffix_dedup.whole_characters(text.encode(), np.arange(5) == i).decode() for i in (0, 1, 4)] == ["日", "日", "é"]
