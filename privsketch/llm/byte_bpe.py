@@ -2,11 +2,13 @@
 
 For every byte prefix of a piece exactly one vocabulary entry can end its encoding: the entry whose left remainder is itself
 encoded with a last entry that does not merge into it. The table of those last entries is filled from left to right;
-reading it backwards gives the encoding. Appending bytes extends the table, and an edit only invalidates the table from the
-edit on (``PrefixTable``).
+reading it backwards gives the encoding. Appending bytes extends the table. An edit fills the table anew from the edit on, until
+it agrees with the old one for as many bytes as the longest entry has; from there on the old entries hold (``PrefixTable``).
 
 Null and empty texts have no ids (the digest of the empty string). Texts are cut by the given pattern first and every match is
-encoded by itself.
+encoded by itself; a piece of any length needs memory in proportion to its bytes. The decoded bytes are looked up id by id, so
+a byte that the pattern or the encoder lost would show in their digest. Every row, repeated ones too, gives one row; an
+empty table gives an empty result; other columns of the input are not read and may have any name.
 """
 
 from __future__ import annotations
@@ -99,30 +101,45 @@ def _hash(key: bytes) -> int:
 
 
 class PrefixTable:
-    """Last entry of the encoding of every prefix of one piece; grows by appends and can be cut back at an edit."""
+    """Last entry of the encoding of every prefix of one piece; grows by appends, and an edit refills what it changes."""
 
     def __init__(self, vocabulary: Vocabulary, data: bytes = b""):
         self.vocabulary, self.data, self.last = vocabulary, b"", []
         self.append(data)
 
+    def _entry(self, end: int) -> int:
+        """Last entry of the prefix of ``end`` bytes, from those of shorter prefixes."""
+        v = self.vocabulary
+        for begin in range(max(0, end - v.longest), end):
+            token = v.rank.get(self.data[begin:end])
+            if token is not None and (begin == 0 or v.stable_one(self.last[begin - 1], token)):
+                return token
+        raise ValueError("a byte of the piece is not in the vocabulary")
+
     def append(self, more: bytes) -> None:
-        v, start = self.vocabulary, len(self.data)
+        start = len(self.data)
         self.data += more
-        rank, last = v.rank, self.last
         for end in range(start + 1, len(self.data) + 1):
-            for begin in range(max(0, end - v.longest), end):
-                token = rank.get(self.data[begin:end])
-                if token is not None and (begin == 0 or v.stable_one(last[begin - 1], token)):
-                    last.append(token)
-                    break
-            else:
-                raise ValueError("a byte of the piece is not in the vocabulary")
-
-    def edit(self, at: int, data: bytes) -> None:
-        """Replace everything from byte ``at`` on by ``data``; entries of earlier prefixes stay."""
-        self.data = self.data[:at]
-        del self.last[at:]
-        self.append(data)
+            self.last.append(self._entry(end))
+
+    def edit(self, at: int, removed: int, data: bytes) -> int:
+        """Replace ``removed`` bytes from ``at`` on by ``data``; returns how many entries were filled anew.
+
+        An entry depends on the bytes and entries of the ``longest`` places before it. Once so many entries in a row, all
+        of them that far behind the edit and the start, are the old ones, the rest of the old table follows unchanged."""
+        if not 0 <= at <= at + removed <= len(self.data):
+            raise ValueError("the edit lies outside the piece")
+        old, tail = self.last, self.data[at + removed :]
+        moved, reach = len(data) - removed, self.vocabulary.longest
+        self.data, self.last = self.data[:at] + data + tail, old[:at]
+        safe, alike = max(at + len(data) + reach, reach, reach + moved), 0
+        for end in range(at + 1, len(self.data) + 1):
+            self.last.append(self._entry(end))
+            alike = alike + 1 if end > at + len(data) and self.last[-1] == old[end - moved - 1] else 0
+            if end >= safe and alike >= reach:
+                self.last += old[end - moved :]
+                return end - at
+        return len(self.data) - at
 
     def ids(self, end: int | None = None) -> list[int]:
         """Encoding of the prefix of ``end`` bytes (default: all)."""
@@ -249,22 +266,20 @@ class TextCodec:
             per.append([pieces.setdefault(m.encode("utf-8", "surrogatepass"), len(pieces)) for m in self.matches(text)])
         raw = list(pieces)
         codes = encode_pieces(self.v, raw)
-        for p, ids in zip(raw, codes, strict=True):
-            if self.decode(ids) != p:
-                raise ValueError("the ids of a piece do not decode to it")
-        lines = [" ".join(map(str, ids)) for ids in codes]
-        self.known.now.update(zip(chunks, (" ".join([lines[p] for p in at]) for at in per), strict=True))
+        lines, back = [" ".join(map(str, ids)) for ids in codes], [self.decode(ids) for ids in codes]
+        self.known.now.update(zip(chunks, ((" ".join([lines[p] for p in at]), b"".join([back[p] for p in at])) for at in per), strict=True))
 
     def digest(self, texts: list[str]) -> list[tuple[int, str, str]]:
-        """``(n_tokens, sha256 of the ids, sha256 of the decoded bytes)`` of each text. Every piece's ids were decoded and
-        compared when its chunk was learnt, so the decoded text is the chunks' bytes in order."""
+        """``(n_tokens, sha256 of the ids, sha256 of the decoded bytes)`` of each text; ids and what they decode to are
+        remembered by chunk, and a text's decoded bytes are those of its chunks' ids in order."""
         split = [self.chunks(t) for t in texts]
         if new := self.known.missing(set().union(*split)):
             self.learn(new)
         out, get = [], self.known.now.__getitem__
-        for t, parts in zip(texts, split, strict=True):
-            ids = " ".join(map(get, parts))
-            out.append((ids.count(" ") + 1 if ids else 0, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(t.encode("utf-8", "surrogatepass")).hexdigest()))
+        for parts in split:
+            lines, back = zip(*map(get, parts), strict=True) if parts else ((), ())
+            ids = " ".join(lines)
+            out.append((ids.count(" ") + 1 if ids else 0, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(b"".join(back)).hexdigest()))
         return out
 
 
