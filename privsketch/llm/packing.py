@@ -2,11 +2,15 @@
 
 Every task fills windows shard by shard (a shard is a run of documents with a bounded number of ids, so memory is bounded and
 nothing is shuffled). Whole windows are cut off long documents first. For the remainders, all pairs and triples of present
-lengths that fill a window exactly are the columns of a system against the length histogram; its non-negative least-squares
-solution, rounded and held to what is there, says how often each combination is used. What is left is packed greedily
-end to end and cut at window borders, so a shard has at most one window with padding.
-
-Null and empty texts are one end mark. Sequence numbers are unique over the table: task number, then position in the task.
+lengths that fill a window exactly (at most ``window**2 / 12`` or so, 350,549 for 2048) are the columns of a system against the
+length histogram; its non-negative least-squares solution, rounded so that running sums keep their size and held to what is there,
+says how often each combination is used. What is left is packed greedily end to end and cut at window borders, so a shard has at most
+one window with padding.
+
+Null and empty texts are one end mark. Sequence numbers are unique over the table: task number, then position in the task. Documents
+of equal length are interchangeable: the last one read is used first. Repeated rows are packed each by itself, under the same
+doc_id (null stays null). An empty table gives an empty result; other columns of the input are not read and may have any name. A text
+of any length is cut into whole windows; memory is in proportion to the longest text and the shard.
 """
 
 from __future__ import annotations
@@ -21,7 +25,7 @@ from pyspark.sql import DataFrame
 from ._util import Recent, only, ship, slices
 from .token_counts import _CHUNK, _ODD, CACHE, WordCounter
 
-WINDOW, END, SHARD_IDS, COLUMNS = 2048, 1, 4_000_000, 20_000
+WINDOW, END, SHARD_IDS = 2048, 1, 4_000_000
 
 
 class WordIds:
@@ -53,37 +57,41 @@ class WordIds:
         return [b"".join(map(get, s)) for s in split]
 
 
-def combinations(present: np.ndarray, window: int, most: int = COLUMNS) -> np.ndarray:
-    """Rows of three lengths (0: unused) from ``present`` that sum to the window; ``most`` bounds the columns, not what is packed."""
+def combinations(present: np.ndarray, window: int) -> np.ndarray:
+    """All rows of three lengths (0: unused) from ``present`` that sum to the window, the longest first."""
     has = np.zeros(window + 1, bool)
     has[present] = True
     big = present[2 * present >= window]
     big = big[has[window - big]]
     rows = [np.stack([big, window - big, np.zeros_like(big)], 1)]
-    room = most - len(big)
-    for a in present[::-1]:
-        if room <= 0 or 3 * a < window:
-            break
-        b = present[(present <= a) & (2 * present >= window - a) & (present < window - a)]
-        b = b[has[window - a - b]][:room]
+    for a in present[3 * present >= window].tolist():
+        b = present[np.searchsorted(present, -(-(window - a) // 2)) : np.searchsorted(present, min(a, window - a - 1), side="right")]
+        b = b[has[window - a - b]]
         if len(b):
             rows.append(np.stack([np.full_like(b, a), b, window - a - b], 1))
-            room -= len(b)
     return np.concatenate(rows)
 
 
 def solve(columns: np.ndarray, histogram: np.ndarray, rounds: int = 60) -> np.ndarray:
     """Non-negative least squares by multiplicative steps: every step keeps signs and lowers the squared error."""
-    weight = (columns > 0).astype(float)
+    size = len(histogram)
+    parts = [np.ascontiguousarray(c, np.int32) for c in columns.T]
     target = histogram.astype(float)
-    pull = (target[columns] * weight).sum(1)
+    target[0] = 0.0  # an unused third part
+    pull = sum(target[c] for c in parts)
     x = np.full(len(columns), 0.1)
     for _ in range(rounds):
-        made = np.bincount(columns.ravel(), (weight * x[:, None]).ravel(), len(target))
-        x = x * pull / np.maximum((made[columns] * weight).sum(1), 1e-12)
+        made = sum(np.bincount(c, x, size) for c in parts)
+        made[0] = 0.0
+        x *= pull / np.maximum(sum(made[c] for c in parts), 1e-12)
     return x
 
 
+def whole(x: np.ndarray) -> np.ndarray:
+    """Counts whose running sums are those of ``x``, rounded: many small shares add up instead of vanishing one by one."""
+    return np.diff(np.floor(np.cumsum(x) + 0.5), prepend=0).astype(int)
+
+
 def pack(sizes: np.ndarray, window: int = WINDOW) -> list[tuple[int, int, int, int, int]]:
     """``(document, start, length, sequence, offset)`` of every piece; sizes are positive."""
     out, seq = [], 0
@@ -99,10 +107,9 @@ def pack(sizes: np.ndarray, window: int = WINDOW) -> list[tuple[int, int, int, i
     present = np.flatnonzero(histogram)
     columns = combinations(present, window)
     if len(columns):
-        wish = np.floor(solve(columns, histogram) + 0.5).astype(int)
-        for i in np.argsort(-wish, kind="stable"):
-            if not wish[i]:
-                break
+        wish = whole(solve(columns, histogram))
+        used = np.flatnonzero(wish)
+        for i in used[np.argsort(-wish[used], kind="stable")].tolist():
             parts = [int(n) for n in columns[i] if n]
             for _ in range(wish[i]):
                 if any(len(heap[n]) < parts.count(n) for n in parts):

@@ -67,6 +67,21 @@ def test_least_squares_finds_exact_recipes():
     assert abs(x[(60, 40, 0)] - 10) < 0.2 and abs(x[(50, 50, 0)] - 4) < 0.2
 
 
+def test_every_combination_is_a_column():
+    def brute(w):
+        return sum(1 for a in range(1, w) for b in range(1, a + 1) for c in range(0, b + 1) if a + b + c == w)
+
+    assert len(packing.combinations(np.arange(1, 90), 90)) == brute(90)
+    columns = packing.combinations(np.arange(1, 2048), 2048)
+    assert len(columns) == 350_549 == len(np.unique(columns, axis=0)) and (columns.sum(1) == 2048).all()
+    sizes = np.repeat(np.arange(1, 2048), 4)
+    full = {}
+    for _, _, n, seq, _ in packing.pack(sizes):
+        full[seq] = full.get(seq, 0) + n
+    assert sum(v < 2048 for v in full.values()) <= 1 and sum(full.values()) == sizes.sum()
+    assert packing.whole(np.full(1000, 0.01)).sum() == 10
+
+
 def test_packing_frame(spark, odd, none, texts, library):
     rows = packing.pack_documents(odd, WORDS, with_ids=True).collect()
     want = {}
@@ -107,11 +122,33 @@ def test_prefix_table_appends_and_edits():
     table = byte_bpe.PrefixTable(v, b"hello wor")
     table.append(b"lds")
     assert table.ids() == byte_bpe.PrefixTable(v, b"hello worlds").ids()
-    table.edit(6, b"there")
+    table.edit(6, 6, b"there")
     assert table.ids() == byte_bpe.PrefixTable(v, b"hello there").ids()
     assert table.ids(5) == byte_bpe.PrefixTable(v, b"hello").ids()
 
 
+def test_prefix_table_edits_refill_only_what_changes():
+    v, r = byte_bpe.Vocabulary(RANKS), random.Random(4)
+    word = lambda n: bytes(r.choice(b"etaoin shrdlu-0x") for _ in range(n))
+    table = byte_bpe.PrefixTable(v, word(3000))
+    for _ in range(25):
+        at = r.randrange(len(table.data))
+        gone, new = min(r.choice([0, 1, 7, 40]), len(table.data) - at), word(r.choice([0, 1, 5, 60]))
+        want = table.data[:at] + new + table.data[at + gone :]
+        filled = table.edit(at, gone, new)
+        assert table.data == want and table.last == byte_bpe.PrefixTable(v, want).last
+        assert filled <= max(len(new) + 3 * v.longest, 2 * v.longest)
+    with pytest.raises(ValueError):
+        table.edit(len(table.data), 1, b"")
+
+
+def test_decoded_digest_comes_from_the_ids():
+    c = byte_bpe.TextCodec(RANKS, P.PATTERN)
+    c.v.bytes_of[c.v.rank[b" world"]] = b" lost"
+    n, ids, raw = c.digest(["hello world"])[0]
+    assert (n, raw) == (2, hashlib.sha256(b"hello lost").hexdigest())
+
+
 def slow_checksum(page):
     crc = 0
     for b in page:
