@@ -1,11 +1,15 @@
 """Language identification: one frozen context-trie model per language, exact code lengths, shortest wins.
 
-Words are runs of letters, lower-cased. Each language's model is fitted on a documented bounded sample of its labelled
-documents (``SAMPLE_DOCS`` with the lowest hash of doc_id, whole texts); every document is scored over its whole text. Costs of
-distinct words are remembered per worker.
-
-``und`` with score 0 for null, empty and letterless texts, and for all when nothing is labelled. Rows with a null ``lang`` are
-not learnt from. Ties go to the language that sorts first. Repeated rows are scored alike.
+Words are runs of letters (Unicode categories L, with the marks that follow them), lower-cased; the code length of a text is that of
+its words, each with a closing space. Each language's model is fitted on a bounded sample of its labelled documents, whole
+texts: the ``SAMPLE_DOCS`` with the least hash of id and text, fewer where the languages are so many that ``SAMPLE_TOTAL`` would
+be passed (no language is left out; one whose rows nearly all repeat may be learnt from the row of least hash alone). The sample
+takes two reads of the table at any number of languages. Costs of distinct words are remembered per worker.
+
+``und`` with score 0 for null, empty and letterless texts, and for all when nothing is labelled. Rows with a null ``lang``, ``text`` or
+``doc_id`` are not learnt from; null ids are predicted and not held out. Ties go to the language that sorts first. Repeated rows
+are scored alike, one row each; a text of any length is scored whole. An empty table gives an empty result. Columns other than
+``doc_id, text, lang`` are not read and may have any name, but for those that the caller carries along.
 """
 
 from __future__ import annotations
@@ -15,14 +19,15 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import regex
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import ppm
 from ._util import Recent, only, ship, slices
 
-ORDER, SAMPLE_DOCS, MAX_LANGUAGES, CACHE = 4, 400, 500, 250_000
-LETTERS = re.compile(r"[^\W\d_]+")
+ORDER, SAMPLE_DOCS, SAMPLE_TOTAL, CACHE = 4, 400, 200_000, 250_000
+_PLAIN, LETTERS = re.compile("[a-z]+"), regex.compile(r"\p{L}[\p{L}\p{M}]*")
 
 
 def held_out(k: int, rest: int):
@@ -31,7 +36,8 @@ def held_out(k: int, rest: int):
 
 
 def letter_words(text: str) -> list[str]:
-    return LETTERS.findall(text.lower())
+    text = text.lower()
+    return (_PLAIN if text.isascii() else LETTERS).findall(text)
 
 
 class Languages:
@@ -68,19 +74,21 @@ class Languages:
 
 def fit(docs: DataFrame, order: int = ORDER, sample_docs: int = SAMPLE_DOCS, hold=(4, 2)) -> tuple[list[str], list[tuple]]:
     """Language names and (keys, counts) per language, from the bounded sample."""
-    spark = ship(docs.sparkSession)
+    ship(docs.sparkSession)
     rows = docs.selectExpr("cast(doc_id as long) doc_id", "text", "lang").filter("lang is not null and text is not null and doc_id is not null")
     if hold:
         rows = rows.filter(~held_out(*hold))
-    mark = rows.select("lang", F.xxhash64("doc_id").alias("h"), "doc_id")
-    names = sorted(r[0] for r in mark.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect())
-    if not names:
+    rows = rows.withColumn("h", F.xxhash64("doc_id", "text"))
+    found = rows.groupBy("lang").agg(F.count("*").alias("n"), F.min("h").alias("least")).collect()  # a row a language
+    if not found:
         return [], []
-    chosen = None
-    for name in names:
-        part = mark.filter(F.col("lang") == name).orderBy("h", "doc_id").limit(sample_docs)
-        chosen = part if chosen is None else chosen.union(part)
-    sample = rows.join(F.broadcast(chosen.select("lang", "doc_id").distinct()), ["lang", "doc_id"]).select("lang", "text")
+    names = sorted(r["lang"] for r in found)
+    most = max(1, min(sample_docs, SAMPLE_TOTAL // len(names)))
+    # hashes are spread evenly: three times as many rows as needed, and some, come under the bound; a rank settles the rest
+    bounds = [(r["lang"], max(float(r["least"]), min(1.0, (3 * most + 50) / r["n"]) * 2.0**64 - 2.0**63)) for r in found]
+    near = rows.join(F.broadcast(docs.sparkSession.createDataFrame(bounds, "lang string, bound double")), "lang").filter(F.col("h").cast("double") <= F.col("bound"))
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id", "text"))
+    sample = near.withColumn("rank", rank).filter(F.col("rank") <= most).select("lang", "text")
 
     def work(batches):
         tally: dict[str, dict[str, int]] = {}

@@ -77,6 +77,30 @@ def test_language_identification_of_odd_documents(spark, odd, none, texts):
     assert {r.lang_pred for r in language_id.identify(unlabelled).collect()} == {"und"}
 
 
+def test_letters_are_those_of_unicode():
+    assert language_id.letter_words("½ ② ² 3\u0301 _ \u2167") == []
+    assert language_id.letter_words("Ein A\u0308pfel, हिन्दी ªb") == ["ein", "a\u0308pfel", "हिन्दी", "ªb"]
+
+
+def test_many_languages_and_languages_of_repeats(spark):
+    """Far more languages than the sample has room for at full size, one of them a single text over and over."""
+    rows = [(2 * i, f"{chr(0x4E00 + i)}{chr(0x5E00 + i)} {chr(0x4E00 + i)}", f"x{i:03}") for i in range(600)]
+    rows += [(100_000 + i, "toujours la", "zz") for i in range(900)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    names, counts = language_id.fit(docs, sample_docs=3, hold=None)
+    assert len(names) == 601 and all(len(k) for k, _ in counts)
+    got = {r.doc_id: r.lang_pred for r in language_id.identify(docs, sample_docs=3, hold=(1, 2)).collect()}
+    assert all(got[i] == lang for i, _, lang in rows)
+
+
+def test_sample_is_bounded_and_holds_the_least_hashes(spark):
+    docs = spark.range(5000).selectExpr("id doc_id", "concat('w', id) text", "if(id % 3 = 0, 'a', 'b') lang")
+    names, counts = language_id.fit(docs, order=0, sample_docs=20, hold=None)
+    order = docs.selectExpr("lang", "text", "row_number() over (partition by lang order by xxhash64(doc_id, text)) r").filter("r <= 20").collect()
+    for n, (keys, c) in zip(names, counts, strict=True):
+        assert c.sum() == sum(len(language_id.letter_words(r.text)[0]) + 1 for r in order if r.lang == n)
+
+
 def words_of(text):
     text = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     return re.findall(r"[^\x20\x09-\x0D]+", text)
