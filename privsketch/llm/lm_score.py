@@ -1,17 +1,19 @@
-"""Language-model scoring: frozen context-trie code length of every document, beside an add-one word baseline.
-
-Words are counted over all training documents, by class (the training documents' ``lang`` values, the ``CLASSES`` most frequent
-apart and the rest together). Documents go to buckets by a hash of doc_id. A bucket's words travel once, packed by word hash
-range; the task of a range adds the counts of each word over all buckets, sends every bucket the counts back in the order
-received, and turns its words into context counts for the tries. So no word list of the corpus is in one place: what grows with
-the corpus is shuffled, and only the tries, added up by context beforehand, go to the driver. Their depth is ``order`` whatever
-the input; they grow with the distinct strings of up to ``order`` + 1 bytes inside words.
-
-The model codes the lower-cased word sequence with an empty word as the end. The class comes first (its share of the training
-documents), chosen by the words' counts. A word known to the class is a symbol of the class's longest context, which escapes by
-method C (as many escape counts as distinct words) to the bytes of the word and its closing space in the class's trie; both parts
-are added, so probabilities sum to one over all words. ``score`` is the log10 probability. Null and empty texts are the end
-alone. Without training documents N and V are 0. Repeated rows count each.
+"""Language-model scoring: code length of every document under a frozen byte-context trie, beside an add-one word baseline.
+
+The model is prediction by partial matching over one byte stream a document: its lower-cased words with one space between, then
+an end mark. Contexts are the ``order`` bytes before, across words, whatever the size of the input; an unseen symbol costs an escape
+and is looked for in the next shorter context without the symbols already ruled out (``ppm``). Escapes follow method D: half a count
+of every symbol seen goes to the escape. ``score`` is the log10 probability of the stream. Null and empty texts are the end mark alone.
+
+Counts come from all training documents. Documents go to buckets by a hash of id and text. A bucket sends its distinct words and its
+distinct contexts, packed by hash range and compressed; the task of a range adds them up over all buckets, returns every
+bucket the counts of its words in the order received, and keeps one sum a context. A bucket sends a range at most one message, and never
+more messages than it has distinct words and contexts, so messages grow in proportion to the input at most. Added-up contexts go to the
+driver and back as one broadcast: they grow with the distinct strings of ``order`` + 1 bytes.
+
+Without training documents N and V are 0 and bytes are equally likely. Rows with a null doc_id are training rows. Repeated rows count
+and are scored each; equal texts get equal scores. A text is held in memory whole, beside eight bytes a byte of a part of it.
+An empty table gives an empty result. Columns other than ``doc_id`` and ``text`` are not read and may have any name.
 """
 
 from __future__ import annotations
@@ -21,6 +23,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -28,13 +31,25 @@ from . import ppm
 from ._util import free_shuffles, keep, lower_ascii, only, ship, tabled, tokens, width
 from .language_id import held_out
 
-ORDER, CLASSES, HOLD = 4, 7, (7, 2)
+ORDER, HOLD, SLICE = 5, (7, 2), 2_000_000
 _LOG = np.log10(2)
-SENT = "part int, bucket int, words string, counts binary"
-BACK = "kind int, part int, bucket int, one binary, two binary"
+SENT = "part int, bucket int, words string, counts binary, contexts binary"
+BACK = "kind int, part int, bucket int, one binary"
 SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
+def squeeze(keys: np.ndarray, counts: np.ndarray) -> bytes:
+    """Sorted keys with their counts, as bytes of equal weight side by side, compressed."""
+    both = np.concatenate([np.diff(keys, prepend=np.uint64(0)), counts.astype(np.uint64)])
+    return zstandard.compress(both.view(np.uint8).reshape(-1, 8).T.tobytes(), 1)
+
+
+def expand(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    both = np.ascontiguousarray(np.frombuffer(zstandard.decompress(data), np.uint8).reshape(8, -1).T).view(np.uint64).ravel()
+    n = len(both) // 2
+    return np.cumsum(both[:n], dtype=np.uint64), both[n:].astype(np.int64)
+
+
 class Words:
     """Distinct words of a bucket's texts, in an order that depends on the texts alone, cut by hash range."""
 
@@ -46,10 +61,10 @@ class Words:
         self.sizes = np.fromiter(map(len, split), np.int64, len(split))
         self.owner = np.repeat(np.arange(len(split)), self.sizes)
         self.words = list(at)
-        self.raw = [w.encode("utf-8", "surrogatepass") for w in self.words]
-        part = np.fromiter(map(zlib.crc32, self.raw), np.int64, len(self.raw)) % ranges
+        part = np.fromiter((zlib.crc32(w.encode("utf-8", "surrogatepass")) for w in self.words), np.int64, len(self.words)) % ranges
         self.order = np.argsort(part, kind="stable")
         self.cut = np.searchsorted(part[self.order], np.arange(ranges + 1))
+        self.streams = [" ".join(s).encode("utf-8", "surrogatepass") for s in split]
 
     def parts(self):
         """(range, word numbers) of each range with words."""
@@ -65,8 +80,30 @@ def in_order(batches, columns: list[str]) -> list[list]:
     return [[c[i] for i in order] for c in cols]
 
 
+def sliced(texts: list[bytes], most: int = SLICE):
+    """Runs of texts of about ``most`` bytes (one text at least)."""
+    at, size = 0, 0
+    for i, t in enumerate(texts):
+        if size and size + len(t) > most:
+            yield texts[at:i]
+            at, size = i, 0
+        size += len(t)
+    if at < len(texts):
+        yield texts[at:]
+
+
+def contexts_of(texts: list[bytes], order: int) -> tuple[np.ndarray, np.ndarray]:
+    """Counts of full contexts over many texts, in bounded memory."""
+    keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    for some in sliced(texts, 4 * SLICE):
+        k, c = ppm.stream_counts(some, order)
+        keys, counts = ppm.tally(np.r_[keys, k], np.r_[counts, c]) if len(keys) else (k, c)
+    return keys, counts
+
+
 def bucketed(docs: DataFrame, buckets: int) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), "lang").withColumn("bucket", F.pmod(F.xxhash64(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(buckets)).cast("int"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    return rows.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "text"), F.lit(buckets)).cast("int"))
 
 
 def bucket_count(docs: DataFrame) -> int:
@@ -75,138 +112,104 @@ def bucket_count(docs: DataFrame) -> int:
     return max(width(docs.sparkSession), -(-size // 8_000_000))
 
 
-def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
-    """``doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score`` of every document."""
-    spark = ship(docs.sparkSession)
-    buckets = bucket_count(docs)
-    ranges = buckets
-    lang = F.col("lang") if "lang" in docs.columns else F.lit(None).cast("string")
-    rows = bucketed(docs.withColumn("lang", lang.cast("string")), buckets).withColumn("held_out", held_out(*hold))
-    usual = [r[0] for r in rows.filter("not held_out and lang is not null").groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(CLASSES).collect()]
-    classes = {x: i for i, x in enumerate(usual)}
-    many = len(classes) + 1
-
-    def words_out(key, batches):
-        _, texts, held, langs = in_order(list(batches), ["doc_id", "text", "held_out", "lang"])
+def gathered(rows: DataFrame, ranges: int, order: int) -> DataFrame:
+    """``kind`` 0: counts of a bucket's words, back to it; 1: contexts of a range; 2: training tokens and distinct words."""
+
+    def send(key, batches):
+        _, texts, held = in_order(list(batches), ["doc_id", "text", "held_out"])
         w = Words(texts, ranges)
         train = ~np.array(held, bool)
-        kind = np.array([classes.get(x, many - 1) for x in langs], np.int64)
-        ends = np.bincount(kind[train], minlength=many)
-        use = train[w.owner]
-        count = np.bincount(kind[w.owner[use]] * len(w.words) + w.place[use], minlength=many * len(w.words)).reshape(many, -1) if w.words else np.zeros((many, 0), np.int64)
-        names = [f.split()[0] for f in SENT.split(", ")]
-        bucket = pa.array([key[0].as_py()], pa.int32())
-        for r, own in [*w.parts(), (-1, None)]:
-            table = ends if own is None else np.ascontiguousarray(count[:, own])
-            text = "" if own is None else "\n".join([w.words[i] for i in own.tolist()])
-            yield pa.RecordBatch.from_arrays([pa.array([r], pa.int32()), bucket, pa.array([text]), pa.array([table.astype(np.int64).tobytes()], pa.binary())], names=names)
-
-    sent = rows.select("bucket", "doc_id", "text", "held_out", "lang").groupBy("bucket").applyInArrow(tabled(words_out, SENT), SENT)
+        count = np.bincount(w.place[train[w.owner]], minlength=len(w.words))
+        keys, many = contexts_of([t for t, ok in zip(w.streams, train.tolist(), strict=True) if ok], order)
+        part = ((keys * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) % np.uint64(ranges)).astype(np.int64)
+        by = np.argsort(part, kind="stable")
+        keys, many, cut = keys[by], many[by], np.searchsorted(part[by], np.arange(ranges + 1))
+        bucket = key[0].as_py()
+
+        def row(p, words, counts, contexts):
+            return pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([bucket], pa.int32()), pa.array([words]), pa.array([counts], pa.binary()), pa.array([contexts], pa.binary())], names=[f.split()[0] for f in SENT.split(", ")])
+
+        own = dict(w.parts())
+        for p in range(ranges):
+            a, b = cut[p], cut[p + 1]
+            if p in own or a < b:
+                some = own.get(p, np.zeros(0, np.int64))
+                yield row(p, "\n".join([w.words[i] for i in some.tolist()]), count[some].astype(np.int64).tobytes(), squeeze(keys[a:b], many[a:b]))
+        yield row(-1, "", np.array([train.sum()], np.int64).tobytes(), b"")
 
     def add_up(key, batches):
-        """``kind`` 0: counts back to a bucket; 1: context counts of class ``bucket``; 2: tokens and distinct words."""
-        part = key[0].as_py()
-        got = []
+        part, got = key[0].as_py(), []
         for b in batches:
-            got += zip(b.column("bucket").to_pylist(), b.column("words").to_pylist(), b.column("counts").to_pylist(), strict=True)
+            got += zip(*(b.column(c).to_pylist() for c in ("bucket", "words", "counts", "contexts")), strict=True)
 
-        def row(kind, bucket, one, two=b""):
-            return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([part], pa.int32()), pa.array([bucket], pa.int32()), pa.array([one], pa.binary()), pa.array([two], pa.binary())], names=[f.split()[0] for f in BACK.split(", ")])
+        def row(kind, bucket, one):
+            return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([part], pa.int32()), pa.array([bucket], pa.int32()), pa.array([one], pa.binary())], names=[f.split()[0] for f in BACK.split(", ")])
 
         if part < 0:
-            ends = sum(np.frombuffer(c, np.int64) for _, _, c in got)
-            yield row(2, 1, np.concatenate([ends, ends > 0, [ends.any()], ends]).astype(np.int64).tobytes())
+            ends = sum(int(np.frombuffer(c, np.int64)[0]) for _, _, c, _ in got)
+            yield row(2, 0, np.array([ends, ends > 0, ends], np.int64).tobytes())
             return
         at: dict[str, int] = {}
-        index = [np.array([at.setdefault(w, len(at)) for w in text.split("\n")]) for _, text, _ in got]
-        total = np.zeros((many, len(at)), np.int64)
-        for i, (_, _, c) in zip(index, got, strict=True):
-            total[:, i] += np.frombuffer(c, np.int64).reshape(many, -1)
-        for i, (bucket, _, _) in zip(index, got, strict=True):
-            yield row(0, bucket, np.ascontiguousarray(total[:, i]).tobytes())
-        yield row(2, 0, np.concatenate([total.sum(1), (total > 0).sum(1), [(total > 0).any(0).sum()], np.zeros(many)]).astype(np.int64).tobytes())
-        raw = [w.encode("utf-8", "surrogatepass") for w in at]
-        for k in range(many):
-            some = np.flatnonzero(total[k])
-            if len(some):
-                keys, counts = ppm.gather([raw[i] for i in some.tolist()], total[k, some].astype(float), order)
-                yield row(1, k, keys.tobytes(), counts.tobytes())
-
-    back = keep(sent.groupBy("part").applyInArrow(tabled(add_up, BACK), BACK), "counts")
+        some = [(bucket, np.array([at.setdefault(w, len(at)) for w in text.split("\n")]), np.frombuffer(c, np.int64)) for bucket, text, c, _ in got if c]
+        total = np.zeros(len(at), np.int64)
+        for _, i, c in some:
+            total[i] += c
+        for bucket, i, _ in some:
+            yield row(0, bucket, total[i].tobytes())
+        yield row(2, 0, np.array([total.sum(), (total > 0).sum(), 0], np.int64).tobytes())
+        keys, counts = (np.concatenate(x) for x in zip(*(expand(t) for *_, t in got), strict=True))
+        if len(keys):
+            yield row(1, 0, squeeze(*ppm.tally(keys, counts)))
+
+    sent = rows.select("bucket", "doc_id", "text", "held_out").groupBy("bucket").applyInArrow(tabled(send, SENT), SENT)
+    return sent.groupBy("part").applyInArrow(tabled(add_up, BACK), BACK)
+
+
+def trie(back: DataFrame) -> list[bytes]:
+    """Added-up contexts of every range, packed; each comes to the driver once."""
+    return [bytes(r[0]) for r in back.filter("kind = 1").select("one").toLocalIterator()]
+
+
+def model_of(packed: list[bytes], order: int) -> ppm.Model:
+    """Trie of all context lengths. Counts are doubled less one, so that half a count of each symbol goes to the escape."""
+    parts = [expand(p) for p in packed]
+    keys, counts = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+    keys, counts = ppm.shorter(keys, counts, order)
+    return ppm.Model(keys, 2 * counts - 1, order)
+
+
+def score(docs: DataFrame, order: int = ORDER, hold=HOLD) -> DataFrame:
+    """``doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score`` of every document."""
+    spark = ship(docs.sparkSession)
+    ranges = buckets = bucket_count(docs)
+    rows = bucketed(docs, buckets).withColumn("held_out", held_out(*hold))
+    back = keep(gathered(rows, ranges, order), "counts")
     free_shuffles(spark)
-    sums = np.zeros(3 * many + 1, np.int64)
+    sums = np.zeros(3, np.int64)
     for r in back.filter("kind = 2").select("one").toLocalIterator():
         sums += np.frombuffer(r[0], np.int64)
-    size, kinds, distinct, ends = sums[:many], sums[many : 2 * many], int(sums[2 * many]), sums[2 * many + 1 :]
-    shared, key_of = spark.sparkContext.broadcast((tries(back, order, ends), size, kinds, distinct, ends)), uuid.uuid4().hex
+    n, distinct, ends = sums.tolist()
+    shared, key_of = spark.sparkContext.broadcast(trie(back)), uuid.uuid4().hex
 
     def finish(key, left, right):
-        models, size, kinds, distinct, ends = only(key_of, lambda: _open(shared))
-        back_of = {p: np.frombuffer(c, np.int64).reshape(many, -1) for b in right for p, c in zip(b.column("part").to_pylist(), b.column("one").to_pylist(), strict=True)}
+        model = only(key_of, lambda: model_of(shared.value, order))
+        back_of = {p: np.frombuffer(c, np.int64) for b in right for p, c in zip(b.column("part").to_pylist(), b.column("one").to_pylist(), strict=True)}
         ids, texts, held = in_order(left, ["doc_id", "text", "held_out"])
         if not texts:
             return
         w = Words(texts, ranges)
-        count = np.zeros((many, len(w.words)), np.int64)
+        count = np.zeros(len(w.words), np.int64)
         for p, own in w.parts():
-            count[:, own] = back_of[p]
-        place, owner, sizes = w.place, w.owner, w.sizes
+            count[own] = back_of[p]
 
         def per_doc(values):
-            return np.bincount(owner, values, len(texts)) if len(owner) else np.zeros(len(texts))
-
-        n = int(size.sum())
-        all_count, low = count.sum(0), np.log10(n + distinct + 1.0)
-        base = per_doc((np.log10(all_count + 1.0) - low)[place]) + np.log10(ends.sum() + 1.0) - low
-        known = per_doc((all_count > 0).astype(float)[place]).astype(np.int64) + int(ends.any())
-        share = np.log10((ends + 1.0) / (ends.sum() + many))
-        guess = np.stack([share[k] + per_doc((np.log10(count[k] + 0.3) - np.log10(size[k] + 0.3 * (distinct + 1)))[place]) for k in range(many)])
-        chosen = guess.argmax(0)
-        total = share[chosen]
-        for k in np.unique(chosen).tolist():
-            use = np.flatnonzero(chosen[owner] == k)
-            need, where = np.unique(place[use], return_inverse=True)
-            log = word_logs(models[k], [w.raw[i] for i in need.tolist()], count[k, need], int(size[k]), int(kinds[k]))
-            end = word_logs(models[k], [b""], ends[k : k + 1], int(size[k]), int(kinds[k]))[0]
-            total = total + np.bincount(owner[use], log[where], len(texts)) + np.where(chosen == k, end, 0.0)
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(held), pa.array(sizes + 1), pa.array(known), pa.array(np.full(len(ids), n, np.int64)), pa.array(base), pa.array(total)], names=[f.split()[0] for f in SCORED.split(", ")])
+            return np.bincount(w.owner, values[w.place], len(texts)) if len(w.owner) else np.zeros(len(texts))
+
+        low = np.log10(n + distinct + 1.0)
+        base = per_doc(np.log10(count + 1.0) - low) + np.log10(ends + 1.0) - low
+        known = per_doc((count > 0).astype(float)).astype(np.int64) + int(ends > 0)
+        total = -_LOG * np.concatenate([model.stream_bits(some) for some in sliced(w.streams)])
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(held), pa.array(w.sizes + 1), pa.array(known), pa.array(np.full(len(ids), n, np.int64)), pa.array(base), pa.array(total)], names=[f.split()[0] for f in SCORED.split(", ")])
 
     replies = back.filter("kind = 0").select("bucket", "part", "one")
     return rows.select("bucket", "doc_id", "text", "held_out").groupBy("bucket").cogroup(replies.groupBy("bucket")).applyInArrow(tabled(finish, SCORED, 2), SCORED)
-
-
-def word_logs(model: ppm.Model, words: list[bytes], count: np.ndarray, size: int, kinds: int) -> np.ndarray:
-    """log10 probability of words in a class with ``size`` tokens of ``kinds`` distinct words."""
-    bits = np.concatenate([model.bits(words[i : i + 50_000]) for i in range(0, len(words), 50_000)]) if words else np.zeros(0)
-    if not size:
-        return -bits * _LOG
-    return np.log10((count + kinds * np.exp2(-bits)) / (size + kinds))
-
-
-def tries(back: DataFrame, order: int, ends: np.ndarray) -> tuple[list[tuple[np.ndarray, np.ndarray]], int]:
-    """Context counts of each class over its words and ends, of all lengths up to ``order``: added up by key in the cluster, then
-    each entry comes to the driver once."""
-
-    def entries(batches):
-        for b in batches:
-            for k, one, two in zip(*(b.column(c).to_pylist() for c in ("bucket", "one", "two")), strict=True):
-                keys = np.frombuffer(one, np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), k, np.int32)), pa.array(keys), pa.array(np.frombuffer(two, np.int64))], names=["class", "key", "n"])
-
-    def pack(batches):
-        cols = [np.concatenate(x) for x in zip(*([b.column(c).to_numpy() for c in ("class", "key", "n")] for b in batches), strict=True)]
-        for k in np.unique(cols[0]).tolist() if cols else []:
-            own = cols[0] == k
-            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([cols[1][own].tobytes()], pa.binary()), pa.array([cols[2][own].tobytes()], pa.binary())], names=["class", "one", "two"])
-
-    added = back.filter("kind = 1").select("bucket", "one", "two").mapInArrow(entries, "class int, key long, n long").groupBy("class", "key").agg(F.sum("n").alias("n"))
-    wait = [[ppm.gather([b""], np.array([float(n)]), order)] if n else [] for n in ends.tolist()]
-    for r in keep(added.mapInArrow(pack, "class int, one binary, two binary"), "contexts").toLocalIterator():
-        wait[r[0]].append((np.frombuffer(r[1], np.uint64), np.frombuffer(r[2], np.int64)))
-    none = (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-    return [ppm.merge(np.concatenate([x for x, _ in w]), np.concatenate([c for _, c in w])) if w else none for w in wait], order
-
-
-def _open(shared) -> tuple:
-    (tables, depth), *rest = shared.value
-    return ([ppm.Model(k, c, depth) for k, c in tables], *rest)

@@ -121,37 +121,90 @@ def check_base(rows, got):
         assert any(abs(r.base_score - base) < 1e-6 * max(1, abs(base)) and r.n_known == known and r.n_tokens == len(w) and r.train_tokens == n for r in got if r.doc_id == i)
 
 
-def test_language_model_scores(spark, medium, odd, none, texts):
-    docs = spark.read.parquet(f"{medium}/documents.parquet").limit(400)
+def brute_costs(streams, order):
+    """Plain form of the model: nested counts, escapes by method D, exclusion by sets; returns a function text -> log10 probability."""
+    after = [{} for _ in range(order + 1)]
+    for t in streams:
+        line = b"\n" * order + t + b"\n"
+        for i in range(order, len(line)):
+            for o in range(order + 1):
+                ctx = line[i - o : i]
+                after[o].setdefault(ctx, Counter())[line[i]] += 1
+
+    def code(t):
+        line, total = b"\n" * order + t + b"\n", 0.0
+        for i in range(order, len(line)):
+            out = set()
+            for o in range(order, -1, -1):
+                seen = after[o].get(line[i - o : i])
+                if not seen:
+                    continue
+                left = {c: 2 * n - 1 for c, n in seen.items() if c not in out}
+                if not left:
+                    continue
+                whole = sum(left.values()) + len(left)
+                if line[i] in left:
+                    total += math.log10(left[line[i]] / whole)
+                    break
+                total += math.log10(len(left) / whole)
+                out |= left.keys()
+            else:
+                total -= math.log10(256 - len(out))
+        return total
+
+    return code
+
+
+def check_scores(rows, got, order=lm_score.ORDER):
+    stream = lambda t: b" ".join(w.encode() for w in words_of(t))
+    code = brute_costs([stream(t) for i, t in rows if i is None or zlib.crc32(str(i).encode()) % 7 != 2], order)
+    want, have = sorted(((i or 0), code(stream(t))) for i, t in rows), sorted(((r.doc_id or 0), r.score) for r in got)
+    assert [i for i, _ in have] == [i for i, _ in want] and [v for _, v in have] == pytest.approx([v for _, v in want])
+
+
+def test_language_model_scores(spark, small, odd, none, texts):
+    docs = spark.read.parquet(f"{small}/documents.parquet").limit(70)
     docs = spark.createDataFrame(docs.collect(), docs.schema)
-    got = lm_score.score(docs).collect()
-    check_base([(r.doc_id, r.text) for r in docs.collect()], got)
-    held = [r for r in got if r.held_out]
-    assert all(math.isfinite(r.score) and r.score < 0 for r in got) and held
-    check_base([(i, t) for i, t, *_ in texts], lm_score.score(odd).collect())
+    got, rows = lm_score.score(docs).collect(), [(r.doc_id, r.text) for r in docs.collect()]
+    check_base(rows, got)
+    check_scores(rows, got)
+    assert [r for r in got if r.held_out]
+    rows = [(i, t) for i, t, *_ in texts]
+    check_base(rows, lm_score.score(odd).collect())
+    check_scores(rows, lm_score.score(odd, order=3).collect(), 3)
     assert lm_score.score(none).count() == 0
 
 
+def test_language_model_without_training_rows(spark):
+    held = next(i for i in range(99) if zlib.crc32(str(i).encode()) % 7 == 2)
+    r = lm_score.score(spark.createDataFrame([(held, "Ab c")], "doc_id long, text string")).first()
+    assert (r.n_tokens, r.n_known, r.train_tokens, r.base_score) == (3, 0, 0, 0.0) and r.score == pytest.approx(-5 * math.log10(256))
+
+
 def test_language_model_beats_the_baseline(spark):
     docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
-    r = lm_score.score(docs).filter("held_out").selectExpr("sum(score) s", "sum(base_score) b").first()
-    assert r.s > r.b
-
-
-def test_contexts_keep_their_order(spark, small, monkeypatch):
-    """No size of the tries shortens the contexts, and adding up by key loses none."""
-    docs = spark.read.parquet(f"{small}/documents.parquet").limit(60)
-    got, first = {}, lm_score.tries
-    monkeypatch.setattr(lm_score, "tries", lambda *a: got.setdefault("tries", first(*a)))
-    monkeypatch.setattr(lm_score, "TRIE_ENTRIES", 100, raising=False)
-    docs = docs.withColumn("lang", docs.lang.substr(1, 0)).localCheckpoint()
-    lm_score.score(docs)
-    tables, depth = got["tries"]
-    assert depth == lm_score.ORDER
-    words = [w.encode() for (t,) in docs.filter(~language_id.held_out(*lm_score.HOLD)).select("text").collect() for w in [*tokens(lower_ascii(t or "")), ""]]
-    keys, counts = ppm.merge(*ppm.gather(words, np.ones(len(words)), depth))
-    mine = ppm.merge(*(np.concatenate(x) for x in zip(*tables)))
-    assert (mine[0] == keys).all() and (mine[1] == counts).all()
+    r = lm_score.score(docs).filter("held_out").selectExpr("sum(score) s", "sum(base_score) b", "sum(n_tokens) n").first()
+    assert r.s > r.b and r.s / r.n > -4.06
+
+
+def test_contexts_cross_words():
+    model = lm_score.model_of([lm_score.squeeze(*ppm.stream_counts([b"red fox"] * 9 + [b"big dog"] * 9, 5))], 5)
+    fits, mixed = model.stream_bits([b"red fox", b"red dog"])
+    assert fits < 3 < mixed
+
+
+def test_context_sums_and_messages(spark, small):
+    """Adding up by range loses no context at any number of buckets, and messages never outnumber what they carry."""
+    docs = spark.read.parquet(f"{small}/documents.parquet").limit(80)
+    docs = spark.createDataFrame(docs.select("doc_id", "text").collect(), "doc_id long, text string")
+    streams = [b" ".join(w.encode() for w in words_of(r.text)) for r in docs.filter(~language_id.held_out(*lm_score.HOLD)).collect()]
+    want = ppm.stream_counts(streams, 4)
+    for buckets in (1, 3, 12):
+        rows = lm_score.bucketed(docs, buckets).withColumn("held_out", language_id.held_out(*lm_score.HOLD))
+        back = lm_score.gathered(rows, buckets, 4).collect()
+        got = ppm.tally(*(np.concatenate(x) for x in zip(*(lm_score.expand(r.one) for r in back if r.kind == 1), strict=True)))
+        assert all((a == b).all() for a, b in zip(got, want, strict=True))
+        assert sum(r.kind == 0 for r in back) <= buckets * buckets
 
 
 def subsequence_kernel(a, b, decay, span):
