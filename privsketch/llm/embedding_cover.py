@@ -1,113 +1,215 @@
 """Exact embedding near-duplicates: cover trees and dual traversal.
 
 Vectors are compared by cosine in double precision; on unit vectors the threshold is a chord length. Equal vectors are one class with
-a count. Classes go to the nearest of a few pivots of a bounded sample (the top net); each pivot's cell is split by hash into blocks
-of a bounded number of rows, and pairs of cells further apart than their radii and the threshold allow are never formed. For every
-remaining pair of blocks one task builds a cover tree of each (nested nets, radii halved a level) and walks both at once,
-dropping node pairs by their covering radii. A node whose next net would hold most of its own points is a leaf and is compared
-as a whole. A task returns each class's number of links and a spanning forest, never its pairs.
+a count. Classes of one length go to the nearest of some pivots (the top net, about one pivot a block of data, from a bounded sample);
+each pivot's cell is split by hash into blocks of a bounded number of rows, and pairs of cells further apart than their radii and
+the threshold allow are never formed. For every remaining pair of blocks one task builds a cover tree of each: nested nets whose radii
+halve from level to level, every row in the subtree of the first net point that covers it, every node with the true radius of its rows.
+Both trees are walked at once. Children of two nodes are compared in one matrix product; pairs too far apart for their radii
+are dropped, pairs wholly within the threshold are counted as they are, the others are entered, and single rows are decided
+there (unordered pairs of one tree once). A task returns each class's number of links and a spanning forest, never its pairs.
 
 Exact search over data without clusters compares all blocks: the work is quadratic there, the memory is not.
 
-Vectors that are null, empty, zero or hold null or non-finite components link with nothing, and so do vectors of different lengths.
-Rows with a repeated vec_id are separate vectors. An empty table gives an empty result.
+Vectors that are null, empty, zero or hold null or non-finite components link with nothing, and so do vectors of different lengths (any
+number of lengths is handled in the same pass). Vectors are scaled before their norm is taken, so very large and very small ones link
+like others. Rows with a repeated vec_id are separate vectors; null ids are never a component's name unless all of it are null. An empty
+table gives an empty result. Columns other than ``vec_id`` and ``embedding`` are not read and may have any name.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import graph
 from ._util import keep, min_labels, ship
 
-THRESHOLD, PIVOTS, SAMPLE, BLOCK, LEAF = 0.95, 16, 2000, 8192, 256
+THRESHOLD, PIVOTS, SAMPLE, BLOCK, LEAF = 0.95, 1024, 16_384, 8192, 32
+#: Room for rounding: of lengths in bounds, and of cosines that are looked at again from the vectors as given.
+SLACK, UNSURE = 1e-7, 1e-9
 
 
 def chord(cosine: float) -> float:
     return float(np.sqrt(max(0.0, 2 - 2 * cosine)))
 
 
-class CoverTree:
-    """Nested nets over unit vectors; ``nodes``: (centre row, covering radius, rows, children)."""
+def unit(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows scaled by their largest component (so that squares neither overflow nor vanish), and unit rows."""
+    scaled = x / np.abs(x).max(1, keepdims=True)
+    return scaled, scaled / np.linalg.norm(scaled, axis=1, keepdims=True)
 
-    def __init__(self, x: np.ndarray, leaf: int = LEAF):
-        self.x, self.leaf = x, leaf
-        self.root = self._node(0, np.arange(len(x)), 2.0) if len(x) else None
 
-    def _away(self, centre: int, rows: np.ndarray) -> np.ndarray:
-        return np.sqrt(np.maximum(0.0, 2 - 2 * (self.x[rows] @ self.x[centre])))
+class Node:
+    """A centre row, the radius that covers its rows, and (unless a leaf) its children's centres and radii side by side."""
+
+    __slots__ = ("centre", "radius", "rows", "children", "centres", "radii")
+
+    def __init__(self, centre: int, radius: float, rows: np.ndarray):
+        self.centre, self.radius, self.rows, self.children = centre, radius, rows, ()
+
 
-    def _node(self, centre: int, rows: np.ndarray, scale: float) -> tuple:
-        radius = float(self._away(centre, rows).max()) + 1e-9
-        if len(rows) <= self.leaf:
-            return centre, radius, rows, ()
-        while scale / 2 > radius:
+class CoverTree:
+    """Nested nets over unit rows ``x``; ``depth`` is the number of levels."""
+
+    def __init__(self, x: np.ndarray, leaf: int = LEAF):
+        self.x, self.leaf, self.depth = x, leaf, 0
+        self.root = self._node(0, np.arange(len(x)), 2.0, 1) if len(x) else None
+
+    def _node(self, centre: int, rows: np.ndarray, scale: float, level: int) -> Node:
+        self.depth = max(self.depth, level)
+        if len(rows) == 1:
+            return Node(centre, 0.0, rows)
+        radius = float(np.sqrt(np.maximum(0.0, 2 - 2 * (self.x[rows] @ self.x[centre])).max())) + SLACK
+        node = Node(centre, radius, rows)
+        if len(rows) <= self.leaf or radius < 1e-5:
+            return node
+        while scale >= radius:
             scale /= 2
-        step = scale / 2
-        probe = rows[np.linspace(0, len(rows) - 1, 32).astype(int)]
-        near = (self.x[probe] @ self.x[rows].T) >= 1 - step * step / 2
-        if near.sum() < 4 * len(probe) or scale < 1e-6:  # the next net would be about as large as the node
-            return centre, radius, rows, ()
-        children, left, at = [], rows, centre
-        while len(left):
-            away = self._away(at, left)
-            inside = away <= step
-            children.append(self._node(at, left[inside], step) if len(children) < len(rows) else None)
-            left = left[~inside]
-            if len(children) > len(rows) // 4 and len(left):
-                return centre, radius, rows, ()
-            at = left[0] if len(left) else -1
-        return centre, radius, rows, tuple(children)
-
-
-def dual(a: CoverTree, b: CoverTree, reach: float, same: bool):
-    """Yields pairs of row sets that may hold links; ``same``: both are one tree, and unordered pairs are met once."""
-    stack = [(a.root, b.root)] if a.root and b.root else []
-    while stack:
-        p, q = stack.pop()
-        gap = float(np.sqrt(max(0.0, 2 - 2 * float(a.x[p[0]] @ b.x[q[0]]))))
-        if gap - p[1] - q[1] > reach + 1e-7:
-            continue
-        if not p[3] and not q[3]:
-            yield p[2], q[2]
-        elif same and p is q:
-            stack += [(p[3][i], p[3][j]) for i in range(len(p[3])) for j in range(i, len(p[3]))]
-        elif p[3] and (not q[3] or p[1] >= q[1]):
-            stack += [(c, q) for c in p[3]]
-        else:
-            stack += [(p, c) for c in q[3]]
+        owner = self.net(centre, rows, scale)
+        order = np.argsort(owner, kind="stable")
+        names, head = np.unique(owner[order], return_index=True)
+        node.children = [self._node(int(c), some, scale, level + 1) for c, some in zip(names, np.split(rows[order], head[1:]), strict=True)]
+        node.centres = names
+        node.radii = np.array([c.radius for c in node.children])
+        return node
+
+    def net(self, centre: int, rows: np.ndarray, step: float, block: int = 256) -> np.ndarray:
+        """For each row the net point that covers it within ``step``; net points lie further apart than that. The parent's centre is
+        one; rows are met a block at a time, first against the points so far, then among themselves."""
+        near = 1 - step * step / 2
+        points, owner = [centre], np.empty(len(rows), np.int64)
+        for at in range(0, len(rows), block):
+            some = rows[at : at + block]
+            cos = self.x[some] @ self.x[points].T
+            best = cos.argmax(1)
+            own = np.where(cos[np.arange(len(some)), best] >= near, np.array(points)[best], -1)
+            left = np.flatnonzero(own < 0)
+            if len(left):
+                covers = self.x[some[left]] @ self.x[some[left]].T >= near
+                free = np.ones(len(left), bool)
+                for i in range(len(left)):
+                    if free[i]:
+                        covers[i, i] = True
+                        new = covers[i] & free
+                        own[left[new]] = some[left[i]]
+                        free &= ~new
+                        points.append(int(some[left[i]]))
+            owner[at : at + block] = own
+        return owner
+
+
+class Links:
+    """What a dual traversal finds: weighted degrees of both sides, component labels over ``x`` then ``y`` rows, and the number of
+    distances it took."""
+
+    def __init__(self, x: np.ndarray, y: np.ndarray, mx: np.ndarray, my: np.ndarray, threshold: float, same: bool):
+        (self.x, self.ux), (self.y, self.uy) = unit(x), unit(y)
+        self.mx, self.my, self.threshold, self.same, self.reach = mx, my, threshold, same, chord(threshold)
+        self.dx, self.dy = np.zeros(len(x), np.int64), np.zeros(len(y), np.int64)
+        self.shift = 0 if same else len(x)
+        self.label = np.arange(self.shift + len(y))
+        self.edges, self.waiting, self.distances = [], 0, 0
+        tx = CoverTree(self.ux)
+        self.trees = (tx, tx if same else CoverTree(self.uy))
+        self.walk()
+        self._join()
+
+    def _edge(self, i: np.ndarray, j: np.ndarray) -> None:
+        """Rows of ``x`` and ``y`` that are linked."""
+        j = j + self.shift
+        new = self.label[i] != self.label[j]
+        if new.any():
+            self.edges.append((i[new], j[new]))
+            self.waiting += int(new.sum())
+            if self.waiting > 200_000:
+                self._join()
+
+    def _join(self) -> None:
+        if self.edges:
+            low = min_labels(len(self.label), *(self.label[np.concatenate(e)] for e in zip(*self.edges, strict=True)))
+            self.label = low[self.label]
+            self.edges, self.waiting = [], 0
+
+    def decide(self, i: np.ndarray, j: np.ndarray, cos: np.ndarray) -> None:
+        """Pairs of rows with their cosine; what lies at the threshold is looked at again."""
+        ok = cos >= self.threshold + UNSURE
+        again = np.flatnonzero(~ok & (cos >= self.threshold - UNSURE))
+        if len(again):
+            a, b = self.x[i[again]], self.y[j[again]]
+            ok[again] = np.einsum("ij,ij->i", a, b) / np.sqrt(np.einsum("ij,ij->i", a, a) * np.einsum("ij,ij->i", b, b)) >= self.threshold
+        i, j = i[ok], j[ok]
+        if len(i):
+            np.add.at(self.dx, i, self.my[j])
+            np.add.at(self.dy, j, self.mx[i])
+            self._edge(i, j)
+
+    def every(self, p: Node, q: Node, one: bool) -> None:
+        """All rows of two nodes (or of one) are linked."""
+        if one:
+            self._edge(np.full(len(p.rows), p.rows[0]), p.rows)
+            self.dx[p.rows] += self.mx[p.rows].sum() - self.mx[p.rows]
+            return
+        self._edge(p.rows, np.full(len(p.rows), q.rows[0]))
+        self._edge(np.full(len(q.rows), p.rows[0]), q.rows)
+        self.dx[p.rows] += self.my[q.rows].sum()
+        self.dy[q.rows] += self.mx[p.rows].sum()
+
+    def walk(self) -> None:
+        a, b = (t.root for t in self.trees)
+        stack = [(a, b)] if a and b else []
+        while stack:
+            p, q = stack.pop()
+            one = self.same and p is q
+            if one and 2 * p.radius <= self.reach - SLACK:
+                self.every(p, q, True)
+                continue
+            left = p.children or [p]
+            right = left if one else q.children or [q]
+            if not p.children and not q.children:
+                self._rows(p.rows, q.rows, one)
+                continue
+            ca, ra = (p.centres, p.radii) if p.children else (np.array([p.centre]), np.array([p.radius]))
+            cb, rb = (q.centres, q.radii) if q.children else (np.array([q.centre]), np.array([q.radius]))
+            sa, sb = (np.array([len(n.rows) == 1 for n in side]) for side in (left, right))
+            for s in range(0, len(ca), 256):
+                e, f = min(len(ca), s + 256), s if one else 0  # the part over the diagonal of one node
+                cos = self.ux[ca[s:e]] @ self.uy[cb[f:]].T
+                self.distances += cos.size
+                live = 2 - 2 * cos <= (self.reach + SLACK + ra[s:e, None] + rb[None, f:]) ** 2
+                i, j = np.nonzero(live)
+                c = cos[i, j]
+                i, j = i + s, j + f
+                if one:
+                    i, j, c = i[i <= j], j[i <= j], c[i <= j]
+                single = sa[i] & sb[j]
+                row = single if not one else single & (i < j)
+                self.decide(ca[i[row]], cb[j[row]], c[row])
+                far = np.sqrt(np.maximum(0.0, 2 - 2 * c)) + ra[i] + rb[j]
+                for u, v, inside in zip(i[~single].tolist(), j[~single].tolist(), (far <= self.reach - SLACK)[~single].tolist(), strict=True):
+                    if inside and not (one and u == v):
+                        self.every(left[u], right[v], False)
+                    else:
+                        stack.append((left[u], right[v]))
+
+    def _rows(self, p: np.ndarray, q: np.ndarray, one: bool) -> None:
+        """Two leaves, all rows."""
+        for s in range(0, len(p), 256):
+            cos = self.ux[p[s : s + 256]] @ self.uy[q].T
+            self.distances += cos.size
+            i, j = np.nonzero(cos >= self.threshold - UNSURE)
+            if one:
+                i, j = i[i + s < j], j[i + s < j]
+            self.decide(p[i + s], q[j], cos[i, j])
 
 
 def compare(x: np.ndarray, y: np.ndarray, mx: np.ndarray, my: np.ndarray, threshold: float, same: bool):
     """Links between two blocks of rows: weighted degrees of both sides, and component labels over ``x`` then ``y`` rows."""
-    ux, uy = (v / np.linalg.norm(v, axis=1, keepdims=True) for v in (x, y))
-    nx, ny = np.einsum("ij,ij->i", x, x), np.einsum("ij,ij->i", y, y)
-    dx, dy = np.zeros(len(x), np.int64), np.zeros(len(y), np.int64)
-    label = np.arange(len(x) + len(y))
-    tx = CoverTree(ux)
-    ty = tx if same else CoverTree(uy)
-    for p, q in dual(tx, ty, chord(threshold), same):
-        for s in range(0, len(p), 256):
-            rows = p[s : s + 256]
-            i, j = np.nonzero(ux[rows] @ uy[q].T >= threshold - 1e-9)
-            if not len(i):
-                continue
-            i, j = rows[i], q[j]
-            exact = np.zeros(len(i))
-            for c in range(0, len(i), 65536):
-                k = slice(c, c + 65536)
-                exact[k] = np.einsum("ij,ij->i", x[i[k]], y[j[k]]) / np.sqrt(nx[i[k]] * ny[j[k]])
-            ok = (exact >= threshold) & ((i < j) if same and p is q else (i != j) if same else np.ones(len(i), bool))
-            i, j = i[ok], j[ok]
-            dx += np.bincount(i, my[j], len(x)).astype(np.int64)
-            dy += np.bincount(j, mx[i], len(y)).astype(np.int64)
-            ends = label[i], label[(j if same else j + len(x))]
-            low = min_labels(len(label), *ends)
-            label = low[label]
-    return dx, dy, label
+    found = Links(x, y, mx, my, threshold, same)
+    return found.dx, found.dy, found.label
 
 
 def prepare(vectors: DataFrame) -> DataFrame:
@@ -115,16 +217,18 @@ def prepare(vectors: DataFrame) -> DataFrame:
 
     def work(batches):
         for batch in batches:
-            keys, dims = [], []
-            for v in batch.column("embedding").to_pylist():
-                ok = v is not None and len(v) > 0 and None not in v
-                x = np.array(v if ok else [], np.float64)
-                ok = ok and bool(np.isfinite(x).all()) and bool(x.any())
+            column = batch.column("embedding")
+            sizes = np.array([-1 if v is None else v for v in pc.list_value_length(column).to_pylist()])
+            flat = pc.cast(column.flatten(), pa.float64()).to_numpy(zero_copy_only=False)  # null components are not finite here
+            ends = np.cumsum(np.maximum(sizes, 0))
+            keys = []
+            for n, e in zip(sizes.tolist(), ends.tolist(), strict=True):
+                x = flat[e - max(n, 0) : e]
+                ok = n > 0 and bool(np.isfinite(x).all()) and bool(x.any())
                 with np.errstate(over="ignore"):
-                    ok = ok and bool(np.isfinite(x @ x)) and float(x @ x) > 0
-                narrow = x.astype(np.float32)
+                    narrow = x.astype(np.float32)
                 keys.append((b"4" + narrow.tobytes() if (narrow == x).all() else b"8" + x.tobytes()) if ok else None)
-                dims.append(len(x) if ok else 0)
+            dims = [n if k is not None else 0 for n, k in zip(sizes.tolist(), keys, strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array(keys, pa.binary()), pa.array(dims, pa.int32())], names=["vec_id", "key", "dim"])
 
     return vectors.selectExpr("cast(vec_id as long) vec_id", "embedding").mapInArrow(work, "vec_id long, key binary, dim int")
@@ -149,14 +253,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, block: int
     spark = ship(vectors.sparkSession)
     rows = keep(prepare(vectors), "vectors")
     classes = keep(rows.filter("key is not null").groupBy("key").agg(F.min("vec_id").alias("first"), F.count("*").alias("m"), F.min("dim").alias("dim")).withColumn("cls", F.xxhash64("key")), "classes")
-    dims = [r[0] for r in classes.groupBy("dim").count().orderBy(F.desc("count")).limit(100).collect()]
-    found = None
-    for dim in dims:
-        part = _links(spark, classes.filter(F.col("dim") == dim), threshold, block)
-        found = part if found is None else found.union(part)
-    if found is None:
-        found = spark.createDataFrame([], "a binary, b binary, n long")
-    found = keep(found, "links")
+    found = keep(_links(spark, classes, threshold, block), "links")
     degree = found.filter("n is not null").groupBy(F.col("a").alias("key")).agg(F.sum("n").alias("n"))
     root = graph.components(found.filter("b is not null").select("a", "b")).select(F.col("node").alias("key"), "root")
     own = classes.select("key", "first", "m").join(degree, "key", "left").join(root, "key", "left").select("key", "first", (F.col("m") - 1 + F.coalesce("n", F.lit(0))).alias("n_links"), F.coalesce("root", "key").alias("root"))
@@ -166,28 +263,52 @@ def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, block: int
     return out.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(False)))
 
 
+def top_net(classes: DataFrame, block: int) -> dict[int, np.ndarray]:
+    """Pivots of each vector length in a bounded sample (least hashes first): about one a block of its classes, at most ``PIVOTS`` in
+    all. A length outside the sample has none and is one cell."""
+    total = classes.count()
+    sample: dict[int, list[bytes]] = {}
+    for r in classes.orderBy("cls", "key").limit(SAMPLE).select("key", "dim").collect():
+        sample.setdefault(r["dim"], []).append(bytes(r["key"]))
+    seen = sum(map(len, sample.values()))
+    wish = {d: max(1, min(-(-len(k) * total // (seen * block)), PIVOTS * len(k) // seen)) for d, k in sample.items()}
+    return {d: pivots_of(unit(matrix(k))[1], wish[d]) for d, k in sample.items()}
+
+
 def _links(spark, classes: DataFrame, threshold: float, block: int) -> DataFrame:
-    """Rows ``a, n`` (links of class ``a``) and ``a, b`` (forest) among classes of one length."""
-    sample = matrix([bytes(r[0]) for r in classes.orderBy("cls", "key").limit(SAMPLE).select("key").collect()])
-    centre = pivots_of(sample / np.linalg.norm(sample, axis=1, keepdims=True), PIVOTS)
-    shared = spark.sparkContext.broadcast(centre)  # PIVOTS rows
+    """Rows ``a, n`` (links of class ``a``) and ``a, b`` (forest) among classes of equal length."""
+    nets = top_net(classes, block)
+    shared = spark.sparkContext.broadcast(nets)  # at most SAMPLE rows, however many vectors
 
     def assign(batches):
         for batch in batches:
-            x = matrix([bytes(k) for k in batch.column("key").to_pylist()])
-            cos = (x / np.linalg.norm(x, axis=1, keepdims=True)) @ shared.value.T
-            cell = cos.argmax(1)
-            away = np.sqrt(np.maximum(0.0, 2 - 2 * cos[np.arange(len(x)), cell]))
-            yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("m"), batch.column("cls"), pa.array(cell.astype(np.int32)), pa.array(away)], names=["key", "m", "cls", "cell", "away"])
-
-    placed = keep(classes.select("key", "m", "cls").mapInArrow(assign, "key binary, m long, cls long, cell int, away double"), "cells")
-    cells = {r[0]: (r[1], r[2]) for r in placed.groupBy("cell").agg(F.count("*"), F.max("away")).collect()}
+            dim = batch.column("dim").to_numpy()
+            cell, away = np.zeros(len(dim), np.int32), np.full(len(dim), 2.0)
+            for d in np.unique(dim).tolist():
+                if d in shared.value:
+                    at = np.flatnonzero(dim == d)
+                    cos = unit(matrix([batch.column("key")[i].as_py() for i in at.tolist()]))[1] @ shared.value[d].T
+                    cell[at] = cos.argmax(1)
+                    away[at] = np.sqrt(np.maximum(0.0, 2 - 2 * cos.max(1)))
+            yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("m"), batch.column("cls"), pa.array(dim), pa.array(cell), pa.array(away)], names=["key", "m", "cls", "dim", "cell", "away"])
+
+    placed = keep(classes.select("key", "m", "cls", "dim").mapInArrow(assign, "key binary, m long, cls long, dim int, cell int, away double"), "cells")
+    cells = {(r[0], r[1]): (r[2], r[3]) for r in placed.groupBy("dim", "cell").agg(F.count("*"), F.max("away")).collect()}
     split = {c: max(1, -(-n // block)) for c, (n, _) in cells.items()}
     base, total = {}, 0
     for c in sorted(cells):
         base[c], total = total, total + split[c]
-    gap = np.sqrt(np.maximum(0.0, 2 - 2 * centre @ centre.T))
-    meets = {c: [d for d in cells if gap[c, d] - cells[c][1] - cells[d][1] <= chord(threshold) + 1e-6] for c in cells}
+    by_dim: dict[int, list] = {}
+    for c in cells:
+        by_dim.setdefault(c[0], []).append(c)
+
+    def may_meet(c, d) -> bool:
+        if c[0] not in nets:
+            return True
+        gap = chord(float(nets[c[0]][c[1]] @ nets[c[0]][d[1]]))
+        return gap - cells[c][1] - cells[d][1] <= chord(threshold) + 1e-6
+
+    meets = {c: [d for d in by_dim[c[0]] if may_meet(c, d)] for c in cells}
 
     def spread(batches):
         held: dict[int, list] = {}
@@ -202,7 +323,8 @@ def _links(spark, classes: DataFrame, threshold: float, block: int) -> DataFrame
 
         size = 0
         for batch in batches:
-            for key, m, cls, cell in zip(*(batch.column(c).to_pylist() for c in ("key", "m", "cls", "cell")), strict=True):
+            for key, m, cls, dim, cell in zip(*(batch.column(c).to_pylist() for c in ("key", "m", "cls", "dim", "cell")), strict=True):
+                cell = dim, cell
                 held.setdefault((cell, base[cell] + cls % split[cell]), []).append((key, m))
             size += batch.num_rows
             if size >= 4 * block:

@@ -105,15 +105,54 @@ def test_cover_tree_covers_and_nests():
     x = np.concatenate([c[i] + 0.05 * rng.normal(size=(60, 8)) for i in range(12)])
     x /= np.linalg.norm(x, axis=1, keepdims=True)
     tree = embedding_cover.CoverTree(x, leaf=16)
-    todo, depth = [tree.root], 0
+    todo = [tree.root]
     while todo:
-        centre, radius, rows, children = todo.pop()
-        assert (np.linalg.norm(x[rows] - x[centre], axis=1) <= radius + 1e-6).all()
-        if children:
-            depth += 1
-            assert sorted(np.concatenate([k[2] for k in children]).tolist()) == sorted(rows.tolist()) and children[0][0] == centre
-            todo += children
-    assert depth > 3
+        node = todo.pop()
+        assert (np.linalg.norm(x[node.rows] - x[node.centre], axis=1) <= node.radius + 1e-6).all()
+        if node.children:
+            assert sorted(np.concatenate([k.rows for k in node.children]).tolist()) == sorted(node.rows.tolist())
+            assert node.centre in node.centres and all(k.centre in k.rows for k in node.children)
+            todo += node.children
+    assert tree.depth > 3
+
+
+def brute_degrees(x, mx, threshold):
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    ok = (u @ u.T >= threshold) & ~np.eye(len(x), dtype=bool)
+    return ok @ mx
+
+
+@pytest.mark.parametrize("noise", [0.02, 0.25, 3.0])
+def test_dual_traversal_is_exact_and_saves_work(noise):
+    rng = np.random.default_rng(5)
+    x = np.repeat(rng.normal(size=(12, 24)), 60, axis=0) + noise * rng.normal(size=(720, 24)) / np.sqrt(24)
+    m = rng.integers(1, 4, 720)
+    found = embedding_cover.Links(x, x, m, m, 0.95, True)
+    assert (found.dx + found.dy == brute_degrees(x, m, 0.95)).all()
+    assert found.distances < (0.1 if noise < 0.1 else 0.75) * len(x) ** 2
+    a, b = x[::2], x[1::2]
+    apart = embedding_cover.Links(a, b, m[::2], m[1::2], 0.95, False)
+    every = brute_degrees(np.r_[a, b], np.r_[np.zeros(360, int), m[1::2]], 0.95)
+    assert (apart.dx == every[:360]).all()
+
+
+def test_given_vectors_branch(spark):
+    """On the given table the tree has levels, and one tree against itself takes about half of all ordered pairs."""
+    rows = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet").select("embedding").distinct().collect()
+    x = np.array([r[0] for r in rows], float)
+    found = embedding_cover.Links(x, x, np.ones(len(x), int), np.ones(len(x), int), 0.95, True)
+    assert found.trees[0].depth > 1 and found.distances < 0.65 * len(x) ** 2
+    assert (found.dx + found.dy == brute_degrees(x, np.ones(len(x), int), 0.95)).all()
+
+
+def test_many_vector_lengths_and_extreme_norms(spark):
+    rows = [(3 * n + k, [float(k == 2)] + [1.0] * n) for n in range(1, 140) for k in range(3)]
+    rows += [(1000, [1e200, 1e200]), (1001, [1e-200, 1.1e-200]), (1002, [3e-310, -1e-310])]
+    got = {r.vec_id: r for r in embedding_cover.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    for n in range(2, 140):
+        assert got[3 * n].n_links >= 1 and got[3 * n + 1].component_id == min(3 * n, got[3 * n].component_id)
+    assert got[1001].component_id == got[1000].component_id == got[6].component_id
+    assert got[1002].n_links == 0 and len(got) == len(rows)
 
 
 def test_embedding_links(spark, small):
