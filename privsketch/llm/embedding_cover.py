@@ -43,38 +43,58 @@ def unit(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return scaled, scaled / np.linalg.norm(scaled, axis=1, keepdims=True)
 
 
-class Node:
-    """A centre row, the radius that covers its rows, and (unless a leaf) its children's centres and radii side by side."""
-
-    __slots__ = ("centre", "radius", "rows", "children", "centres", "radii")
-
-    def __init__(self, centre: int, radius: float, rows: np.ndarray):
-        self.centre, self.radius, self.rows, self.children = centre, radius, rows, ()
-
-
 class CoverTree:
-    """Nested nets over unit rows ``x``; ``depth`` is the number of levels."""
+    """Nested nets over unit rows ``x`` as flat arrays by node: centre row, covering radius, number of rows, children. Below ``leaf``
+    rows a node's children are its rows; ``rows_of`` lists a node's rows; ``depth`` is the number of levels."""
 
     def __init__(self, x: np.ndarray, leaf: int = LEAF):
         self.x, self.leaf, self.depth = x, leaf, 0
-        self.root = self._node(0, np.arange(len(x)), 2.0, 1) if len(x) else None
+        self._made: list[tuple[int, float, int, int]] = []
+        self._kids: list[list[int]] = []
+        self._order: list[int] = []
+        if len(x):
+            self._node(0, np.arange(len(x)), 2.0, 1)
+        made = np.array(self._made, float).reshape(-1, 4)
+        self.centre, self.size, self._first = (made[:, i].astype(np.int64) for i in (0, 2, 3))
+        self.radius = made[:, 1]
+        self.kid_count = np.fromiter(map(len, self._kids), np.int64, len(self._kids))
+        self.kid_first = np.cumsum(self.kid_count) - self.kid_count
+        self.kids = np.array([k for some in self._kids for k in some], np.int64)
+        self._order = np.array(self._order, np.int64)
+
+    def rows_of(self, node: int) -> np.ndarray:
+        return self._order[self._first[node] : self._first[node] + self.size[node]]
+
+    def parts(self, node: int) -> np.ndarray:
+        """Children of a node; a single row is its own."""
+        n = self.kid_count[node]
+        return self.kids[self.kid_first[node] : self.kid_first[node] + n] if n else np.array([node])
+
+    def _add(self, centre: int, radius: float, size: int) -> int:
+        self._made.append((centre, radius, size, len(self._order)))
+        self._kids.append([])
+        return len(self._made) - 1
+
+    def _single(self, row: int) -> int:
+        node = self._add(row, 0.0, 1)
+        self._order.append(row)
+        return node
 
-    def _node(self, centre: int, rows: np.ndarray, scale: float, level: int) -> Node:
+    def _node(self, centre: int, rows: np.ndarray, scale: float, level: int) -> int:
         self.depth = max(self.depth, level)
         if len(rows) == 1:
-            return Node(centre, 0.0, rows)
+            return self._single(int(rows[0]))
         radius = float(np.sqrt(np.maximum(0.0, 2 - 2 * (self.x[rows] @ self.x[centre])).max())) + SLACK
-        node = Node(centre, radius, rows)
+        node = self._add(centre, radius, len(rows))
         if len(rows) <= self.leaf or radius < 1e-5:
+            self._kids[node] = [self._single(r) for r in rows.tolist()]
             return node
         while scale >= radius:
             scale /= 2
         owner = self.net(centre, rows, scale)
         order = np.argsort(owner, kind="stable")
         names, head = np.unique(owner[order], return_index=True)
-        node.children = [self._node(int(c), some, scale, level + 1) for c, some in zip(names, np.split(rows[order], head[1:]), strict=True)]
-        node.centres = names
-        node.radii = np.array([c.radius for c in node.children])
+        self._kids[node] = [self._node(int(c), some, scale, level + 1) for c, some in zip(names, np.split(rows[order], head[1:]), strict=True)]
         return node
 
     def net(self, centre: int, rows: np.ndarray, step: float, block: int = 256) -> np.ndarray:
@@ -147,63 +167,95 @@ class Links:
             np.add.at(self.dy, j, self.mx[i])
             self._edge(i, j)
 
-    def every(self, p: Node, q: Node, one: bool) -> None:
+    def every(self, p: np.ndarray, q: np.ndarray, one: bool) -> None:
         """All rows of two nodes (or of one) are linked."""
+        self._edge(np.full(len(q), p[0]), q)
         if one:
-            self._edge(np.full(len(p.rows), p.rows[0]), p.rows)
-            self.dx[p.rows] += self.mx[p.rows].sum() - self.mx[p.rows]
+            self.dx[p] += self.mx[p].sum() - self.mx[p]
             return
-        self._edge(p.rows, np.full(len(p.rows), q.rows[0]))
-        self._edge(np.full(len(q.rows), p.rows[0]), q.rows)
-        self.dx[p.rows] += self.my[q.rows].sum()
-        self.dy[q.rows] += self.mx[p.rows].sum()
+        self._edge(p, np.full(len(p), q[0]))
+        self.dx[p] += self.my[q].sum()
+        self.dy[q] += self.mx[p].sum()
 
     def walk(self) -> None:
-        a, b = (t.root for t in self.trees)
-        stack = [(a, b)] if a and b else []
-        while stack:
-            p, q = stack.pop()
-            one = self.same and p is q
-            if one and 2 * p.radius <= self.reach - SLACK:
-                self.every(p, q, True)
-                continue
-            left = p.children or [p]
-            right = left if one else q.children or [q]
-            if not p.children and not q.children:
-                self._rows(p.rows, q.rows, one)
+        tx, ty = self.trees
+        if not len(tx.centre) or not len(ty.centre):
+            return
+        self.todo = [] if self.same else [(np.zeros(1, np.int64), np.zeros(1, np.int64))]
+        own = [0] if self.same else []
+        while own or self.todo:
+            if own:
+                p = own.pop()
+                if 2 * tx.radius[p] <= self.reach - SLACK:
+                    rows = tx.rows_of(p)
+                    self.every(rows, rows, True)
+                else:
+                    self.product(p, p, True)
+                    kids = tx.parts(p)
+                    own += kids[tx.size[kids] > 1].tolist()
                 continue
-            ca, ra = (p.centres, p.radii) if p.children else (np.array([p.centre]), np.array([p.radius]))
-            cb, rb = (q.centres, q.radii) if q.children else (np.array([q.centre]), np.array([q.radius]))
-            sa, sb = (np.array([len(n.rows) == 1 for n in side]) for side in (left, right))
-            for s in range(0, len(ca), 256):
-                e, f = min(len(ca), s + 256), s if one else 0  # the part over the diagonal of one node
-                cos = self.ux[ca[s:e]] @ self.uy[cb[f:]].T
-                self.distances += cos.size
-                live = 2 - 2 * cos <= (self.reach + SLACK + ra[s:e, None] + rb[None, f:]) ** 2
-                i, j = np.nonzero(live)
-                c = cos[i, j]
-                i, j = i + s, j + f
-                if one:
-                    i, j, c = i[i <= j], j[i <= j], c[i <= j]
-                single = sa[i] & sb[j]
-                row = single if not one else single & (i < j)
-                self.decide(ca[i[row]], cb[j[row]], c[row])
-                far = np.sqrt(np.maximum(0.0, 2 - 2 * c)) + ra[i] + rb[j]
-                for u, v, inside in zip(i[~single].tolist(), j[~single].tolist(), (far <= self.reach - SLACK)[~single].tolist(), strict=True):
-                    if inside and not (one and u == v):
-                        self.every(left[u], right[v], False)
-                    else:
-                        stack.append((left[u], right[v]))
-
-    def _rows(self, p: np.ndarray, q: np.ndarray, one: bool) -> None:
-        """Two leaves, all rows."""
-        for s in range(0, len(p), 256):
-            cos = self.ux[p[s : s + 256]] @ self.uy[q].T
+            a, b = self.todo.pop()
+            ka, kb = tx.kid_count[a], ty.kid_count[b]
+            wide = np.maximum(ka, 1) * np.maximum(kb, 1) >= 4096
+            for p, q in zip(a[wide].tolist(), b[wide].tolist(), strict=True):
+                self.product(p, q, False)
+            a, b, ka, kb = a[~wide], b[~wide], ka[~wide], kb[~wide]
+            left = (ka > 0) & ((kb == 0) | (tx.radius[a] >= ty.radius[b]))
+            self.enter(tx, a[left], ka[left], b[left], False)
+            self.enter(ty, b[~left], kb[~left], a[~left], True)
+
+    def enter(self, tree: CoverTree, nodes: np.ndarray, many: np.ndarray, other: np.ndarray, swap: bool, most: int = 50_000) -> None:
+        """Children of ``nodes`` against the node each was paired with, a bounded number of pairs at a time."""
+        edge = np.cumsum(many)
+        for lo, hi in zip(*_pieces(edge, most), strict=True):
+            n = many[lo:hi]
+            at = np.repeat(tree.kid_first[nodes[lo:hi]] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+            a, b = tree.kids[at], np.repeat(other[lo:hi], n)
+            a, b = (b, a) if swap else (a, b)
+            tx, ty = self.trees
+            cos = np.einsum("ij,ij->i", self.ux[tx.centre[a]], self.uy[ty.centre[b]])
+            self.distances += len(cos)
+            live = 2 - 2 * cos <= (self.reach + SLACK + tx.radius[a] + ty.radius[b]) ** 2
+            self.settle(a[live], b[live], cos[live])
+
+    def product(self, p: int, q: int, one: bool) -> None:
+        """All children of ``p`` against all of ``q``; of one node with itself every unordered pair once."""
+        tx, ty = self.trees
+        a, b = tx.parts(p), ty.parts(q)
+        ca, cb, ra, rb = tx.centre[a], ty.centre[b], tx.radius[a] + (self.reach + SLACK), ty.radius[b]
+        for s in range(0, len(a), 256):
+            f = s if one else 0
+            cos = self.ux[ca[s : s + 256]] @ self.uy[cb[f:]].T
             self.distances += cos.size
-            i, j = np.nonzero(cos >= self.threshold - UNSURE)
+            i, j = np.nonzero(2 - 2 * cos <= (ra[s : s + 256, None] + rb[None, f:]) ** 2)
+            c = cos[i, j]
+            i, j = i + s, j + f
             if one:
-                i, j = i[i + s < j], j[i + s < j]
-            self.decide(p[i + s], q[j], cos[i, j])
+                over = i < j
+                i, j, c = i[over], j[over], c[over]
+            self.settle(a[i], b[j], c)
+
+    def settle(self, a: np.ndarray, b: np.ndarray, cos: np.ndarray) -> None:
+        """Node pairs in reach: single rows are decided, large pairs wholly within the threshold counted, the others wait."""
+        tx, ty = self.trees
+        na, nb = tx.size[a], ty.size[b]
+        row = (na == 1) & (nb == 1)
+        self.decide(tx.centre[a[row]], ty.centre[b[row]], cos[row])
+        a, b, cos, large = a[~row], b[~row], cos[~row], (na * nb)[~row] >= 64
+        inside = large & (np.sqrt(np.maximum(0.0, 2 - 2 * cos)) + tx.radius[a] + ty.radius[b] <= self.reach - SLACK)
+        for p, q in zip(a[inside].tolist(), b[inside].tolist(), strict=True):
+            self.every(tx.rows_of(p), ty.rows_of(q), False)
+        if not inside.all():
+            self.todo.append((a[~inside], b[~inside]))
+
+
+def _pieces(edge: np.ndarray, most: int) -> tuple[list[int], list[int]]:
+    """Runs of items whose running total ``edge`` grows by about ``most`` each (one item at least)."""
+    if not len(edge):
+        return [], []
+    cut = np.unique(np.searchsorted(edge, np.arange(0, edge[-1] + most, most)[1:], side="right").clip(1, len(edge)))
+    cut = cut.tolist() if len(cut) and cut[-1] == len(edge) else [*cut.tolist(), len(edge)]
+    return [0, *cut[:-1]], cut
 
 
 def compare(x: np.ndarray, y: np.ndarray, mx: np.ndarray, my: np.ndarray, threshold: float, same: bool):
