@@ -167,15 +167,15 @@ def only(key, make):
 
 
 class HashTable:
-    """Open addressing over uint64 keys with numpy: ``get`` returns int64 values, -1 where a key is absent."""
+    """Open addressing over uint64 keys with numpy: ``get`` returns values (below 2**31), -1 where a key is absent."""
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
         keys = keys.astype(np.uint64)
-        bits = max(4, int(np.ceil(np.log2(max(1, len(keys)) * 2.5))))
+        bits = max(4, int(np.ceil(np.log2(max(1, len(keys)) * 1.6))))
         self.shift, self.mask = np.uint64(64 - bits), (1 << bits) - 1
         self.used = np.zeros(1 << bits, bool)
         self.keys = np.zeros(1 << bits, np.uint64)
-        self.values = np.full(1 << bits, -1, np.int64)
+        self.values = np.full(1 << bits, -1, np.int32)
         slot, left = self._slot(keys), np.arange(len(keys))
         while len(left):
             free = left[~self.used[slot[left]]]
@@ -193,7 +193,7 @@ class HashTable:
     def get(self, keys: np.ndarray) -> np.ndarray:
         keys = keys.astype(np.uint64, copy=False)
         slot = self._slot(keys)
-        out = np.where(self.keys[slot] == keys, self.values[slot], -1)
+        out = np.where(self.keys[slot] == keys, self.values[slot], -1).astype(np.int64)
         left = np.flatnonzero((out < 0) & self.used[slot])
         while len(left):
             slot_left = (slot[left] + 1) & self.mask

@@ -31,7 +31,7 @@ from . import ppm
 from ._util import free_shuffles, keep, lower_ascii, only, ship, tabled, tokens, width
 from .language_id import held_out
 
-ORDER, HOLD, SLICE = 5, (7, 2), 2_000_000
+ORDER, HOLD, SLICE = 5, (7, 2), 1_000_000
 _LOG = np.log10(2)
 SENT = "part int, bucket int, words string, counts binary, contexts binary"
 BACK = "kind int, part int, bucket int, one binary"
@@ -54,17 +54,19 @@ class Words:
     """Distinct words of a bucket's texts, in an order that depends on the texts alone, cut by hash range."""
 
     def __init__(self, texts: list[str], ranges: int):
-        split = [tokens(lower_ascii(t)) for t in texts]
         at: dict[str, int] = {}
-        put = at.setdefault
-        self.place = np.array([put(w, len(at)) for s in split for w in s], np.int64)
-        self.sizes = np.fromiter(map(len, split), np.int64, len(split))
-        self.owner = np.repeat(np.arange(len(split)), self.sizes)
+        put, place, self.streams = at.setdefault, [], []
+        for t in texts:
+            words = tokens(lower_ascii(t))
+            place.append(np.array([put(w, len(at)) for w in words], np.int32))
+            self.streams.append(" ".join(words).encode("utf-8", "surrogatepass"))
+        self.place = np.concatenate(place) if place else np.zeros(0, np.int32)
+        self.sizes = np.fromiter(map(len, place), np.int64, len(place))
+        self.owner = np.repeat(np.arange(len(place), dtype=np.int32), self.sizes)
         self.words = list(at)
         part = np.fromiter((zlib.crc32(w.encode("utf-8", "surrogatepass")) for w in self.words), np.int64, len(self.words)) % ranges
         self.order = np.argsort(part, kind="stable")
         self.cut = np.searchsorted(part[self.order], np.arange(ranges + 1))
-        self.streams = [" ".join(s).encode("utf-8", "surrogatepass") for s in split]
 
     def parts(self):
         """(range, word numbers) of each range with words."""
@@ -95,7 +97,7 @@ def sliced(texts: list[bytes], most: int = SLICE):
 def contexts_of(texts: list[bytes], order: int) -> tuple[np.ndarray, np.ndarray]:
     """Counts of full contexts over many texts, in bounded memory."""
     keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    for some in sliced(texts, 4 * SLICE):
+    for some in sliced(texts, 2 * SLICE):
         k, c = ppm.stream_counts(some, order)
         keys, counts = ppm.tally(np.r_[keys, k], np.r_[counts, c]) if len(keys) else (k, c)
     return keys, counts
