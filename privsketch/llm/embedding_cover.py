@@ -219,20 +219,35 @@ class Links:
             self.settle(a[live], b[live], cos[live])
 
     def product(self, p: int, q: int, one: bool) -> None:
-        """All children of ``p`` against all of ``q``; of one node with itself every unordered pair once."""
+        """All children of ``p`` against all of ``q``, single rows apart from the others; of one node every unordered pair once."""
+        tx, ty = self.trees
+        a = tx.parts(p)
+        single, many = a[tx.size[a] == 1], a[tx.size[a] > 1]
+        if one:
+            sides = ((single, single, True), (single, many, False), (many, many, True))
+        else:
+            b = ty.parts(q)
+            alone, more = b[ty.size[b] == 1], b[ty.size[b] > 1]
+            sides = ((single, alone, False), (single, more, False), (many, alone, False), (many, more, False))
+        for x, y, over in sides:
+            if len(x) and len(y):
+                self.matrix(x, y, over)
+
+    def matrix(self, a: np.ndarray, b: np.ndarray, over: bool) -> None:
+        """Nodes against nodes; ``over``: only pairs above the diagonal."""
         tx, ty = self.trees
-        a, b = tx.parts(p), ty.parts(q)
         ca, cb, ra, rb = tx.centre[a], ty.centre[b], tx.radius[a] + (self.reach + SLACK), ty.radius[b]
+        flat = not tx.radius[a].any() and not rb.any()
         for s in range(0, len(a), 256):
-            f = s if one else 0
+            f = s if over else 0
             cos = self.ux[ca[s : s + 256]] @ self.uy[cb[f:]].T
             self.distances += cos.size
-            i, j = np.nonzero(2 - 2 * cos <= (ra[s : s + 256, None] + rb[None, f:]) ** 2)
+            i, j = np.nonzero(cos >= 1 - ra[0] ** 2 / 2 if flat else 2 - 2 * cos <= (ra[s : s + 256, None] + rb[None, f:]) ** 2)
             c = cos[i, j]
             i, j = i + s, j + f
-            if one:
-                over = i < j
-                i, j, c = i[over], j[over], c[over]
+            if over:
+                keep_ = i < j
+                i, j, c = i[keep_], j[keep_], c[keep_]
             self.settle(a[i], b[j], c)
 
     def settle(self, a: np.ndarray, b: np.ndarray, cos: np.ndarray) -> None:
