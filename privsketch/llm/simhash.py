@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from . import graph
 from ._util import keep, lower_ascii, min_labels, ship, slices, tokens, width
 
-SHINGLE, SEED, THRESHOLD, BLOCK = 3, 42, 2, 3
+SHINGLE, SEED, THRESHOLD, BLOCK, PART_ROWS = 3, 42, 2, 3, 100_000
 
 
 def fingerprint(text: str, shingle: int = SHINGLE, seed: int = SEED) -> int:
@@ -179,7 +179,8 @@ def forest(distinct: DataFrame, threshold: int = THRESHOLD, block: int = BLOCK)
             w = way[s : s + 50_000]
             yield pa.RecordBatch.from_arrays([pa.array(names[w]), pa.array(names[label[w]])], names=["a", "b"])
 
-    return distinct.select("fp").mapInArrow(spread, "anchor long, fp long").repartition(width(spark), "anchor").mapInArrow(compare, "a long, b long")
+    parts = max(width(spark), -(-distinct.count() // PART_ROWS))  # a task holds about 17 replicas a fingerprint, whatever the table's size
+    return distinct.select("fp").mapInArrow(spread, "anchor long, fp long").repartition(parts, "anchor").mapInArrow(compare, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD, block: int = BLOCK) -> DataFrame:
