@@ -6,7 +6,8 @@
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+import secrets
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -18,12 +19,27 @@ class SketchParams:
     m: int
     s: int
     p: float
+    #: Names the public hash family; the server and every client know it.
     seed: int = 42
+    #: Where coins come from: ``keyed`` by the clients' secret, ``replay`` and ``fast`` by the public seed (comparisons only, not private).
+    mode: str = "keyed"
+    #: Secret of the simulated clients, drawn anew for every set of parameters; it never leaves the client side.
+    secret: str = field(default_factory=lambda: secrets.token_hex(32), repr=False, compare=False)
 
     def __post_init__(self):
+        if self.mode not in ("keyed", "replay", "fast"):
+            raise ValueError("mode is keyed, replay or fast")
         if not (self.k >= 1 and self.m >= 2 and 1 <= self.s <= self.m / 2 and 0.5 <= self.p < 1):
             raise ValueError("need k >= 1, m >= 2, 1 <= s <= m/2 and 0.5 <= p < 1")
 
+    def coins(self, mode: str) -> str | int:
+        """Key of a client's coins: the secret, unless a public form was asked for."""
+        return self.secret if mode == "keyed" else self.seed
+
+    def public(self) -> SketchParams:
+        """What the server holds."""
+        return replace(self, secret="")
+
     @property
     def u(self) -> float:
         return self.s / self.m
@@ -37,6 +53,11 @@ class SketchParams:
         return eps_of(self.p, self.s, self.m)
 
 
+def replayed(*args, **more) -> SketchParams:
+    """Parameters whose coins any engine can replay from the public seed: for comparison with SQL, not for collection."""
+    return SketchParams(*args, mode="replay", **more)
+
+
 def q_of(p, s, m):
     """Chance that a given other cell is reported."""
     return (s - p) / (m - 1)

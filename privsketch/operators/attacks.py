@@ -26,7 +26,7 @@ def sybil(items: DataFrame, item: str, clients: int) -> DataFrame:
 
 def drop_digest(counts: DataFrame, victims: DataFrame) -> DataFrame:
     """A helper that suppresses digests."""
-    return counts.join(F.broadcast(victims.select("digest")), "digest", "left_anti")
+    return counts.join(victims.select("digest"), "digest", "left_anti")
 
 
 def dictionary_probe(counts: DataFrame, dictionary: DataFrame) -> DataFrame:

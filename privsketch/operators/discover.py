@@ -19,20 +19,21 @@ def digest(item: Column | str) -> Column:
     return F.unhex(F.sha2(item if isinstance(item, Column) else F.col(item), 256))
 
 
-def client(df: DataFrame, server_secret: str, helper_secret: str) -> DataFrame:
-    """``report_id, outer``: the item sealed for the server, with its digest, sealed for the helper."""
+def client(df: DataFrame, server_secret: str, helper_secret: str, keep: tuple[str, ...] = ("report_id",)) -> DataFrame:
+    """The ``keep`` columns and ``outer``: the item sealed for the server, with its digest, sealed for the helper."""
     inner = F.aes_encrypt(F.col("item").cast("binary"), key(server_secret), F.lit("GCM"))
     body = F.concat(digest("item"), inner)  # 32 bytes of digest, then the ciphertext
-    return df.select("report_id", F.aes_encrypt(body, key(helper_secret), F.lit("GCM")).alias("outer"))
+    return df.select(*keep, F.aes_encrypt(body, key(helper_secret), F.lit("GCM")).alias("outer"))
 
 
-def open_outer(df: DataFrame, helper_secret: str) -> DataFrame:
+def open_outer(df: DataFrame, helper_secret: str, keep: tuple[str, ...] = ()) -> DataFrame:
+    """The ``keep`` columns, ``digest`` and ``inner``, which only the server can open."""
     body = F.aes_decrypt(F.col("outer"), key(helper_secret), F.lit("GCM"))
-    return df.select(F.substring(body, 1, 32).alias("digest"), F.substring(body, 33, 1 << 30).alias("inner"))
+    return df.select(*keep, F.substring(body, 1, 32).alias("digest"), F.substring(body, 33, 1 << 30).alias("inner"))
 
 
-def noisy(counts: DataFrame, scale: float, seed: int | str, release: int = 0, noise: str = "laplace") -> DataFrame:
-    """Adds ``noisy``: the count plus noise keyed by release and digest. ``discrete``: two-sided geometric noise on integers."""
+def noisy(counts: DataFrame, scale: float | Column, seed: int | str | Column, release: int = 0, noise: str = "laplace") -> DataFrame:
+    """Adds ``noisy``: the count plus noise keyed by release and digest (scale and seed may be Columns for a grid of releases). ``discrete``: two-sided geometric noise on integers."""
     u = (prf(seed, "lap", F.lit(str(release)), F.lower(F.hex("digest"))).cast("double") + 0.5) / F.lit(float(SPAN))
     if noise == "laplace":
         return counts.withColumn("noisy", F.col("cnt") + laplace(u, scale))
@@ -50,8 +51,8 @@ def helper(df: DataFrame, helper_secret: str, threshold: float, scale: float, se
     return noisy(counts, scale, seed, release, noise).filter(F.col("noisy") >= threshold).drop("cnt")
 
 
-def open_items(released: DataFrame, server_secret: str) -> DataFrame:
-    return released.select(F.aes_decrypt("inner", key(server_secret), F.lit("GCM")).cast("string").alias("item"), "noisy")
+def open_items(released: DataFrame, server_secret: str, keep: tuple[str, ...] = ()) -> DataFrame:
+    return released.select(*keep, F.aes_decrypt("inner", key(server_secret), F.lit("GCM")).cast("string").alias("item"), "noisy")
 
 
 def blind_histogram(items: DataFrame, threshold: float, scale: float, seed: int | str, secrets: tuple[str, str] = ("server", "helper"), release: int = 0) -> DataFrame:

@@ -2,53 +2,74 @@
 
 from __future__ import annotations
 
-import math
+import itertools
+import re
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions import theory, tune
 from ..functions.prf import below, prf
-from . import oracles
+from ..functions.theory import SketchParams
+from . import estimate, oracles, randomize, sketch
 
 #: Characters a string may hold; others become the first, and shorter strings are padded with it.
 ALPHABET = "_abcdefghijklmnopqrstuvwxyz0123456789:/.-?=#&%"
 
 
-def level_estimates(items: DataFrame, prefixes: list[str], level: int, levels: int, eps: float, seed: int = 42) -> DataFrame:
-    """OUE counts of the candidate prefixes among the clients of one level (each client is in one level, so no budget is split)."""
-    width = len(prefixes[0])
-    group = items.filter((prf(seed, "level", "client_id") % levels) == level)
-    own = group.withColumn("item", F.rpad(F.col("item"), width, "_"))
-    domain = items.sparkSession.createDataFrame([(p,) for p in prefixes], "item string")
-    p, q = oracles.oue_pq(eps)
-    bits = domain.withColumn("code", F.monotonically_increasing_id())
-    pairs = own.select("report_id", "item").join(F.broadcast(bits.withColumnRenamed("item", "prefix")))
-    said = F.when(F.col("item") == F.col("prefix"), below(seed, f"trie{level}", p, "report_id", "prefix")).otherwise(below(seed, f"trie{level}", q, "report_id", "prefix"))
-    support = pairs.filter(said).groupBy("prefix").agg(F.count("*").alias("support"))
-    n = group.agg(F.count("*").alias("n"))
-    out = domain.withColumnRenamed("item", "prefix").join(support, "prefix", "left").crossJoin(F.broadcast(n))
-    return out.select("prefix", "n", ((F.coalesce("support", F.lit(0)) - F.col("n") * q) / (p - q)).alias("est"))
-
-
-def private_trie(items: DataFrame, eps: float, levels: int, step: int = 1, sigmas: float = 3.0, most: int = 2000, seed: int = 42) -> list[tuple[str, float]]:
-    """Prefixes grown ``step`` characters a level, keeping those ``sigmas`` noise deviations over zero; the candidate list is
-    bounded by ``most`` survivors times the extensions (a documented limit of this baseline)."""
-    p, q = oracles.oue_pq(eps)
-    ends = [""]
-    found: list[tuple[str, float]] = []
-    for level in range(levels):
-        prefixes = ends
-        for _ in range(step):
-            prefixes = [a + c for a in prefixes for c in ALPHABET]
-        cut = items.withColumn("item", F.translate(F.rpad(F.substring("item", 1, (level + 1) * step), (level + 1) * step, "_"), "", ""))
-        rows = level_estimates(cut, prefixes, level, levels, eps, seed).collect()  # at most the candidates
-        bar = sigmas * math.sqrt(rows[0]["n"] * q * (1 - q)) / (p - q) if rows else 0.0
-        kept = sorted(((r["prefix"], r["est"] * levels) for r in rows if r["est"] > bar), key=lambda t: -t[1])[:most]
-        ends, found = [a for a, _ in kept], kept
+def extensions(spark: SparkSession, step: int) -> DataFrame:
+    """Every string of ``step`` characters of the alphabet, as ``more``."""
+    one = spark.createDataFrame([(c,) for c in ALPHABET], "more string")
+    out = one
+    for _ in range(step - 1):
+        out = out.crossJoin(F.broadcast(one.withColumnRenamed("more", "_c"))).select(F.concat("more", "_c").alias("more"))
+    return out
+
+
+def spelled(length: int) -> Column:
+    """``item`` in the alphabet: other characters become the first one, shorter strings are padded with it, longer ones are cut."""
+    allowed = re.escape(ALPHABET).replace("/", "\\/")
+    return F.rpad(F.substring(F.regexp_replace(F.lower("item"), f"[^{allowed}]", ALPHABET[0]), 1, length), length, ALPHABET[0])
+
+
+def heavy(candidates: DataFrame, reports: DataFrame, sp: SketchParams, sigmas: float) -> DataFrame:
+    """``item, est`` of the candidates over a bar that absent items stay under: ``sigmas`` deviations of their estimate, collisions with
+    what is heavy included, and as much more as the longer tails of few reports and few colliding rows ask for (Bernstein's bound)."""
+    est = estimate.frequencies(candidates, sketch.build(reports), sp, engine="arrow").persist()  # a row a candidate, read twice
+    zero, tail = F.lit(0.0), sigmas**2 / 3
+    first = F.lit(sigmas) * F.sqrt(theory.variance(zero, F.col("n"), F.col("n"), sp)) + F.lit(tail / (sp.p - sp.u))
+    seen = est.filter(F.col("est") > first).agg(F.coalesce(F.sum(F.pow("est", 2)), zero).alias("_moment"), F.coalesce(F.max("est"), zero).alias("_top"))
+    spread = theory.variance(zero, F.col("n"), F.greatest("_moment", "n"), sp)
+    bar = F.lit(sigmas) * F.sqrt(spread) + F.lit(tail) * F.greatest(F.lit(1 / (sp.p - sp.u)), F.col("_top") / sp.k)
+    return est.crossJoin(F.broadcast(seen)).filter(F.col("est") > bar).select("item", "est")
+
+
+def spent(eps: float, k: int, m: int, seed: int) -> SketchParams:
+    """Sketch parameters that spend ``eps`` exactly, for items of one report in a hundred; coins from the public seed, as baselines are
+    compared, not deployed."""
+    t = tune.tune_integer(eps, 0.01, k, m)
+    return theory.replayed(k, m, t.s, t.p, seed)
+
+
+def private_trie(items: DataFrame, eps: float, length: int, step: int = 2, sigmas: float = 4.0, k: int = 64, m: int = 256, seed: int = 42, most: int = 20_000) -> list[tuple[str, float]]:
+    """Strings of up to ``length`` characters, grown ``step`` characters a round. Each client is in the group of one round, so no budget
+    is split, and reports its prefix through the subset sketch; candidates are the survivors' extensions, looked up as a plan.
+    Survivors come to the driver every round; more than ``most`` are refused."""
+    spark, rounds = items.sparkSession, -(-length // step)
+    whole, ends, found = items.withColumn("item", spelled(rounds * step)), [""], []
+    for level in range(rounds):
+        sp = spent(eps, k, m, seed + level)
+        group = whole.filter((prf(seed, "level", "client_id") % rounds) == level).withColumn("item", F.substring("item", 1, (level + 1) * step))
+        start = spark.createDataFrame([(a,) for a in ends], "start string")
+        candidates = start.crossJoin(F.broadcast(extensions(spark, step))).select(F.concat("start", "more").alias("item"))
+        got = heavy(candidates, randomize.subset_reports(group, sp, engine="arrow"), sp, sigmas).orderBy("item").limit(most + 1).collect()
+        if len(got) > most:
+            raise ValueError(f"more than {most} prefixes survive; raise sigmas")
+        found, ends = [(r["item"].rstrip(ALPHABET[0]), r["est"] * rounds) for r in got], [r["item"] for r in got]
         if not ends:
             break
-    return [(a.rstrip("_"), e) for a, e in found]
+    return sorted(found, key=lambda r: (-r[1], r[0]))
 
 
 def fragments(items: DataFrame, length: int, size: int) -> DataFrame:
@@ -67,26 +88,34 @@ def puzzle(heavy: DataFrame, positions: int) -> DataFrame:
     return out.select(F.regexp_replace("item", "_+$", "").alias("item")).distinct()
 
 
-def fragment_puzzle(items: DataFrame, eps: float, length: int = 8, size: int = 4, heavy: int = 20, seed: int = 42) -> DataFrame:
-    """Each client reports one random position's (fragment, mark) by local hashing over the observed pairs; the heavy ones are
-    joined. Half the budget stays for the whole-string report that checks candidates."""
-    one = fragments(items, length, size).filter(F.col("position") == prf(seed, "pos", "report_id") % (length // size))
-    coded = one.select("report_id", F.concat_ws("|", F.col("position").cast("string"), "fragment", "mark").alias("item"))
-    domain = coded.groupBy("item").count().orderBy(F.desc("count"), "item").limit(200).select("item")
-    est = oracles.local_hash(coded, domain, eps / 2, seed=seed)
-    parts = F.split("item", "\\|")
-    top = est.orderBy(F.desc("est"), "item").limit(heavy).select(parts[0].cast("int").alias("position"), parts[1].alias("fragment"), parts[2].alias("mark"))
-    return puzzle(top, length // size)
-
-
-def segment_em(items: DataFrame, eps: float, size: int = 1, rounds: int = 200, seed: int = 42) -> DataFrame:
-    """Joint distribution of two string pieces from direct reports of each (half the budget each) by expectation-maximisation.
-    State is the alphabet squared, so pieces stay short."""
+def fragment_puzzle(items: DataFrame, eps: float, length: int = 8, size: int = 2, sigmas: float = 4.0, k: int = 64, m: int = 256, seed: int = 42) -> DataFrame:
+    """``item, est``. Half of each client's budget reports one random position's (fragment, mark), the other half the whole string, both
+    through subset sketches. All fragments of the alphabet under all marks (one hex digit of the whole's digest) are looked up; those
+    that the estimates call heavy are joined on their mark, and a joined string stays only if the whole-string sketch finds it."""
+    spark, positions = items.sparkSession, length // size
+    whole = items.withColumn("item", spelled(length))
+    pieces, wholes = spent(eps / 2, k, m, seed), spent(eps / 2, k, m, seed + 1)
+    named = F.concat_ws("|", F.col("position").cast("string"), "fragment", F.substring("mark", 1, 1)).alias("item")
+    one = fragments(whole, length, size).filter(F.col("position") == prf(seed, "pos", "report_id") % positions).select("report_id", named)
+    places = spark.range(positions).select(F.col("id").cast("string").alias("position"))
+    marks = spark.range(16).select(F.lower(F.hex("id")).alias("mark"))
+    domain = extensions(spark, size).crossJoin(F.broadcast(places)).crossJoin(F.broadcast(marks)).select(F.concat_ws("|", "position", "more", "mark").alias("item"))
+    part = F.split("item", "\\|")
+    found = heavy(domain, randomize.subset_reports(one, pieces, engine="arrow"), pieces, sigmas).select(part[0].cast("int").alias("position"), part[1].alias("fragment"), part[2].alias("mark"))
+    joined = puzzle(found, positions).withColumn("item", F.rpad("item", length, ALPHABET[0]))
+    checked = heavy(joined, randomize.subset_reports(whole, wholes, engine="arrow"), wholes, sigmas)
+    return checked.select(F.regexp_replace("item", f"{ALPHABET[0]}+$", "").alias("item"), "est")
+
+
+def segment_em(items: DataFrame, eps: float, size: int = 1, rounds: int = 200, seed: int = 42, most: int = 2500) -> DataFrame:
+    """Joint distribution of two string pieces from direct reports of each (half the budget each) by expectation-maximisation. Pieces are
+    all strings of ``size`` characters of the alphabet; the state is their number squared, and more than ``most`` are refused."""
     spark = items.sparkSession
-    halves = items.select("report_id", F.rpad(F.substring("item", 1, 2 * size), 2 * size, "_").alias("w"))
-    halves = halves.select("report_id", F.expr(f"left(w, {size})").alias("a"), F.expr(f"right(w, {size})").alias("b"))
-    names = sorted({r[0] for r in halves.select("a").union(halves.select("b")).distinct().limit(1000).collect()})
-    width = len(names)
+    width = len(ALPHABET) ** size
+    if width > most:
+        raise ValueError(f"{width} pieces; take shorter ones")
+    halves = items.withColumn("item", spelled(2 * size)).select("report_id", F.expr(f"left(item, {size})").alias("a"), F.expr(f"right(item, {size})").alias("b"))
+    names = ["".join(x) for x in itertools.product(ALPHABET, repeat=size)]
     at = {v: i for i, v in enumerate(names)}
     p, q = oracles.direct_pq(eps / 2, max(2, width))
     codes = F.create_map(*[x for n in names for x in (F.lit(n), F.lit(at[n]))])

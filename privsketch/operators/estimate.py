@@ -7,30 +7,34 @@ from pyspark.sql import functions as F
 
 from ..functions import theory
 from ..functions.theory import SketchParams
-from .randomize import cell
+from .randomize import arrow_probes, cell
 
 #: Bytes of a matrix up to which it is broadcast for lookups; larger ones are joined by shuffle.
 BROADCAST_BYTES = 64 << 20
 
 
-def support(items: DataFrame, matrix: DataFrame, sp: SketchParams, mode: str = "replay") -> DataFrame:
-    """Raw support of each item: its cells' counts over all rows; absent cells count zero."""
-    probes = items.select("item").distinct().withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(sp.k)))).withColumn("x", cell(sp, F.col("j"), F.col("item"), mode))
+def support(items: DataFrame, matrix: DataFrame, sp: SketchParams, mode: str | None = None, engine: str = "sql") -> DataFrame:
+    """Raw support of each item: its cells' counts over all rows; absent cells count zero. ``engine`` must be that of the reports, whose
+    hash family the cells belong to."""
+    if engine == "arrow":
+        probes = arrow_probes(items, sp)
+    else:
+        probes = items.select("item").distinct().withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(sp.k)))).withColumn("x", cell(sp, F.col("j"), F.col("item"), mode))
     side = F.broadcast(matrix) if sp.k * sp.m * 16 <= BROADCAST_BYTES else matrix
     return probes.join(side, ["j", "x"], "left").groupBy("item").agg(F.sum(F.coalesce("cnt", F.lit(0))).cast("long").alias("support"))
 
 
-def frequencies(items: DataFrame, matrix: DataFrame, sp: SketchParams, n: int | None = None, clip: bool = False, mode: str = "replay") -> DataFrame:
+def frequencies(items: DataFrame, matrix: DataFrame, sp: SketchParams, n: int | None = None, clip: bool = False, mode: str | None = None, engine: str = "sql") -> DataFrame:
     """``item, support, n, est``. Every report adds exactly s to the matrix, so n needs no second pass."""
     total = matrix.agg((F.sum("cnt") / sp.s).cast("long").alias("n")) if n is None else None
-    got = support(items, matrix, sp, mode)
+    got = support(items, matrix, sp, mode, engine)
     got = got.crossJoin(F.broadcast(total)) if total is not None else got.withColumn("n", F.lit(n).cast("long"))
     theory.estimate(0.0, 0.0, sp.p, sp.u)  # refuses parameters that carry nothing
     est = (F.col("support") - F.col("n") * F.lit(sp.u)) / F.lit(sp.p - sp.u)
     return got.withColumn("est", F.greatest(est, F.lit(0.0)) if clip else est)
 
 
-def support_scan(items: DataFrame, reports: DataFrame, sp: SketchParams, mode: str = "replay", largest: int = 10_000) -> DataFrame:
+def support_scan(items: DataFrame, reports: DataFrame, sp: SketchParams, mode: str | None = None, largest: int = 10_000) -> DataFrame:
     """Support straight from reports, for a small domain (refused beyond ``largest`` items) and no matrix."""
     if items.limit(largest + 1).count() > largest:
         raise ValueError(f"the domain has more than {largest} items; build a matrix")
@@ -56,11 +60,12 @@ def consistency(est: DataFrame, method: str = "clip") -> DataFrame:
     if method == "scale":
         out = est.withColumn("est", F.greatest("est", F.lit(0.0)))
         return out.crossJoin(F.broadcast(out.agg(F.sum("est").alias("_total")))).withColumn("est", F.col("est") * F.col("n") / F.col("_total")).drop("_total")
-    # the shift is the mean excess of what stays positive; each round is one aggregate and drops what falls below
-    cut, left = float("-inf"), None
+    # the shift is the mean excess of what stays positive; each round is one aggregate over kept estimates and drops what falls below
+    cut, left, kept = float("-inf"), None, est.select("est", "n").persist()
     while True:
-        r = est.filter(F.col("est") > cut).agg(F.sum("est").alias("t"), F.count("*").alias("c"), F.first("n").alias("n")).first()
+        r = kept.filter(F.col("est") > cut).agg(F.sum("est").alias("t"), F.count("*").alias("c"), F.first("n").alias("n")).first()
         if not r["c"] or r["c"] == left:
             break
         cut, left = (r["t"] - r["n"]) / r["c"], r["c"]
+    kept.unpersist()
     return est.withColumn("est", F.greatest(F.col("est") - F.lit(cut), F.lit(0.0)))

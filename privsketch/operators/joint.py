@@ -16,13 +16,13 @@ def discover_then_estimate(items: DataFrame, sp: SketchParams, threshold: float,
     return estimate.frequencies(names, sketch.build(randomize.subset_reports(items, sp)), sp)
 
 
-def adaptive_rounds(items: DataFrame, target: str, eps: float, k: int, m: int, rounds: int, seed: int = 42) -> list[dict]:
+def adaptive_rounds(items: DataFrame, target: str, eps: float, k: int, m: int, rounds: int, seed: int = 42, mode: str = "keyed") -> list[dict]:
     """Retune for the target's share after each epoch: one action an epoch, the schedule as rows for ``params_frame``."""
     epochs = [r[0] for r in items.select("epoch").distinct().orderBy("epoch").limit(rounds).collect()]
     lam, out = 0.1, []
     for i, epoch in enumerate(epochs):
         t = tune.tune(eps, lam, k, m)
-        sp = SketchParams(k, m, t.s, t.p, seed)
+        sp = SketchParams(k, m, t.s, t.p, seed, mode)
         part = items.filter(F.col("epoch") == F.lit(epoch))
         name = items.sparkSession.createDataFrame([(target,)], "item string")
         row = estimate.frequencies(name, sketch.build(randomize.subset_reports(part, sp)), sp).first()

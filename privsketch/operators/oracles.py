@@ -8,12 +8,15 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import theory, tune
 from ..functions.prf import below, prf, prf_int
-from .randomize import cell
+from ..sources.workers import ship
+from .estimate import support
+from .randomize import arrow_cell, coin_words, stretched
 
 
 #: Largest domain for protocols whose reports are scanned once an item.
@@ -125,9 +128,12 @@ def threshold_hist(items: DataFrame, domain: DataFrame, eps: float, theta: float
     return unary(items, domain, *threshold_pq(eps, theta if theta is not None else best_theta(eps)), "the", seed)
 
 
-def classical_reports(items: DataFrame, k: int, m: int, eps: float, seed: int = 42) -> DataFrame:
-    """Bit-vector sketch reports as their set bits: every bit of the row's one-hot vector is flipped with 1/(1+e^(eps/2))."""
+def classical_reports(items: DataFrame, k: int, m: int, eps: float, seed: int = 42, engine: str = "sql", secret: str = "") -> DataFrame:
+    """Bit-vector sketch reports as their set bits: every bit of the row's one-hot vector is flipped with 1/(1+e^(eps/2)). The SQL form
+    replays the public seed; the arrow form draws coins under ``secret``."""
     p = 1 / (1 + math.exp(-eps / 2))
+    if engine == "arrow":
+        return _classical_arrow(items, theory.SketchParams(k, m, 1, 0.5, seed, secret=secret), p)
     rows = items.withColumn("j", (prf(seed, "row", "report_id") % k + 1).cast("int"))
     r = (prf(seed, "cell", F.col("j"), F.col("item")) % m + 1).cast("int")
     rows = rows.withColumn("r", r)
@@ -135,12 +141,32 @@ def classical_reports(items: DataFrame, k: int, m: int, eps: float, seed: int =
     return rows.select("j", bits.alias("x"))
 
 
-def classical_estimate(items: DataFrame, matrix: DataFrame, k: int, m: int, eps: float, n: int | Column, seed: int = 42) -> DataFrame:
+def _classical_arrow(items: DataFrame, sp: theory.SketchParams, p: float) -> DataFrame:
+    if not sp.secret:
+        raise ValueError("the arrow form needs the clients' secret")
+    ship(items.sparkSession)
+    k, m, family, bound = sp.k, sp.m, sp.public(), np.uint64(int(p * 2**64))
+    rows = items.select(coin_words(sp, m + 1, "keyed").alias("_coins"), F.xxhash64("item").alias("_item"))
+
+    def work(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            word = stretched(b.column("_coins"), sp.seed, "keyed")
+            j = (word(0) % np.uint64(k)).astype(np.int32) + 1
+            own = arrow_cell(family, j, b.column("_item").to_numpy(zero_copy_only=False).view(np.uint64))
+            bits = np.stack([(word(1 + i) < bound) == (own == i + 1) for i in range(m)], 1)
+            ends = np.r_[0, np.cumsum(bits.sum(1))].astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(j), pa.ListArray.from_arrays(pa.array(ends), pa.array((np.nonzero(bits)[1] + 1).astype(np.int32)))], names=["j", "x"])
+
+    return rows.mapInArrow(work, "j int, x array<int>")
+
+
+def classical_estimate(items: DataFrame, matrix: DataFrame, k: int, m: int, eps: float, n: int | Column, seed: int = 42, engine: str = "sql") -> DataFrame:
     """The count-mean estimator of the bit-vector sketch from its matrix."""
     p = 1 / (1 + math.exp(-eps / 2))
-    sp = theory.SketchParams(k, m, 1, 0.5, seed)
-    probes = items.select("item").distinct().withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(k)))).withColumn("x", cell(sp, F.col("j"), F.col("item")))
-    got = probes.join(matrix, ["j", "x"], "left").groupBy("item").agg(F.sum(F.coalesce("cnt", F.lit(0))).cast("long").alias("support"))
+    sp = theory.replayed(k, m, 1, 0.5, seed)
+    got = support(items, matrix, sp, engine=engine)
     got = got.withColumn("n", n if isinstance(n, Column) else F.lit(n).cast("long"))
     u = p / m + (1 - p) * (1 - 1 / m)
     return got.withColumn("est", (F.col("support") - F.col("n") * F.lit(u)) / F.lit(p - u))
@@ -164,8 +190,10 @@ def cohort_bits(items: DataFrame, cohorts: int, bits: int, hashes: int, flip: fl
     return counts.join(F.broadcast(rows.groupBy("cohort").agg(F.count("*").alias("n"))), "cohort")
 
 
-def cohort_decode(counts: DataFrame, domain: list[str], cohorts: int, bits: int, hashes: int, flip: float = 0.25, p1: float = 0.35, q1: float = 0.65, seed: int = 42, rounds: int = 2000) -> DataFrame:
-    """Candidate counts by non-negative least squares on the debiased bit counts (cohorts x bits equations, small domain)."""
+def cohort_decode(counts: DataFrame, domain: list[str], cohorts: int, bits: int, hashes: int, flip: float = 0.25, p1: float = 0.35, q1: float = 0.65, seed: int = 42, rounds: int = 2000, penalty: float = 0.02) -> DataFrame:
+    """``item, est`` of the candidates that a non-negative lasso selects on the debiased bit counts (cohorts x bits equations, small
+    domain), fitted again by non-negative least squares without the penalty; the others are 0. ``penalty``: share of the strongest
+    candidate's pull below which nothing is selected."""
     target = np.zeros((cohorts, bits))
     for r in counts.collect():  # cohorts x bits rows
         target[r["cohort"], r["bit"]] = (r["cnt"] - (p1 + 0.5 * flip * (q1 - p1)) * r["n"]) / ((1 - flip) * (q1 - p1))
@@ -175,8 +203,16 @@ def cohort_decode(counts: DataFrame, domain: list[str], cohorts: int, bits: int,
             for h in range(hashes):
                 design[c * bits + prf_int(seed, f"bl{h}", c, item) % bits, d] = 1.0 / cohorts
     gram, pull = design.T @ design, design.T @ target.ravel()
-    x = np.maximum(np.linalg.lstsq(gram + 1e-9 * np.eye(len(domain)), pull, rcond=None)[0], 0)
-    step = 1 / max(1e-12, float(np.linalg.eigvalsh(gram).max()))
-    for _ in range(rounds):
-        x = np.maximum(0, x - step * (gram @ x - pull))
+
+    def descend(use: np.ndarray, fee: float) -> np.ndarray:
+        g, x = gram[np.ix_(use, use)], np.zeros(len(use))
+        step = 1 / max(1e-12, float(np.linalg.eigvalsh(g).max())) if len(use) else 0.0
+        for _ in range(rounds):
+            x = np.maximum(0, x - step * (g @ x - pull[use] + fee))
+        return x
+
+    every = np.arange(len(domain))
+    chosen = every[descend(every, penalty * max(0.0, float(pull.max(initial=0.0)))) > 0]
+    x = np.zeros(len(domain))
+    x[chosen] = descend(chosen, 0.0)
     return counts.sparkSession.createDataFrame([(d, float(v)) for d, v in zip(domain, x, strict=True)], "item string, est double")

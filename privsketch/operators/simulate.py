@@ -11,6 +11,9 @@ from ..functions.theory import SketchParams
 from ..sources.workers import ship
 
 
+LARGEST = 5_000
+
+
 def draw(f: int, others: np.ndarray, sp: SketchParams, runs: int, rng: np.random.Generator) -> np.ndarray:
     """Estimates of an item with count ``f`` among items of counts ``others``: reports whose row sends their item to the same
     cell answer like its own."""
@@ -26,9 +29,12 @@ def draw(f: int, others: np.ndarray, sp: SketchParams, runs: int, rng: np.random
 
 
 def marginal_support(counts: DataFrame, sp: SketchParams, runs: int, seed: int = 42) -> DataFrame:
-    """``item, f, mean_est, mse`` by simulation; a small table of counts (it goes to every task)."""
+    """``item, f, mean_est, mse`` by simulation. The counts go to every task and every item meets every other, so a table of more
+    than ``LARGEST`` items is refused."""
     ship(counts.sparkSession)
-    table = counts.select("item", "f").orderBy("item").collect()
+    table = counts.select("item", "f").orderBy("item").limit(LARGEST + 1).collect()
+    if len(table) > LARGEST:
+        raise ValueError(f"more than {LARGEST} items; simulate a part of the domain")
     every = {r[0]: int(r[1]) for r in table}
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:

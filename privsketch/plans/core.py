@@ -7,15 +7,15 @@ import math
 from pyspark.sql import functions as F
 
 from ..functions import accounting, theory, tune
-from ..functions.theory import SketchParams
+from ..functions.theory import SketchParams, replayed
 from ..operators import attacks, discover, estimate, exact, joint, oracles, randomize, relay, seal, sketch
 from ..sources.items import item_frame
 from .registry import counts_sql, encode_sql, estimate_sql, h, items_sql, lt, matrix_sql, noisy_sql, query, reports_sql, support_sql
 
-SMOKE = SketchParams(8, 64, 5, 0.6, 42)
-EDGE = SketchParams(4, 16, 1, 0.6, 42)
-PLAIN = SketchParams(1, 50, 5, 0.7, 42)
-CODES = SketchParams(1, 50, 5, 0.7, 42)
+SMOKE = replayed(8, 64, 5, 0.6, 42)
+EDGE = replayed(4, 16, 1, 0.6, 42)
+PLAIN = replayed(1, 50, 5, 0.7, 42)
+CODES = replayed(1, 50, 5, 0.7, 42)
 EPS, DELTA = 2.0, 1e-5
 T_, B_ = accounting.calibrate(EPS, DELTA)
 R6 = lambda c: F.round(c, 6) + F.lit(0.0)
@@ -47,7 +47,7 @@ def subset_reports_single(s, d):
 
 @query()
 def subset_reports_permute(s, d):
-    return randomize.subset_reports(item_frame(s, d, "lang"), SketchParams(4, 32, 4, 0.6), sampler="permute", keep=["report_id"])
+    return randomize.subset_reports(item_frame(s, d, "lang"), replayed(4, 32, 4, 0.6), sampler="permute", keep=["report_id"])
 
 
 @query()
@@ -110,11 +110,11 @@ def estimate_scale(s, d):
     return estimate.consistency(est, "scale").select("item", R6(F.col("est")).alias("est"))
 
 
-@query()
+@query(f"WITH e AS MATERIALIZED {estimate_sql(SMOKE, items_sql('source'))}, c AS (SELECT est, (sum(est) OVER w - n) / row_number() OVER w AS cut, row_number() OVER w AS r FROM e WINDOW w AS (ORDER BY est DESC, item ROWS UNBOUNDED PRECEDING)) SELECT item, {_r6('greatest(est - (SELECT arg_max(cut, r) FROM c WHERE est > cut), 0.0)')} AS est FROM e")
 def estimate_simplex(s, d):
     items = item_frame(s, d, "source")
     est = estimate.frequencies(items, sketch.build(randomize.subset_reports(items, SMOKE)), SMOKE)
-    return estimate.consistency(est, "simplex").select("item", "est")
+    return estimate.consistency(est, "simplex").select("item", R6(F.col("est")).alias("est"))
 
 
 _VAR = "(f * {p} * (1 - {p}) + (n - f) * {u} * (1 - {u})) / (({p} - {u}) * ({p} - {u})) + (m2 - f * f - (n - f)) / ({k} * ({m} - 1))"
@@ -185,7 +185,11 @@ def central_histogram(s, d):
     return discover.central_histogram(item_frame(s, d, "href"), T_, B_, 42).select("item", R6(F.col("noisy")).alias("noisy"))
 
 
-@query()
+def _geo(tag: str) -> str:
+    return f"floor(ln(({h(42, tag, repr('0'), 'sha256(item)')}::DOUBLE + 0.5) / 4503599627370496.0) / {-1 / B_!r})"
+
+
+@query(f"SELECT item, noisy FROM (SELECT item, CAST(cnt + {_geo('lap')} - {_geo('geo')} AS DOUBLE) AS noisy FROM {counts_sql('href')}) WHERE noisy >= {T_!r}")
 def discovery_discrete_noise(s, d):
     counts = item_frame(s, d, "href").groupBy("item").agg(F.count("*").alias("cnt")).withColumn("digest", discover.digest("item"))
     return discover.noisy(counts, B_, 42, noise="discrete").filter(F.col("noisy") >= T_).select("item", "noisy")
@@ -265,9 +269,21 @@ def tune_regimes(s, d):
     return got.filter(F.abs(F.col("p") - best) <= 2e-5).select("lam", F.round(best, 4).alias("p"), size.cast("int").alias("s"))
 
 
-@query()
+_CAPC = "((0.1 * p * (1 - p) + 0.9 * (p / (p + (1 - p) * exp(2.0))) * (1 - p / (p + (1 - p) * exp(2.0)))) / ((p - p / (p + (1 - p) * exp(2.0))) * (p - p / (p + (1 - p) * exp(2.0)))))"
+
+
+@query(f"SELECT arg_max(m, m) AS m, arg_max(100000 // m, m) AS k, arg_max(s, m) AS s, round(max(p), 4) AS p, arg_max(s * e, m) AS bits_used FROM (SELECT *, CAST(ceil(m / (1 + (1 / p - 1) * exp(2.0))) AS BIGINT) AS s FROM (SELECT i AS e, CAST(pow(2, i) AS BIGINT) AS m FROM range(3, 13) t(i)), (SELECT arg_min(p, c) AS p FROM (SELECT p, {_CAPC} AS c FROM (SELECT 0.5 + i * 1e-6 AS p FROM range(499999) t(i))))) WHERE s * e <= 128")
 def capacity_plan(s, d):
-    return tune.plan_capacity(s, 128, 100_000, 2.0, 0.1)
+    return tune.plan_capacity(s, 128, 100_000, 2.0, 0.1).select(*(F.col(c).cast("long") for c in ("m", "k", "s")), F.round("p", 4).alias("p"), F.col("bits_used").cast("long"))
+
+
+_THIRDS = [(e, lam, k) for e in (1.0, 3.75, 5.0) for lam in (0.5, 0.1, 0.02) for k in (1, 50, 500)]
+
+
+@query(f"SELECT eps, lam, k, round(arg_min(p, cost), 2) AS p FROM (SELECT *, {cost_sql()} AS cost FROM (VALUES " + ", ".join(f"(CAST({e} AS DOUBLE), CAST({lam} AS DOUBLE), CAST({k} AS BIGINT))" for e, lam, k in _THIRDS) + ") AS g(eps, lam, k), (SELECT 0.5 + i * 1e-5 AS p FROM range(49999) t(i))) GROUP BY eps, lam, k")
+def tune_by_thirds(s, d):
+    """The published objective's minimiser by the published search."""
+    return s.createDataFrame([(e, lam, k, round(tune.best_p_by_thirds(e, lam, k), 2)) for e, lam, k in _THIRDS], "eps double, lam double, k long, p double")
 
 
 @query("SELECT " + ", ".join(f"CAST({v!r} AS DOUBLE) AS {n}" for n, v in (("eps", 3.0), ("p_sue", round(1 / (1 + math.exp(-1.5)), 6)), ("q_oue", round(1 / (math.exp(3) + 1), 6)), ("eps_oue", 3.0), ("eps_sue", 3.0))))
@@ -294,7 +310,7 @@ def joint_discover_estimate(s, d):
 
 @query()
 def adaptive_round(s, d):
-    rows = joint.adaptive_rounds(item_frame(s, d, "event_type"), "click", 2.0, 8, 64, 3)
+    rows = joint.adaptive_rounds(item_frame(s, d, "event_type"), "click", 2.0, 8, 64, 5, mode="replay")
     return s.createDataFrame([(r["ver"], str(r["epoch"]), r["lam"], r["p"], r["s"], r["eps"], r["n"], r["est"]) for r in rows], "ver int, epoch string, lam double, p double, s int, eps double, n long, est double")
 
 
@@ -336,9 +352,23 @@ def attack_poison(s, d):
     return estimate.frequencies(items, sketch.build(reports), SMOKE).select("item", "support", R6(F.col("est")).alias("est"))
 
 
-@query(f"SELECT item, count(*) + CASE WHEN item = 'es' THEN 50 ELSE 0 END AS f FROM {items_sql('lang')} GROUP BY item")
+_SYBILS = f"(SELECT report_id, client_id, item, epoch FROM {items_sql('lang')} UNION ALL SELECT -1 - i, -1 - i, 'es', DATE '2024-01-01' FROM range(50) t(i))"
+
+
+@query(f"SELECT item, support, CAST(n AS BIGINT) AS n, {_r6('est')} AS est FROM {estimate_sql(SMOKE, _SYBILS)}")
 def attack_sybil(s, d):
-    return exact.frequencies(attacks.sybil(item_frame(s, d, "lang"), "es", 50))
+    """What the server estimates when invented clients report."""
+    items = attacks.sybil(item_frame(s, d, "lang"), "es", 50)
+    return estimate.frequencies(items, sketch.build(randomize.subset_reports(items, SMOKE)), SMOKE).select("item", "support", "n", R6(F.col("est")).alias("est"))
+
+
+@query(f"SELECT count(*) AS reports, {_r6('avg(CASE WHEN list_contains(x, r) THEN 1.0 ELSE 0.0 END)')} AS own_cell_seen, {_r6(repr(SMOKE.p))} AS promised, {_r6(repr(SMOKE.u))} AS by_chance, {_r6(repr(SMOKE.eps))} AS eps_linked FROM {reports_sql(SMOKE, items_sql('lang'))}")
+def attack_unshuffled(s, d):
+    """A relay that leaves reports linked to their clients: amplification is gone, and what the server sees of a client's own cell is still
+    no more than the local guarantee gives."""
+    sent = randomize.extend(randomize.include(randomize.encode(item_frame(s, d, "lang"), SMOKE), SMOKE), SMOKE)
+    seen = F.avg(F.when(F.array_contains("x", F.col("r")), 1.0).otherwise(0.0))
+    return sent.agg(F.count("*").alias("reports"), R6(seen).alias("own_cell_seen")).select("*", *(R6(F.lit(v)).alias(n) for n, v in (("promised", SMOKE.p), ("by_chance", SMOKE.u), ("eps_linked", SMOKE.eps))))
 
 
 @query(f"SELECT lower(sha256(item)) AS digest, cnt FROM {counts_sql('lang')} WHERE item <> 'en'")
@@ -348,9 +378,15 @@ def attack_drop_digest(s, d):
     return attacks.drop_digest(counts, victim).select(F.lower(F.hex("digest")).alias("digest"), "cnt")
 
 
-@query(f"SELECT item, count(*) AS f FROM {items_sql('priority')} WHERE NOT {lt(42, 'lost', 0.2, 'report_id')} GROUP BY item")
+_LOST = f"(SELECT * FROM {items_sql('priority')} WHERE NOT {lt(42, 'lost', 0.2, 'report_id')})"
+
+
+@query(f"SELECT item, support, CAST(n AS BIGINT) AS n, {_r6('est')} AS est FROM {estimate_sql(SMOKE, _LOST)}")
 def attack_lossy_relay(s, d):
-    return exact.frequencies(attacks.drop_reports(item_frame(s, d, "priority"), 0.2))
+    """What the server estimates when the relay loses a fifth of the reports."""
+    items = item_frame(s, d, "priority")
+    reports = attacks.drop_reports(randomize.subset_reports(items, SMOKE, keep=["report_id"]), 0.2)
+    return estimate.frequencies(items, sketch.build(reports), SMOKE).select("item", "support", "n", R6(F.col("est")).alias("est"))
 
 
 # --- yardsticks ---
@@ -445,7 +481,7 @@ def local_hashing_binary(s, d):
 
 def classical_sql(key: str, k: int, m: int, eps: float) -> str:
     p = 1 / (1 + math.exp(-eps / 2))
-    sp = SketchParams(k, m, 1, 0.5, 42)
+    sp = replayed(k, m, 1, 0.5, 42)
     hit = f"(({lt(42, 'bit', p, 'report_id', 'i')}) = (i = r))"
     return f"(SELECT j, i AS x, count(*) AS cnt FROM {encode_sql(sp, items_sql(key))}, (SELECT unnest(range(1, {m + 1})) AS i) WHERE {hit} GROUP BY 1, 2)"
 
@@ -459,7 +495,7 @@ _P1 = 1 / (1 + math.exp(-EPS / 2))
 _UC = _P1 / 16 + (1 - _P1) * (1 - 1 / 16)
 
 
-@query(f"WITH mx AS MATERIALIZED {classical_sql('lang', 4, 16, EPS)} SELECT item, support, {_r6(f'(support - n * {_UC!r}) / {_P1 - _UC!r}')} AS est FROM {support_sql(SketchParams(4, 16, 1, 0.5, 42), items_sql('lang'), 'mx')}, (SELECT count(*) AS n FROM {items_sql('lang')})")
+@query(f"WITH mx AS MATERIALIZED {classical_sql('lang', 4, 16, EPS)} SELECT item, support, {_r6(f'(support - n * {_UC!r}) / {_P1 - _UC!r}')} AS est FROM {support_sql(replayed(4, 16, 1, 0.5, 42), items_sql('lang'), 'mx')}, (SELECT count(*) AS n FROM {items_sql('lang')})")
 def classical_estimate(s, d):
     i = item_frame(s, d, "lang")
     n = i.count()
@@ -483,5 +519,5 @@ def cohort_bloom_counts(s, d):
 @query()
 def cohort_bloom_decode(s, d):
     i = item_frame(s, d, "priority")
-    names = [r[0] for r in i.select("item").distinct().orderBy("item").limit(1000).collect()]
+    names = [r[0] for r in oracles.codes_of(i, 1000).orderBy("item").collect()]  # a larger domain is refused
     return oracles.cohort_decode(oracles.cohort_bits(i, 4, 32, 2), names, 4, 32, 2)

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import sqlapi, tune
 from ..functions.prf import below, prf
-from ..functions.theory import SketchParams
+from ..functions.theory import SketchParams, replayed
 from ..operators import discover, exact, joint, randomize, sketch
 from ..sources import tables
 from ..sources.items import LINE_COLUMNS, LINE_SQL, band_ladder, item_frame, line_key, words
@@ -18,7 +18,7 @@ from .core import B_, R6, SMOKE, T_, _r6
 from .registry import counts_sql, encode_sql, h, items_sql, lt, matrix_sql, noisy_sql, query, reports_sql
 
 
-def _scratch(spark, name: str) -> str:
+def scratch(spark, name: str) -> str:
     """A folder under the session's shared checkpoint folder, or a temporary one where none is set."""
     import tempfile
 
@@ -34,23 +34,23 @@ def scan_pruned(s, d):
 
 @query("SELECT event_id, user_id, event_type, props FROM events")
 def csv_roundtrip(s, d):
-    return tables.round_trip(load(s, d, "events", ["event_id", "user_id", "event_type", "props"]), _scratch(s, "csv"), "csv")
+    return tables.round_trip(load(s, d, "events", ["event_id", "user_id", "event_type", "props"]), scratch(s, "csv"), "csv")
 
 
 @query("SELECT event_id, user_id, event_type, props FROM events")
 def json_roundtrip(s, d):
-    return tables.round_trip(load(s, d, "events", ["event_id", "user_id", "event_type", "props"]), _scratch(s, "json"), "json")
+    return tables.round_trip(load(s, d, "events", ["event_id", "user_id", "event_type", "props"]), scratch(s, "json"), "json")
 
 
 @query("SELECT event_id, user_id, value FROM events")
 def orc_roundtrip(s, d):
-    return tables.round_trip(load(s, d, "events", ["event_id", "user_id", "value"]), _scratch(s, "orc"), "orc")
+    return tables.round_trip(load(s, d, "events", ["event_id", "user_id", "value"]), scratch(s, "orc"), "orc")
 
 
 @query(f"SELECT CAST(j AS BIGINT) AS j, CAST(x AS BIGINT) AS x, cnt FROM {matrix_sql(SMOKE, items_sql('event_type'), 'epoch')} WHERE epoch = DATE '2024-01-05'")
 def partitioned_sketch(s, d):
     daily = sketch.build(randomize.subset_reports(item_frame(s, d, "event_type"), SMOKE, keep=["epoch"]), ["epoch"])
-    at = tables.write_sketch(daily, _scratch(s, "sketch"))
+    at = tables.write_sketch(daily, scratch(s, "sketch"))
     return s.read.parquet(at).filter("epoch = date'2024-01-05'").select(F.col("j").cast("long"), F.col("x").cast("long"), "cnt")
 
 
@@ -98,7 +98,7 @@ def join_star_items(s, d):
     return j.groupBy("r_name", "n_name").agg(F.count("*").alias("orders"), F.count_distinct("o_custkey").alias("clients"))
 
 
-_SMALL = SketchParams(32, 64, 2, 0.8, 42)
+_SMALL = replayed(32, 64, 2, 0.8, 42)
 
 
 @query(f"WITH mx AS MATERIALIZED {matrix_sql(_SMALL, items_sql('lang'))} SELECT item, CAST(j AS BIGINT) AS j, coalesce(cnt, 0) AS cnt FROM (SELECT item, j, {h(42, 'cell', 'j', 'item')} % 64 + 1 AS x FROM (SELECT DISTINCT item FROM {items_sql('event_type')}), (SELECT unnest(range(1, 33)) AS j)) LEFT JOIN mx USING (j, x)")
@@ -318,10 +318,11 @@ def setop_intersect_found(s, d):
     return found.intersect(top)
 
 
-@query(f"SELECT item FROM {_HREF_TOP} EXCEPT SELECT item FROM {_HREF_FOUND}")
+@query(f"SELECT item FROM {counts_sql('href')} WHERE cnt >= 3 EXCEPT SELECT item FROM {_HREF_FOUND}")
 def setop_except_missed(s, d):
-    found, top = _found_top(s, d)
-    return top.exceptAll(found)
+    """Strings of three or more reports that stay under the threshold."""
+    items = item_frame(s, d, "href")
+    return exact.frequencies(items).filter("f >= 3").select("item").exceptAll(discover.central_histogram(items, T_, B_, 42).select("item"))
 
 
 # --- functions ---

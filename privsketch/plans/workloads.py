@@ -7,14 +7,14 @@ import math
 from pyspark.sql import functions as F
 
 from ..functions import accounting, theory, tune
-from ..functions.theory import SketchParams
-from ..operators import discover, discover_baselines, estimate, exact, measure, randomize, relay, simulate, sketch
+from ..functions.theory import SketchParams, replayed
+from ..operators import discover, discover_baselines, estimate, exact, measure, oracles, randomize, relay, simulate, sketch
 from ..sources.items import item_frame
-from .core import B_, R6, SMOKE, T_, _r6, cost_sql
+from .core import B_, EPS, R6, SMOKE, T_, _r6, cost_sql
 from .registry import counts_sql, estimate_sql, items_sql, noisy_sql, query, reports_sql
 
 SEEDS = (1, 2, 3, 4)
-RUN = [SketchParams(8, 64, 5, 0.6, x) for x in SEEDS]
+RUN = [replayed(8, 64, 5, 0.6, x) for x in SEEDS]
 
 
 def _runs(s, d, key):
@@ -51,9 +51,9 @@ def error_summary(s, d):
     return measure.distance(_runs(s, d, "lang").filter("run = 1")).select(*(R6(F.col(c)).alias(c) for c in ("max_err", "l1", "l2")))
 
 
-@query()
+@query(f"SELECT {_r6('sum(f / n * ln((f / n) / (greatest(est, 1e-9) / m)))')} AS kl FROM (SELECT *, sum(f) OVER () AS n, sum(greatest(est, 1e-9)) OVER () AS m FROM {_runs_sql('lang')} WHERE run = 1) WHERE f > 0")
 def error_divergence(s, d):
-    return measure.distance(_runs(s, d, "lang").filter("run = 1")).select("kl")
+    return measure.distance(_runs(s, d, "lang").filter("run = 1")).select(R6(F.col("kl")).alias("kl"))
 
 
 @query(f"SELECT count(*) AS reports, CAST(sum(len(x)) AS BIGINT) AS updates FROM {reports_sql(SMOKE, items_sql('nation'))}")
@@ -84,30 +84,41 @@ def _found_sql(key, eps, seed):
     return f"SELECT CAST({eps} AS DOUBLE) AS eps, {seed} AS run, count(*) FILTER (WHERE noisy >= {t!r}) AS found, count(*) AS of_distinct FROM {noisy_sql(counts_sql(key), b, seed)}"
 
 
-def _found(s, d, key, seeds):
-    counts = item_frame(s, d, key).groupBy("item").agg(F.count("*").alias("cnt")).withColumn("digest", discover.digest("item"))
-    out = None
-    for eps in _E:
-        t, b = accounting.calibrate(eps, 1e-5)
-        for seed in seeds:
-            r = discover.noisy(counts, b, seed).agg(F.count(F.when(F.col("noisy") >= t, 1)).alias("found"), F.count("*").alias("of_distinct")).select(F.lit(eps).alias("eps"), F.lit(seed).alias("run"), "found", "of_distinct")
-            out = r if out is None else out.unionByName(r)
-    return out
+def _found(counts, seeds):
+    """Released items of every setting and run in one aggregate: a grid of settings is broadcast to the counts."""
+    grid = counts.sparkSession.createDataFrame([(e, *accounting.calibrate(e, 1e-5), x) for e in _E for x in seeds], "eps double, t double, b double, run int")
+    drawn = discover.noisy(counts.crossJoin(F.broadcast(grid)), F.col("b"), F.col("run"))
+    return drawn.groupBy("eps", "run").agg(F.count(F.when(F.col("noisy") >= F.col("t"), 1)).alias("found"), F.count("*").alias("of_distinct"))
+
+
+def _counts(s, d, key):
+    return item_frame(s, d, key).groupBy("item").agg(F.count("*").alias("cnt")).withColumn("digest", discover.digest("item"))
+
+
+def _sealed_counts(s, d, key):
+    """Counts as the helper has them: by digest, from sealed messages."""
+    opened = discover.open_outer(discover.client(item_frame(s, d, key), "server", "helper"), "helper")
+    return opened.groupBy("digest").agg(F.count("*").alias("cnt"))
 
 
-@query(f"SELECT eps, {_r6('avg(found)')} AS found, any_value(of_distinct) AS of_distinct FROM (" + " UNION ALL ".join(_found_sql("href", e, x) for e in _E for x in (1, 2, 3)) + ") GROUP BY eps")
+_GRID30 = "(VALUES " + ", ".join("(CAST({} AS DOUBLE), CAST({!r} AS DOUBLE), CAST({!r} AS DOUBLE))".format(e, *accounting.calibrate(e, 1e-5)) for e in _E) + ") AS g(eps, t, b)"
+_U30 = "(((('0x' || substr(md5(concat_ws('|', CAST(run AS VARCHAR), 'lap', '0', sha256(item))), 1, 13))::BIGINT)::DOUBLE + 0.5) / 4503599627370496.0)"
+
+
+@query(f"SELECT eps, {_r6('avg(found)')} AS found, any_value(of_distinct) AS of_distinct FROM (SELECT eps, run, count(*) FILTER (WHERE cnt - b * sign(u - 0.5) * ln(greatest(1e-15, 1.0 - 2.0 * abs(u - 0.5))) >= t) AS found, count(*) AS of_distinct FROM (SELECT eps, t, b, run, cnt, {_U30} AS u FROM {counts_sql('href')}, {_GRID30}, (SELECT i AS run FROM range(1, 31) r(i))) GROUP BY eps, run) GROUP BY eps")
 def discovery_count(s, d):
-    return _found(s, d, "href", (1, 2, 3)).groupBy("eps").agg(R6(F.avg("found")).alias("found"), F.first("of_distinct").alias("of_distinct"))
+    """Thirty releases of one sealed collection at every budget, and their mean."""
+    return _found(_sealed_counts(s, d, "href"), range(1, 31)).groupBy("eps").agg(R6(F.avg("found")).alias("found"), F.first("of_distinct").alias("of_distinct"))
 
 
 @query(" UNION ALL ".join(_found_sql("url20", e, 42) for e in _E))
 def url_discovery(s, d):
-    return _found(s, d, "url20", (42,))
+    return _found(_counts(s, d, "url20"), (42,))
 
 
 @query(" UNION ALL ".join(_found_sql("word", e, 42) for e in _E))
 def word_discovery(s, d):
-    return _found(s, d, "word", (42,))
+    return _found(_counts(s, d, "word"), (42,))
 
 
 _TRUTH = f"(SELECT item FROM {counts_sql('chat_words')} WHERE cnt >= 12)"
@@ -150,7 +161,55 @@ def sweep_p(s, d):
     return grid.crossJoin(F.broadcast(points)).select("eps", "lam", "k", R6(F.col("p")).alias("p"), R6(theory.objective(F.col("p"), F.col("lam"), F.col("eps"), F.col("k"), exp=F.exp)).alias("cost"))
 
 
-_W2 = [(e, f, b) for e in (1.0, 2.0, 3.0, 4.0, 5.0, 6.0, 8.0) for f in (1000.0, 10000.0) for b in (64, 128, 256)]
+_FIG2 = [(1000, 500), (1500, 50)]
+_MARKS = [(m, k, lam, name, p) for m, k in _FIG2 for lam in (0.5, 0.1, 0.02) for name, p in (("unary", 0.5), ("classical", math.exp(2.5) / (1 + math.exp(2.5))), ("tuned", tune.best_p(5.0, lam, k)), ("tuned_published", tune.best_p(5.0, lam, k, "published")))]
+
+
+def _curve_sql(p: str, c: str) -> str:
+    u = f"({p} / ({p} + (1 - {p}) * exp(5.0)))"
+    return f"sqrt(1e5 * (lam * ({p} - {c} * {p} * {p}) + (1 - lam) * ({u} - {c} * {u} * {u})) / (({p} - {u}) * ({p} - {u}))) / (lam * 1e5)"
+
+
+def _curve(p, lam, c):
+    u = p / (p + (1 - p) * F.lit(math.exp(5.0)))
+    return R6(F.sqrt(F.lit(1e5) * (lam * (p - c * p * p) + (1 - lam) * (u - c * u * u)) / ((p - u) * (p - u))) / (lam * 1e5))
+
+
+@query(f"SELECT m, k, lam, {_r6('p')} AS p, {_r6(_curve_sql('p', '1.0'))} AS exact, {_r6(_curve_sql('p', '(1.0 / k)'))} AS published FROM (VALUES " + ", ".join(f"(CAST({m} AS BIGINT), CAST({k} AS BIGINT))" for m, k in _FIG2) + ") AS g(m, k), (VALUES (0.5::DOUBLE), (0.1::DOUBLE), (0.02::DOUBLE)) AS h(lam), (SELECT 0.5 + i * 0.0098 AS p FROM range(51) t(i))")
+def variance_curves(s, d):
+    """Relative root variance of a target share over p, for a hundred thousand reports and epsilon 5, in both forms."""
+    g = s.createDataFrame([(m, k, lam) for m, k in _FIG2 for lam in (0.5, 0.1, 0.02)], "m long, k long, lam double")
+    points = s.range(51).select((F.lit(0.5) + F.col("id") * F.lit(0.0098)).alias("p"))
+    p, lam = F.col("p"), F.col("lam")
+    return g.crossJoin(F.broadcast(points)).select("m", "k", "lam", R6(p).alias("p"), _curve(p, lam, F.lit(1.0)).alias("exact"), _curve(p, lam, 1.0 / F.col("k")).alias("published"))
+
+
+@query("SELECT m, k, lam, choice, " + f"{_r6('p')} AS p, {_r6(_curve_sql('p', '1.0'))} AS exact, {_r6(_curve_sql('p', '(1.0 / k)'))} AS published FROM (VALUES " + ", ".join(f"(CAST({m} AS BIGINT), CAST({k} AS BIGINT), CAST({lam!r} AS DOUBLE), '{name}', CAST({p!r} AS DOUBLE))" for m, k, lam, name, p in _MARKS) + ") AS g(m, k, lam, choice, p)")
+def variance_marks(s, d):
+    """Where the unary, the classical and the tuned choice stand on those curves."""
+    p, lam = F.col("p"), F.col("lam")
+    g = s.createDataFrame(_MARKS, "m long, k long, lam double, choice string, p double")
+    return g.select("m", "k", "lam", "choice", R6(p).alias("p"), _curve(p, lam, F.lit(1.0)).alias("exact"), _curve(p, lam, 1.0 / F.col("k")).alias("published"))
+
+
+_PTS = [(k, m, z, p, 1 + i) for i, (k, m, z, p) in enumerate([(8, 64, 5, 0.5), (8, 64, 5, 0.7), (8, 64, 5, 0.9), (32, 64, 5, 0.7)])]
+_PTS_SQL = " UNION ALL ".join(f"SELECT CAST({k} AS BIGINT) AS k, CAST({p} AS DOUBLE) AS p, count(*) AS items, {_r6('sqrt(avg((est - f) * (est - f)))')} AS rmse FROM {estimate_sql(replayed(k, m, z, p, x), items_sql('priority'))} JOIN (SELECT item, count(*) AS f FROM {items_sql('priority')} GROUP BY item) USING (item)" for k, m, z, p, x in _PTS)
+
+
+@query(_PTS_SQL)
+def variance_points(s, d):
+    """Measured root error of collections on such curves."""
+    items = item_frame(s, d, "priority")
+    truth, out = exact.frequencies(items), None
+    for k, m, z, p, x in _PTS:
+        sp = replayed(k, m, z, p, x)
+        e = measure.errors(estimate.frequencies(items, sketch.build(randomize.subset_reports(items, sp)), sp), truth)
+        r = e.agg(F.count("*").alias("items"), R6(F.sqrt(F.avg(F.pow("err", 2)))).alias("rmse")).select(F.lit(k).cast("long").alias("k"), F.lit(p).alias("p"), "items", "rmse")
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+_W2 = [(e, f, b, k) for e in (1.0, 2.0, 3.0, 4.0, 5.0, 6.0, 8.0) for f in (1000.0, 10000.0) for b in (64, 128, 256) for k in (10, 100, 1000)]
 
 
 def _largest_m(eps: float, bits: int) -> tuple[int, int]:
@@ -163,24 +222,25 @@ def _largest_m(eps: float, bits: int) -> tuple[int, int]:
     return best
 
 
-_W2X = [(e, f, b, *_largest_m(e, b)) for e, f, b in _W2]
+_FIT = {(e, b): _largest_m(e, b) for e, _, b, _ in _W2}
+_W2X = [(e, f, b, k, *_FIT[e, b]) for e, f, b, k in _W2]
 _PC = "(1 / (1 + exp(-eps / 2)))"
 
 
 def _rv(p, u, m):
-    return f"(f * {p} * (1 - {p}) + (100000 - f) * {u} * (1 - {u})) / (({p} - {u}) * ({p} - {u})) + (1e8 - (100000 - f)) / (100.0 * ({m} - 1))"
+    return f"(f * {p} * (1 - {p}) + (100000 - f) * {u} * (1 - {u})) / (({p} - {u}) * ({p} - {u})) + (1e8 - (100000 - f)) / (k * 1.0 * ({m} - 1))"
 
 
-@query(f"SELECT eps, f, bits, m, s, {_r6('sqrt(' + _rv('0.5', '(s * 1.0 / m)', 'm') + ') / f')} AS ours, {_r6('sqrt(' + _rv('pc', '(pc / bits + (1 - pc) * (1 - 1.0 / bits))', 'bits') + ') / f')} AS classical FROM (SELECT *, {_PC} AS pc FROM {_values(_W2X, 'eps, f, bits, m, s')})")
+@query(f"SELECT eps, f, bits, k, m, s, {_r6('sqrt(' + _rv('0.5', '(s * 1.0 / m)', 'm') + ') / f')} AS ours, {_r6('sqrt(' + _rv('pc', '(pc / bits + (1 - pc) * (1 - 1.0 / bits))', 'bits') + ') / f')} AS classical FROM (SELECT *, {_PC} AS pc FROM {_values(_W2X, 'eps, f, bits, k, m, s')})")
 def sweep_eps_equal_bits(s, d):
-    g = s.createDataFrame(_W2X, "eps double, f double, bits long, m long, s long").withColumn("pc", 1 / (1 + F.exp(-F.col("eps") / 2)))
+    g = s.createDataFrame(_W2X, "eps double, f double, bits long, k long, m long, s long").withColumn("pc", 1 / (1 + F.exp(-F.col("eps") / 2)))
 
     def root(p, u, m):
         f = F.col("f")
-        return R6(F.sqrt((f * p * (1 - p) + (100000 - f) * u * (1 - u)) / ((p - u) * (p - u)) + (F.lit(1e8) - (100000 - f)) / (F.lit(100.0) * (m - 1))) / f)
+        return R6(F.sqrt((f * p * (1 - p) + (100000 - f) * u * (1 - u)) / ((p - u) * (p - u)) + (F.lit(1e8) - (100000 - f)) / (F.col("k") * F.lit(1.0) * (m - 1))) / f)
 
     pc, bits = F.col("pc"), F.col("bits")
-    return g.select("eps", "f", "bits", "m", "s", root(F.lit(0.5), F.col("s") / F.col("m"), F.col("m")).alias("ours"), root(pc, pc / bits + (1 - pc) * (1 - 1 / bits), bits).alias("classical"))
+    return g.select("eps", "f", "bits", "k", "m", "s", root(F.lit(0.5), F.col("s") / F.col("m"), F.col("m")).alias("ours"), root(pc, pc / bits + (1 - pc) * (1 - 1 / bits), bits).alias("classical"))
 
 
 _W3 = [(e, lam, 200) for e in (0.5, 1.0, 2.0, 3.0, 4.0, 5.0) for lam in (0.001, 0.01, 0.05, 0.1, 0.3, 0.5, 0.8)]
@@ -223,7 +283,29 @@ def best_variance_by_target(s, d):
     return g.select("f", "form", R6(F.col("p")).alias("p"), root(F.col("p")).alias("tuned"), root(F.col("pc")).alias("classical"))
 
 
-CENSUS = [("mid", SketchParams(100, 100, 3, 0.57)), ("top", SketchParams(100, 100, 7, 0.74))]
+def _w6(p):
+    u = f"({p} / ({p} + (1 - {p}) * exp(4.0)))"
+    return f"sqrt((f * {p} * (1 - {p}) + (1e6 - f) * {u} * (1 - {u})) / (({p} - {u}) * ({p} - {u})) + (m2 - f * f - (1e6 - f)) / (65536.0 * 1023)) / f"
+
+
+_W6 = [(f, m2, tune.best_p(4.0, f / 1e6, 1), 1 / (1 + math.exp(-2.0))) for f in (1e2, 1e3, 1e4, 1e5, 5e5) for m2 in (1e10, 3e11)]
+
+
+@query("SELECT f, m2, " + f"{_r6('p')} AS p, {_r6(_w6('p'))} AS tuned, {_r6(_w6('pc'))} AS classical FROM {_values(_W6, 'f, m2, p, pc')} WHERE m2 >= f * f")
+def best_variance_with_collisions(s, d):
+    """The same with m = 1024 and the collisions of a light and a heavy remainder (sum of squared counts ``m2``)."""
+    f, m2 = F.col("f"), F.col("m2")
+
+    def root(p):
+        u = p / (p + (1 - p) * F.lit(math.exp(4.0)))
+        return R6(F.sqrt((f * p * (1 - p) + (1e6 - f) * u * (1 - u)) / ((p - u) * (p - u)) + (m2 - f * f - (1e6 - f)) / F.lit(65536.0 * 1023)) / f)
+
+    return s.createDataFrame(_W6, "f double, m2 double, p double, pc double").filter(m2 >= f * f).select("f", "m2", R6(F.col("p")).alias("p"), root(F.col("p")).alias("tuned"), root(F.col("pc")).alias("classical"))
+
+
+#: Coins of the registered census queries come from this stated secret, so that a run can be repeated.
+_COINS = "census"
+CENSUS = [("mid", SketchParams(100, 100, 3, 0.57, secret=_COINS)), ("top", SketchParams(100, 100, 7, 0.74, secret=_COINS))]
 _PB = math.exp(3.75 / 2) / (1 + math.exp(3.75 / 2))
 
 
@@ -250,7 +332,7 @@ def census_like(s, d):
 def census_simulated(s, d):
     """Measured error of every value under the two tuned settings and the even split, from the exact marginal law."""
     counts = exact.frequencies(item_frame(s, d, "band16"))
-    even = SketchParams(100, 100, 14, _PB)  # the even split as a subset report
+    even = SketchParams(100, 100, 14, _PB, secret=_COINS)  # the even split as a subset report
     out = None
     for name, sp in (*CENSUS, ("even", even)):
         r = simulate.marginal_support(counts, sp, 400).select("item", "f", F.lit(name).alias("setting"), (F.sqrt("mse") / F.col("f")).alias("rel_rmse"))
@@ -260,21 +342,22 @@ def census_simulated(s, d):
 
 @query()
 def census_measured(s, d):
-    """One collection of the census column through the production path, beside exact counts."""
+    """The census column collected through the production path: two tuned settings, the even split as a subset report, and the bit-vector
+    sketch of the same budget, each beside exact counts."""
     items = item_frame(s, d, "band16")
-    sp = CENSUS[1][1]
-    reports = randomize.subset_reports(items, sp, engine="arrow")
-    mx = sketch.build_dense(reports, sp.k, sp.m)
-    names = [r[0] for r in items.select("item").distinct().orderBy("item").limit(1000).collect()]
-    hashes = {r[0]: r[1] for r in s.createDataFrame([(x,) for x in names], "item string").select("item", F.xxhash64("item")).collect()}
-    import numpy as np
-
-    rows = [(x, int(j), int(c)) for x in names for j, c in zip(range(1, sp.k + 1), randomize.arrow_cell(sp, np.arange(1, sp.k + 1, dtype=np.int32), np.full(sp.k, hashes[x], np.int64).view(np.uint64)), strict=True)]
-    probes = s.createDataFrame(rows, "item string, j int, x int")
-    n = mx.agg((F.sum("cnt") / sp.s).alias("n"))
-    got = probes.join(mx, ["j", "x"], "left").groupBy("item").agg(F.sum(F.coalesce("cnt", F.lit(0))).alias("support")).crossJoin(F.broadcast(n))
-    est = got.select("item", ((F.col("support") - F.col("n") * sp.u) / (sp.p - sp.u)).alias("est"))
-    return measure.errors(est, exact.frequencies(items))
+    truth = exact.frequencies(items)
+    even = SketchParams(100, 100, 14, _PB, secret=_COINS)
+    out = None
+    for name, sp in (*CENSUS, ("even", even), ("bit_vector", None)):
+        if sp:
+            mx = sketch.build_dense(randomize.subset_reports(items, sp, engine="arrow"), sp.k, sp.m)
+            est = estimate.frequencies(items, mx, sp, engine="arrow")
+        else:
+            mx = sketch.build_dense(oracles.classical_reports(items, 100, 100, 3.75, engine="arrow", secret=_COINS), 100, 100)
+            est = oracles.classical_estimate(items, mx, 100, 100, 3.75, items.count(), engine="arrow")
+        r = measure.errors(est, truth).select(F.lit(name).alias("setting"), "item", "f", "est", "err")
+        out = r if out is None else out.unionByName(r)
+    return out
 
 
 _W7 = [(e, p, m) for e in (3.0, 5.0) for p in (0.5, 0.6) for m in (100, 500, 1000, 2000, 5000, 10000)]
@@ -305,15 +388,21 @@ def new_words(s, d):
     return counts.join(known.select(F.explode(words(known)).alias("item")).distinct(), "item", "left_anti")
 
 
+def _each(s, d):
+    """Brand names, every order line a client of its own (lower-case, as the baselines' alphabet is)."""
+    return item_frame(s, d, "brand").withColumn("client_id", F.col("report_id")).withColumn("item", F.lower("item"))
+
+
 @query()
 def trie_discovery(s, d):
-    got = discover_baselines.private_trie(relay.cap(item_frame(s, d, "chat_words"), 1), 4.0, 2)
+    """Whole strings of up to eight characters."""
+    got = discover_baselines.private_trie(_each(s, d), 4.0, 8)
     return s.createDataFrame(got, "item string, est double")
 
 
 @query()
 def puzzle_discovery(s, d):
-    return discover_baselines.fragment_puzzle(item_frame(s, d, "lang").withColumn("item", F.rpad("item", 4, "_")), 8.0, 4, 2)
+    return discover_baselines.fragment_puzzle(_each(s, d), 6.0, 8)
 
 
 @query()
@@ -321,6 +410,21 @@ def segment_discovery(s, d):
     return discover_baselines.segment_em(item_frame(s, d, "lang"), 4.0)
 
 
+@query()
+def discovery_rivals(s, d):
+    """At epsilon 2: the blind histogram, its central yardstick and two protocols of pure local privacy, each held against the strings of
+    at least twelve clients."""
+    items = _each(s, d)
+    truth = exact.frequencies(items).filter("f >= 12")
+    trie = s.createDataFrame(discover_baselines.private_trie(items, EPS, 8), "item string, est double")
+    found = [("blind", discover.blind_histogram(items, T_, B_, 42)), ("central", discover.central_histogram(items, T_, B_, 42)), ("trie", trie), ("puzzle", discover_baselines.fragment_puzzle(items, EPS, 8))]
+    out = None
+    for name, got in found:
+        r = measure.f_score(got, truth).select(F.lit(name).alias("method"), "hits", "found", "truth", "precision", "recall", "f_score")
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
 @query(f"SELECT mark, fragment, count(*) AS cnt FROM (SELECT substr(md5(w), 1, 4) AS mark, substr(w, position * 4 + 1, 4) AS fragment FROM (SELECT rpad(item, 8, '_') AS w FROM {items_sql('nation')}), (SELECT unnest(range(0, 2)) AS position)) GROUP BY ALL")
 def puzzle_fragments(s, d):
     return discover_baselines.fragments(item_frame(s, d, "nation"), 8, 4).groupBy("mark", "fragment").agg(F.count("*").alias("cnt"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -56,15 +57,32 @@ def tumbling_sketch(df: DataFrame, sp: SketchParams, length: str = "1 day", late
     return cells.groupBy("w", "j", "x").agg(F.count("*").alias("cnt")).select(F.to_date("w.start").alias("epoch"), "j", "x", "cnt")
 
 
-def sliding_counts(df: DataFrame, length: str = "7 days", step: str = "1 day", late: str = "1 day") -> DataFrame:
-    w = df.withWatermark("ts", late).groupBy(F.window("ts", length, step).alias("w"), F.col("event_type").alias("item")).agg(F.count("*").alias("cnt"))
-    return w.select(F.to_date("w.start").alias("epoch"), "item", "cnt")
+def sliding_sketch(df: DataFrame, sp: SketchParams, length: str = "7 days", step: str = "1 day", late: str = "1 day") -> DataFrame:
+    """Matrix of every sliding window; a report's cells count in each window over it, raw items in none."""
+    inside = reports(df, sp).withWatermark("ts", late).select(F.window("ts", length, step).alias("w"), "j", "x")
+    cells = inside.select("w", "j", F.explode("x").alias("x")).groupBy("w", "j", "x").agg(F.count("*").alias("cnt"))
+    return cells.select(F.to_date("w.start").alias("epoch"), "j", "x", "cnt")
 
 
-def session_counts(df: DataFrame, gap: str = "12 hours", limit: int = 5, late: str = "1 day") -> DataFrame:
-    """Reports and capped reports of each client session."""
-    w = df.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("cnt"))
-    return w.select("user_id", F.unix_timestamp(F.col("w.start")).alias("start"), "cnt", F.least("cnt", F.lit(limit)).cast("long").alias("capped"))
+def session_capped(df: DataFrame, gap_seconds: int = 12 * 3600, limit: int = 5) -> DataFrame:
+    """The first ``limit`` events of each client session (``user_id, event_id, event_type``): what clients may report. The state is a
+    time and a number a client."""
+    ship(df.sparkSession)
+
+    def work(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        last, used = state.get if state.exists else (float("-inf"), 0)
+        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
+        keep = []
+        for at in ((rows["ts"] - pd.Timestamp(0)) / pd.Timedelta(seconds=1)).tolist():
+            used = 1 if at - last >= gap_seconds else used + 1
+            last = at
+            keep.append(used <= limit)
+        state.update((last, used))
+        rows = rows[keep]
+        yield pd.DataFrame({c: rows[c].to_numpy() for c in ("user_id", "event_id", "event_type")})
+
+    own = df.select("user_id", "event_id", "event_type", "ts")
+    return own.groupBy("user_id").applyInPandasWithState(work, "user_id long, event_id long, event_type string", "last double, used long", "append", "NoTimeout")
 
 
 def capped(df: DataFrame, limit: int) -> DataFrame:
@@ -87,40 +105,55 @@ def dedupe(df: DataFrame, late: str = "1 day") -> DataFrame:
     return df.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def late_rows(df: DataFrame, bound: str) -> DataFrame:
-    """Rows older than a fixed bound, which a watermark past it drops, by day."""
-    return df.withColumn("late", F.col("ts") < F.lit(bound).cast("timestamp")).groupBy("late").agg(F.count("*").alias("cnt"))
+def closed_counts(df: DataFrame, length: str = "1 day", late: str = "1 day") -> DataFrame:
+    """Counts of windows that the watermark has closed (append mode); rows that come later than ``late`` are dropped."""
+    w = df.withWatermark("ts", late).groupBy(F.window("ts", length).alias("w")).agg(F.count("*").alias("cnt"))
+    return w.select(F.to_date("w.start").alias("epoch"), "cnt")
+
+
+def in_order(frames: list[DataFrame], folder: str) -> DataFrame:
+    """A stream whose micro-batches are ``frames``, in order: each is written as one file of ``folder``, read one a trigger."""
+    for f in frames:
+        f.coalesce(1).write.mode("append").parquet(folder)
+    spark = frames[0].sparkSession
+    return spark.readStream.schema(frames[0].schema).option("maxFilesPerTrigger", 1).parquet(folder)
 
 
 def with_domain(df: DataFrame, domain: DataFrame) -> DataFrame:
     """Stream-static join: only items of a known domain, with its attributes."""
-    return df.join(F.broadcast(domain), df.event_type == domain.item).groupBy("item", "weight").agg(F.count("*").alias("cnt"))
+    return df.join(domain, df.event_type == domain.item).groupBy("item", "weight").agg(F.count("*").alias("cnt"))
 
 
-def discovery_counts(df: DataFrame, column: str, length: str = "10 days", late: str = "1 day") -> DataFrame:
-    """Count of each digest and window; noise is added once, after a window has closed (``release``)."""
-    w = df.withWatermark("ts", late).groupBy(F.window("ts", length).alias("w"), discover.digest(F.col(column)).alias("digest")).agg(F.count("*").alias("cnt"), F.first(F.col(column)).alias("sealed"))
-    return w.select(F.to_date("w.start").alias("epoch"), "digest", "sealed", "cnt")
+def discovery_counts(df: DataFrame, column: str, secrets: tuple[str, str] = ("server", "helper"), length: str = "10 days", late: str = "1 day", seed: int | str = 42) -> DataFrame:
+    """``epoch, digest, inner, cnt`` of each window, as the helper has them: clients seal their items before anything is counted, and the
+    helper keeps a uniform pick of a digest's ciphertexts. Noise is added once, after a window has closed (``release``)."""
+    sealed = discover.client(df.withColumn("item", F.col(column).cast("string")), *secrets, keep=("ts",))
+    opened = discover.open_outer(sealed, secrets[1], keep=("ts",)).withWatermark("ts", late)
+    pick = F.xxhash64("inner", F.lit(str(seed)))
+    w = opened.groupBy(F.window("ts", length).alias("w"), "digest").agg(F.count("*").alias("cnt"), F.min_by("inner", pick).alias("inner"))
+    return w.select(F.to_date("w.start").alias("epoch"), "digest", "inner", "cnt")
 
 
 def release(closed: DataFrame, threshold: float, scale: float, seed: int | str) -> DataFrame:
-    """Noisy release of closed windows, keyed by window and digest."""
+    """Noisy release of closed windows, keyed by window and digest: ``epoch, digest, inner, noisy``."""
     keyed = closed.withColumn("_d", F.col("digest")).withColumn("digest", F.concat(F.col("epoch").cast("string").cast("binary"), F.col("_d")))
     out = discover.noisy(keyed, scale, seed).filter(F.col("noisy") >= threshold)
-    return out.select("epoch", F.col("_d").alias("digest"), "sealed", "noisy")
+    return out.select("epoch", F.col("_d").alias("digest"), "inner", "noisy")
 
 
 def retune_on_batch(sp: SketchParams, target: str, eps: float, schedule: list) -> Callable[[DataFrame, int], None]:
-    """A foreachBatch sink that estimates the target in each batch and appends the next version to ``schedule``."""
+    """A foreachBatch sink that closes the loop: each batch is collected with the newest version's p and s, and its estimate of the target
+    gives the next. ``schedule`` gets ``(ver, p, s, n, est, lam, next_p, next_s, next_eps)`` a batch."""
     from ..functions import tune
 
     def sink(batch: DataFrame, number: int) -> None:
         if batch.isEmpty():
             return
+        now = replace(sp, p=schedule[-1][6], s=schedule[-1][7]) if schedule else sp
         name = batch.sparkSession.createDataFrame([(target,)], "item string")
-        row = estimate.frequencies(name, sketch.build(reports(batch, sp)), sp).first()
+        row = estimate.frequencies(name, sketch.build(reports(batch, now)), now).first()
         lam = min(1.0, max(0.001, row["est"] / max(1, row["n"])))
         t = tune.tune(eps, lam, sp.k, sp.m)
-        schedule.append((number, lam, t.p, t.s, t.eps_real))
+        schedule.append((number, now.p, now.s, row["n"], row["est"], lam, t.p, t.s, t.eps_real))
 
     return sink

@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from privsketch.functions.theory import SketchParams
+from privsketch.functions.theory import SketchParams, replayed
 from privsketch.operators import discover, estimate, randomize, relay, seal, sketch
 from privsketch.plans import QUERIES, SQL
 from privsketch.sources.items import KEYS, band_ladder, item_frame
@@ -69,7 +69,7 @@ def test_band_ladder_covers_the_range():
 def test_reports_are_subsets_with_the_right_marginals(spark, engine, s, p):
     n, m = 6000, 16
     items = spark.range(n).select(F.col("id").alias("report_id"), F.lit("same").alias("item"))
-    sp = SketchParams(1, m, s, p)
+    sp = replayed(1, m, s, p)
     rows = randomize.subset_reports(items, sp, engine=engine, keep=["report_id"]).collect()
     assert len(rows) == n
     for r in rows:
@@ -83,7 +83,7 @@ def test_reports_are_subsets_with_the_right_marginals(spark, engine, s, p):
 def test_floyd_is_uniform_over_subsets(spark):
     items = spark.range(8000).select(F.col("id").alias("report_id"), F.lit("same").alias("item"))
     for engine in ("sql", "arrow"):
-        rows = randomize.subset_reports(items, SketchParams(1, 6, 3, 0.5, 5), engine=engine).groupBy(F.array_join("x", ",").alias("x")).count().collect()
+        rows = randomize.subset_reports(items, replayed(1, 6, 3, 0.5, 5), engine=engine).groupBy(F.array_join("x", ",").alias("x")).count().collect()
         assert len(rows) == 20  # p = s/m: all subsets alike
         chi = sum((r["count"] - 400) ** 2 / 400 for r in rows)
         assert chi < 50
@@ -91,7 +91,7 @@ def test_floyd_is_uniform_over_subsets(spark):
 
 def test_arrow_reports_repeat_exactly(spark, small):
     items = item_frame(spark, small, "band16")
-    sp = SketchParams(100, 100, 7, 0.74)
+    sp = replayed(100, 100, 7, 0.74)
     a, b = (randomize.subset_reports(x, sp, engine="arrow", keep=["report_id"]) for x in (items, items.repartition(3)))
     assert a.exceptAll(b).count() == 0
     total = sketch.build(a).agg(F.sum("cnt")).first()[0]
@@ -99,7 +99,7 @@ def test_arrow_reports_repeat_exactly(spark, small):
 
 
 def test_matrix_forms_agree(spark, small):
-    reports = randomize.subset_reports(item_frame(spark, small, "lang"), SketchParams(4, 32, 4, 0.6))
+    reports = randomize.subset_reports(item_frame(spark, small, "lang"), replayed(4, 32, 4, 0.6))
     long = sketch.build(reports)
     assert long.exceptAll(sketch.build_dense(reports, 4, 32)).count() == 0
     assert sketch.to_rows(long, 32).select(F.explode("cells").alias("c")).agg(F.sum("c")).first()[0] == long.agg(F.sum("cnt")).first()[0]
@@ -111,7 +111,7 @@ def test_estimates_are_unbiased(spark, medium):
     runs = 24
     mean = dict.fromkeys(truth, 0.0)
     for seed in range(runs):
-        sp = SketchParams(8, 64, 5, 0.6, seed)
+        sp = replayed(8, 64, 5, 0.6, seed)
         for r in estimate.frequencies(items, sketch.build(randomize.subset_reports(items, sp)), sp).collect():
             mean[r["item"]] += r["est"] / runs
     for item, f in truth.items():
@@ -120,7 +120,7 @@ def test_estimates_are_unbiased(spark, medium):
 
 def test_intervals_hold_most_counts(spark, medium):
     items = item_frame(spark, medium, "source")
-    sp = SketchParams(64, 128, 5, 0.7)
+    sp = replayed(64, 128, 5, 0.7)
     got = estimate.interval(estimate.frequencies(items, sketch.build(randomize.subset_reports(items, sp)), sp), sp, 3.0).join(items.groupBy("item").count(), "item").collect()
     assert sum(r["lo"] <= r["count"] <= r["hi"] for r in got) >= len(got) - 1
 
@@ -178,7 +178,7 @@ def test_expected_yield_matches_a_release(spark, medium):
 
 def test_lookup_plan_has_no_cartesian_and_prunes_columns(spark, small):
     items = item_frame(spark, small, "lang")
-    sp = SketchParams(8, 64, 5, 0.6)
+    sp = replayed(8, 64, 5, 0.6)
     text = plan(estimate.frequencies(items, sketch.build(randomize.subset_reports(items, sp)), sp))
     assert "CartesianProduct" not in text and "BroadcastHashJoin" in text and "text" not in text.split("ReadSchema")[1].split("\n")[0]
 
@@ -186,7 +186,7 @@ def test_lookup_plan_has_no_cartesian_and_prunes_columns(spark, small):
 def test_support_scan_refuses_large_domains(spark, small):
     words = item_frame(spark, small, "word")
     with pytest.raises(ValueError):
-        estimate.support_scan(words, words, SketchParams(8, 64, 5, 0.6), largest=100)
+        estimate.support_scan(words, words, replayed(8, 64, 5, 0.6), largest=100)
 
 
 def test_the_rest_works_without_the_operator_folder(tmp_path):
@@ -202,9 +202,73 @@ def test_the_rest_works_without_the_operator_folder(tmp_path):
     assert out.stdout.split() == [str(len(QUERIES)), "False"], out.stderr
 
 
+@pytest.mark.parametrize("engine", ["sql", "arrow"])
+def test_coins_are_secret(spark, engine):
+    """Knowing the family's seed and the report ids, one cannot tell who reported the own cell."""
+    n, k, m = 4000, 4, 16
+    items = spark.range(n).select(F.col("id").alias("report_id"), F.lit("same").alias("item"))
+    own, other = SketchParams(k, m, 3, 0.7, 5), SketchParams(k, m, 3, 0.7, 5)
+    assert own == other and own.secret != other.secret and own.secret not in repr(own) and own.public().secret == ""
+    a, b, again = (randomize.subset_reports(items, sp, engine=engine, keep=["report_id"]) for sp in (own, other, own))
+    assert a.exceptAll(again).count() == 0
+    rows = {x: {r.report_id: (r.j, tuple(r.x)) for r in df.collect()} for x, df in (("a", a), ("b", b))}
+    alike = sum(rows["a"][i][0] == rows["b"][i][0] for i in range(n))
+    assert abs(alike - n / k) < 5 * math.sqrt(n * (1 / k) * (1 - 1 / k))
+    guess = {r.report_id: r.own for r in randomize.include(items, own, mode="replay").select("report_id", "own").collect()}
+    if engine == "sql":
+        true = {r.report_id: r.own for r in randomize.include(items, own).select("report_id", "own").collect()}
+        right = sum(guess[i] == true[i] for i in range(n))
+        assert abs(right - n * (0.7**2 + 0.3**2)) < 5 * math.sqrt(n) * 0.5
+
+
+def test_arrow_lookup_is_unbiased(spark, medium):
+    items = item_frame(spark, medium, "lang").cache()
+    truth = {r["item"]: r["count"] for r in items.groupBy("item").count().collect()}
+    runs, mean = 16, dict.fromkeys(truth, 0.0)
+    for seed in range(runs):
+        sp = SketchParams(8, 64, 5, 0.6, seed, secret=f"s{seed}")
+        for r in estimate.frequencies(items, sketch.build(randomize.subset_reports(items, sp, engine="arrow")), sp, engine="arrow").collect():
+            mean[r["item"]] += r["est"] / runs
+    for item, f in truth.items():
+        assert abs(mean[item] - f) < 4 * 80 / math.sqrt(runs)
+
+
+def test_bit_vector_reports_of_both_engines(spark, medium):
+    from privsketch.operators import oracles
+
+    items = item_frame(spark, medium, "lang").cache()
+    truth, n = {r["item"]: r["count"] for r in items.groupBy("item").count().collect()}, items.count()
+    mx = sketch.build(oracles.classical_reports(items, 16, 32, 3.0, engine="arrow", secret="x"))
+    for r in oracles.classical_estimate(items, mx, 16, 32, 3.0, n, engine="arrow").collect():
+        assert abs(r["est"] - truth[r["item"]]) < 300
+    with pytest.raises(ValueError):
+        oracles.classical_reports(items, 16, 32, 3.0, engine="arrow")
+
+
+def test_unknown_strings_by_local_privacy(spark):
+    """Trie and puzzle find the heavy strings and little else; too few reports find nothing."""
+    from privsketch.operators import discover_baselines
+
+    names = ["brand#11", "brand#25", "x9", "alpha"]
+    items = spark.range(24_000).select(F.col("id").alias("report_id"), F.col("id").alias("client_id"), F.element_at(F.array(*map(F.lit, names)), (F.col("id") % 4 + 1).cast("int")).alias("item"))
+    trie = dict(discover_baselines.private_trie(items, 4.0, 8))
+    assert set(names) <= set(trie) and len(trie) <= 6 and all(abs(trie[x] - 6000) < 1500 for x in names)
+    puzzle = {r["item"]: r["est"] for r in discover_baselines.fragment_puzzle(items, 6.0, 8).collect()}
+    assert set(names) == set(puzzle)
+    assert discover_baselines.private_trie(items.limit(40), 2.0, 8) == []
+    with pytest.raises(ValueError):
+        discover_baselines.segment_em(items, 4.0, size=3)
+
+
+def test_retuned_streams_use_what_they_learn(spark, medium):
+    rows = QUERIES["stream_retune"](spark, medium).orderBy("ver").collect()
+    assert len(rows) == 3 and all((a["next_p"], a["next_s"]) == (b["p"], b["s"]) for a, b in zip(rows, rows[1:], strict=False))
+    assert rows[0]["p"] != rows[1]["p"]
+
+
 @pytest.mark.parametrize("mode", ["keyed", "fast"])
 def test_other_modes_repeat_and_differ_from_replay(spark, small, mode):
-    items, sp = item_frame(spark, small, "lang"), SketchParams(8, 64, 5, 0.6)
+    items, sp = item_frame(spark, small, "lang"), replayed(8, 64, 5, 0.6)
     a, b, c = (randomize.subset_reports(items, sp, mode=x, keep=["report_id"]) for x in (mode, mode, "replay"))
     assert a.exceptAll(b).count() == 0 and a.exceptAll(c).count() > 0
     est = estimate.frequencies(items, sketch.build(a), sp, mode=mode)

@@ -180,3 +180,10 @@ def test_collision_part_does_not_depend_on_p():
         sp = SketchParams(8, 64, 5, p)
         assert theory.variance(10, 1000, 5000, sp) - theory.variance(10, 1000, 5000, sp, "limit") == pytest.approx((5000 - 100 - 990) / (8 * 63))
     assert theory.pure_variance(10, 1000, 0.5, 0.1) == pytest.approx((10 * 0.25 + 990 * 0.09) / 0.16)
+
+
+def test_both_searches_agree():
+    for eps in (1.0, 3.75, 5.0):
+        for lam in (0.5, 0.1, 0.02):
+            for k in (1, 50, 500):
+                assert abs(tune.best_p_by_thirds(eps, lam, k) - tune.best_p(eps, lam, k, "published")) < 1e-6
