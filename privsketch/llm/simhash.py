@@ -6,9 +6,15 @@ fingerprints within the threshold have a common midpoint at most half the thresh
 midpoint's anchor lies within covering radius plus that share of the threshold of both. So every distinct fingerprint is replicated to the
 anchors it reaches with so many bit flips, and compared there. Which comparisons are made never depends on the data.
 
+That is fewer replicas than covering radius plus the whole threshold would make on one side, and loses no link: of two fingerprints that differ
+in at most two bits, flipping one of the differing bits of either gives a point that is one flip from both (or is one of them), and both
+are sent to that point's anchor.
+
 Copies share a fingerprint and are one row. Inside a partition of anchors, links become a spanning forest by numpy (no pair list of
 a group leaves the task); forests of all partitions are joined by ``graph.components``. Texts without words have fingerprint
-zero and link like any other. Null texts are empty; rows with a null doc_id are kept and never the representative.
+zero and link like any other. Null texts are empty; rows with a null doc_id are kept and never the representative. Repeated rows give one
+row each. A text of any length is hashed whole. An empty table gives an empty result. Columns other than ``doc_id`` and ``text`` are not
+read and may have any name, but for those that the caller carries along.
 """
 
 from __future__ import annotations

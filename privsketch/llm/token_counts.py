@@ -4,7 +4,9 @@ Pre-tokens of a batch lie end to end in one array of symbol ids. Each round look
 each sequence's lowest, and applies it everywhere in that sequence at once; sequences without a mergeable pair leave. What is
 left is the token count. Distinct white-space chunks are counted once per worker and remembered.
 
-Null and empty texts have no tokens. Special strings inside a text count as one token, as the library does by default.
+Null and empty texts have no tokens. Special strings inside a text count as one token, as the library does by default. Pairs of equal rank
+in a sequence merge from the left. Every row, repeated ones too, gives one row. A text of any length is counted whole. An empty table gives an
+empty result. Columns other than ``doc_id`` and ``text`` are not read and may have any name.
 """
 
 from __future__ import annotations
