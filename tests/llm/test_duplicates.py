@@ -232,3 +232,32 @@ def test_replacement_characters_of_the_original_stay(spark):
     assert got == {1: shared, 2: "a \ufffd b  c\ufffd", 3: "日日 \ufffd"}
     text = "é日"
     assert [suffix_dedup.whole_characters(text.encode(), np.arange(5) == i).decode() for i in (0, 1, 4)] == ["日", "日", "é"]
+
+
+def test_passages_under_repeated_and_null_ids(spark):
+    """Every row loses exactly the bytes of strings that start under a smaller id; rows of one id, or of none, never cost each other text."""
+    r = random.Random(8)
+    passages = ["".join(r.choice("abcdef ") for _ in range(r.choice([49, 50, 51, 87, 130]))) for _ in range(12)]
+    t, u, v = passages[0] * 2, passages[1] * 2, passages[2] * 2
+    rows = [(1, t), (5, t), (5, u), (None, t), (None, v), (7, u)]
+    for _ in range(60):
+        body = "".join(r.choice(passages) for _ in range(r.randrange(0, 4))) + "\ufffd" * r.randrange(0, 2)
+        rows.append((r.choice([None, 1, 2, 3, 5, 5, 8, 9, 20]), body))
+    rank = lambda i: suffix_dedup.LAST if i is None else i
+    first: dict[bytes, int] = {}
+    for i, text in rows:
+        b = text.encode()
+        for k in range(len(b) - 49):
+            first[b[k : k + 50]] = min(first.get(b[k : k + 50], suffix_dedup.LAST), rank(i))
+    want = []
+    for i, text in rows:
+        b, gone = text.encode(), [False] * len(text.encode())
+        for k in range(len(b) - 49):
+            if first[b[k : k + 50]] < rank(i):
+                gone[k : k + 50] = [True] * 50
+        spans = sum(g and not (k and gone[k - 1]) for k, g in enumerate(gone))
+        want.append((rank(i), len(b), sum(gone), spans, hashlib.sha256(bytes(c for c, g in zip(b, gone, strict=True) if not g)).hexdigest()))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    for size in (8_000_000, 2_000):
+        got = suffix_dedup.deduplicate(docs, size=size, part_size=size).collect()
+        assert sorted((rank(x.doc_id), x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in got) == sorted(want)
