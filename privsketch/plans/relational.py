@@ -325,6 +325,14 @@ def setop_except_missed(s, d):
     return exact.frequencies(items).filter("f >= 3").select("item").exceptAll(discover.central_histogram(items, T_, B_, 42).select("item"))
 
 
+@query(f"SELECT epoch, item, {_r6('percent_rank() OVER w')} AS share_below, {_r6('cume_dist() OVER w')} AS share_upto FROM (SELECT CAST(epoch AS VARCHAR) AS epoch, item, count(*) AS cnt FROM {items_sql('event_type')} GROUP BY 1, 2) WINDOW w AS (PARTITION BY epoch ORDER BY cnt)")
+def window_percent_rank(s, d):
+    """Where each item of a day stands among the day's counts."""
+    counts = item_frame(s, d, "event_type").groupBy(F.col("epoch").cast("string").alias("epoch"), "item").agg(F.count("*").alias("cnt"))
+    w = Window.partitionBy("epoch").orderBy("cnt")
+    return counts.select("epoch", "item", R6(F.percent_rank().over(w)).alias("share_below"), R6(F.cume_dist().over(w)).alias("share_upto"))
+
+
 # --- functions ---
 
 
