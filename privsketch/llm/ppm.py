@@ -133,12 +133,16 @@ class Model:
         full = contexts(data, index, self.order)[-1] << np.uint64(8) | data
         return np.add.reduceat(self._costs(full, index + 1), starts)
 
-    def stream_bits(self, texts: list[bytes], batch: int = 1 << 19) -> np.ndarray:
+    def stream_bits(self, texts: list[bytes]) -> np.ndarray:
         """Exact code length of each text with its end mark, contexts across words."""
         if not texts:
             return np.zeros(0)
         s = Stream(texts, self.order)
-        return np.add.reduceat(np.concatenate([self._costs(s.keys[i : i + batch], None) for i in range(0, len(s.keys), batch)]), s.starts)
+        return np.add.reduceat(self.costs(s.keys), s.starts)
+
+    def costs(self, full: np.ndarray, batch: int = 1 << 19) -> np.ndarray:
+        """Bits of each symbol after its context of full length."""
+        return np.concatenate([self._costs(full[i : i + batch], None) for i in range(0, len(full), batch)]) if len(full) else np.zeros(0)
 
     def _costs(self, full: np.ndarray, reach: np.ndarray | None) -> np.ndarray:
         """Bits of each symbol; ``full``: context of full length and symbol, of which the last ``reach`` bytes count (None: all)."""

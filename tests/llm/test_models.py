@@ -188,7 +188,9 @@ def test_language_model_beats_the_baseline(spark):
 
 
 def test_contexts_cross_words():
-    model = lm_score.model_of([lm_score.squeeze(*ppm.stream_counts([b"red fox"] * 9 + [b"big dog"] * 9, 5))], 5)
+    full = ppm.stream_counts([b"red fox"] * 9 + [b"big dog"] * 9, 5)
+    upper = ppm.shorter(*ppm.tally(full[0] & np.uint64(0xFFFF), full[1]), 1)
+    model = lm_score.model_of(*full, upper, 5)
     fits, mixed = model.stream_bits([b"red fox", b"red dog"])
     assert fits < 3 < mixed
 
@@ -196,15 +198,28 @@ def test_contexts_cross_words():
 def test_context_sums_and_messages(spark, small):
     """Adding up by range loses no context at any number of buckets, and messages never outnumber what they carry."""
     docs = spark.read.parquet(f"{small}/documents.parquet").limit(80)
-    docs = spark.createDataFrame(docs.select("doc_id", "text").collect(), "doc_id long, text string")
-    streams = [b" ".join(w.encode() for w in words_of(r.text)) for r in docs.filter(~language_id.held_out(*lm_score.HOLD)).collect()]
+    docs = spark.createDataFrame(docs.select("doc_id", "text").collect(), "doc_id long, text string").withColumn("held_out", language_id.held_out(*lm_score.HOLD))
+    streams = [b" ".join(w.encode() for w in words_of(r.text)) for r in docs.filter("not held_out").collect()]
     want = ppm.stream_counts(streams, 4)
     for buckets in (1, 3, 12):
-        rows = lm_score.bucketed(docs, buckets).withColumn("held_out", language_id.held_out(*lm_score.HOLD))
-        back = lm_score.gathered(rows, buckets, 4).collect()
-        got = ppm.tally(*(np.concatenate(x) for x in zip(*(lm_score.expand(r.one) for r in back if r.kind == 1), strict=True)))
-        assert all((a == b).all() for a, b in zip(got, want, strict=True))
+        back = lm_score.added_up(lm_score.sent(lm_score.bucketed(docs, buckets), buckets, 4)).collect()
+        keys, counts = ppm.tally(*(np.concatenate(x) for x in zip(*(lm_score.expand(r.one) for r in back if r.kind == 1), strict=True)))
+        assert all((a == b).all() for a, b in zip((keys[counts > 0], counts[counts > 0]), want, strict=True))
         assert sum(r.kind == 0 for r in back) <= buckets * buckets
+        assert sum(r.strings for r in back if r.kind == 2) == len(keys)
+
+
+def test_prices_by_branch_equal_the_whole_trie(spark, small):
+    """Branches hold what a context needs: any number of them and any order give the scores of the plain form."""
+    docs = spark.read.parquet(f"{small}/documents.parquet").limit(40)
+    docs = spark.createDataFrame(docs.select("doc_id", "text").collect(), "doc_id long, text string")
+    rows = [(r.doc_id, r.text) for r in docs.collect()]
+    for order, most in ((1, 400_000), (2, 50), (4, 50)):
+        check_scores(rows, lm_score.score(docs, order=order, branch_keys=most).collect(), order)
+    keys = ppm.stream_counts([(t or "").encode() for _, t in rows], 5)[0]
+    assert len(np.unique(lm_score.branch_of(keys, 64))) > 32
+    upper, _ = ppm.shorter(*ppm.tally(keys & np.uint64(0xFFFF), np.ones(len(keys), np.int64)), 1)
+    assert len(upper) <= 65_792
 
 
 def subsequence_kernel(a, b, decay, span):
