@@ -309,11 +309,8 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
             return
         many = np.minimum.reduceat(owner, head) != np.maximum.reduceat(owner, head)
         anchor = anchor[head]
-        cut = np.searchsorted(anchor, _bounds(parts))
-        for p in range(parts):
-            a, b = cut[p], cut[p + 1]
-            if a < b:
-                yield _row(ANCHORS, p, key[0].as_py(), _pack(anchor[a:b], p, parts), np.packbits(many[a:b]).tobytes())
+        for p, a, b in _stretches(_part(anchor, parts)):
+            yield _row(ANCHORS, p, key[0].as_py(), _pack(anchor[a:b], p, parts), np.packbits(many[a:b]).tobytes())
 
     def answer(key, batches):
         got = []
@@ -339,19 +336,17 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
             return
         bits = {p: one for p, one, _ in rest}
         names = np.unique(anchor)
-        cut = np.searchsorted(names, _bounds(parts))
-        shared = np.concatenate([np.unpackbits(np.frombuffer(bits[p], np.uint8), count=int(cut[p + 1] - cut[p])).astype(bool) for p in range(parts) if cut[p] < cut[p + 1]])
+        shared = np.concatenate([np.unpackbits(np.frombuffer(bits[p], np.uint8), count=b - a).astype(bool) for p, a, b in _stretches(_part(names, parts))])
         use = np.flatnonzero(shared[np.searchsorted(names, anchor)])
-        part = np.searchsorted(_bounds(parts)[1:-1], anchor[use], side="right")
-        use = use[np.argsort(part, kind="stable")]
-        cut = np.searchsorted(np.sort(part), np.arange(parts + 1))
-        for p in range(parts):
-            some = use[cut[p] : cut[p + 1]]
-            if len(some):
-                length = count[some] + span - 1
-                text = b"".join([buf[i : i + n] for i, n in zip(start[some].tolist(), length.tolist(), strict=True)])
-                who, owners = np.unique(owner[some], return_inverse=True)
-                yield _row(RUNS, p, key[0].as_py(), (anchor[some] & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes(), _shrink(np.diff(start[some] + moved[owner[some]], prepend=0)), _shrink(count[some]), _shrink(np.diff(owners, prepend=0)), own[who].tobytes(), zstandard.compress(text, 3))
+        part = _part(anchor[use], parts)
+        order = np.argsort(part, kind="stable")
+        use = use[order]
+        for p, a, b in _stretches(part[order]):
+            some = use[a:b]
+            length = count[some] + span - 1
+            text = b"".join([buf[i : i + n] for i, n in zip(start[some].tolist(), length.tolist(), strict=True)])
+            who, owners = np.unique(owner[some], return_inverse=True)
+            yield _row(RUNS, p, key[0].as_py(), (anchor[some] & np.uint64(0xFFFFFFFF)).astype(np.uint32).tobytes(), _shrink(np.diff(start[some] + moved[owner[some]], prepend=0)), _shrink(count[some]), _shrink(np.diff(owners, prepend=0)), own[who].tobytes(), zstandard.compress(text, 3))
 
     def compare(key, batches):
         held: list[tuple[int, np.ndarray, np.ndarray, np.ndarray]] = []
@@ -456,14 +451,22 @@ def whole_characters(text: bytes, gone: np.ndarray) -> bytes:
     return data[~np.repeat(hit, np.diff(np.r_[head, len(data)]))].tobytes()
 
 
-def _bounds(parts: int) -> np.ndarray:
-    return np.array([*((i << 64) // parts for i in range(parts)), (1 << 64) - 1], np.uint64)
+def _part(anchor: np.ndarray, parts: int) -> np.ndarray:
+    """Range of each anchor, in order: even steps over the upper 32 bits."""
+    return ((anchor.astype(np.uint64) >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)).astype(np.int64)
+
+
+def _stretches(part: np.ndarray) -> list[tuple[int, int, int]]:
+    """(range, from, to) of every range that occurs in a sorted array; a block's work does not grow with the number of ranges."""
+    cut = np.flatnonzero(np.diff(part, prepend=-1, append=-1)).tolist()
+    return [(int(part[a]), a, b) for a, b in zip(cut, cut[1:], strict=False)]
 
 
 def _pack(keys: np.ndarray, part: int, parts: int) -> bytes:
     """The leading 40 bits of each key inside its range: enough to choose what is compared."""
     shift = np.uint64(max(0, 64 - (parts.bit_length() - 1) - 40))
-    return ((keys - _bounds(parts)[part]) >> shift).view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
+    first = np.uint64(-(-(part << 32) // parts) << 32)
+    return ((keys - first) >> shift).view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
 
 
 def _unpack(data: bytes) -> np.ndarray:

@@ -261,3 +261,19 @@ def test_passages_under_repeated_and_null_ids(spark):
     for size in (8_000_000, 2_000):
         got = suffix_dedup.deduplicate(docs, size=size, part_size=size).collect()
         assert sorted((rank(x.doc_id), x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in got) == sorted(want)
+
+
+def test_ranges_of_anchors():
+    """Every anchor lies in the range whose lower end it is packed from, ranges are even, and stretches cover a sorted array."""
+    anchors = np.sort(np.random.default_rng(5).integers(0, 1 << 64, 20_000, dtype=np.uint64))
+    anchors = np.r_[np.uint64(0), anchors, np.uint64((1 << 64) - 1)]
+    for parts in (1, 2, 7, 211):
+        part = suffix_dedup._part(anchors, parts)
+        assert (np.diff(part) >= 0).all() and part[0] == 0 and part[-1] == parts - 1
+        assert np.bincount(part, minlength=parts).max() < 2 * len(anchors) / parts + 1
+        found = suffix_dedup._stretches(part)
+        assert [p for p, _, _ in found] == sorted(set(part.tolist())) and found[0][1] == 0 and found[-1][2] == len(part)
+        for p, a, b in found:
+            assert (part[a:b] == p).all()
+            assert len(set(suffix_dedup._unpack(suffix_dedup._pack(anchors[a:b], p, parts)).tolist())) == len(set(anchors[a:b].tolist()))
+    assert suffix_dedup._stretches(np.zeros(0, np.int64)) == []
