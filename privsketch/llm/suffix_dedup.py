@@ -226,6 +226,10 @@ REPLY = "block long, part int, one binary, two binary"
 RUNS = "part int, block long, anchors binary, starts binary, counts binary, owners binary, origins binary, text binary"
 
 
+#: Places in which the copies of one text are marked.
+SALTS = 16
+
+
 def blocks(docs: DataFrame, carry: list[str], size: int) -> tuple[DataFrame, int]:
     """Rows with a ``block``: a hash of doc_id over blocks of about ``size`` bytes; and the bytes of all."""
     spark = docs.sparkSession
@@ -239,7 +243,9 @@ def later_copies(rows: DataFrame) -> DataFrame:
     """``block, part`` (-1)``, one, two``: origin and digest of texts that an earlier document has as well; texts do not move."""
     marks = rows.select("block", "origin", F.sha2(F.col("body").cast("binary"), 256).alias("digest"))
     first = marks.groupBy("digest").agg(F.min("origin").alias("first"), F.max("origin").alias("last")).filter("last > first").select("digest", "first")
-    late = marks.join(first, "digest").filter("origin > first")
+    # a text with very many copies is joined in SALTS places; with both sides dealt for the join alone, Spark can split further
+    salted = first.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    late = marks.withColumn("salt", F.pmod(F.xxhash64("origin"), F.lit(SALTS))).join(salted, ["digest", "salt"]).filter("origin > first")
     return late.select("block", F.lit(-1).alias("part"), F.col("origin").cast("string").cast("binary").alias("one"), F.unhex("digest").alias("two"))
 
 
