@@ -13,7 +13,9 @@ Later copies of a whole text are found by digest, row by row, and lose everythin
    ``SPAN`` bytes are the same string, and its smallest document decides. Only the blocks' ranges to be removed go back.
 3. Blocks drop the marked bytes.
 
-Equal runs, as copies have them, are one piece of text with its smallest document; an anchor with one piece needs no sorting.
+Of equal runs of a block only those of its smallest document travel: the others lose all their strings, which their own block knows, so
+a passage of very many documents reaches the task of its anchor about once a block. There equal runs are one piece of text with its
+smallest document; an anchor with one piece needs no sorting.
 Hashes only choose what is compared, the comparison is of bytes. Null and empty texts have nothing to remove. Rows with
 the same doc_id are one document as far as origins go (nothing is removed for strings shared among them); rows with a null doc_id
 come after all others. A string never crosses a document's end.
@@ -231,17 +233,18 @@ SALTS = 16
 
 
 def blocks(docs: DataFrame, carry: list[str], size: int) -> tuple[DataFrame, int]:
-    """Rows with a ``block``: a hash of doc_id over blocks of about ``size`` bytes; and the bytes of all."""
+    """Rows with a ``block``: a hash of doc_id and text (rows of one id, or without one, spread as well) over blocks of about ``size``
+    bytes; and the bytes of all."""
     spark = docs.sparkSession
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("origin"), F.coalesce(F.col("text"), F.lit("")).alias("body"), "doc_id", *carry)
     total = rows.agg(F.sum(F.octet_length("body"))).first()[0] or 0
     many = max(width(spark), -(-total // size))
-    return rows.withColumn("block", F.pmod(F.xxhash64("origin"), F.lit(many))), total
+    return rows.withColumn("block", F.pmod(F.xxhash64("origin", "body"), F.lit(many))), total
 
 
 def later_copies(rows: DataFrame) -> DataFrame:
     """``block, part`` (-1)``, one, two``: origin and digest of texts that an earlier document has as well; texts do not move."""
-    marks = rows.select("block", "origin", F.sha2(F.col("body").cast("binary"), 256).alias("digest"))
+    marks = rows.select("block", "origin", F.sha2(F.col("body").cast("binary"), 256).alias("digest")).distinct()
     first = marks.groupBy("digest").agg(F.min("origin").alias("first"), F.max("origin").alias("last")).filter("last > first").select("digest", "first")
     # a text with very many copies is joined in SALTS places; with both sides dealt for the join alone, Spark can split further
     salted = first.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
@@ -249,6 +252,17 @@ def later_copies(rows: DataFrame) -> DataFrame:
     return late.select("block", F.lit(-1).alias("part"), F.col("origin").cast("string").cast("binary").alias("one"), F.unhex("digest").alias("two"))
 
 
+def leads(buf: bytes, start: np.ndarray, stop: np.ndarray, who: np.ndarray) -> np.ndarray:
+    """Whether no document of the block with a smaller origin has the same run. Of the other runs every string also starts in that
+    document, so they go without being compared elsewhere, and are never the first holder of a string."""
+    seen: dict[bytes, int] = {}
+    place = seen.setdefault
+    piece = np.fromiter((place(buf[i:j], len(seen)) for i, j in zip(start.tolist(), stop.tolist(), strict=True)), np.int64, len(start))
+    least = np.full(len(seen), LAST)
+    np.minimum.at(least, piece, who)
+    return who == least[piece]
+
+
 def _texts(batches) -> tuple[list[int], list[bytes]]:
     """Origins and texts of a block in order."""
     got = []
@@ -344,6 +358,15 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
         names = np.unique(anchor)
         shared = np.concatenate([np.unpackbits(np.frombuffer(bits[p], np.uint8), count=b - a).astype(bool) for p, a, b in _stretches(_part(names, parts))])
         use = np.flatnonzero(shared[np.searchsorted(names, anchor)])
+        lead = leads(buf, start[use], start[use] + count[use] + span - 1, own[owner[use]])
+        if not lead.all():
+            block, gone = key[0].as_py(), use[~lead]
+            first = start[gone] + moved[owner[gone]]
+            order = np.argsort(first, kind="stable")
+            first, stop = first[order], (first + count[gone])[order]
+            head = np.flatnonzero(np.r_[True, first[1:] != stop[:-1]])
+            yield _row(RUNS, parts + block % parts, block, b"", _shrink(first[head]), _shrink(stop[np.r_[head[1:] - 1, len(stop) - 1]] - first[head]), b"", b"", b"")
+        use = use[lead]
         part = _part(anchor[use], parts)
         order = np.argsort(part, kind="stable")
         use = use[order]
@@ -360,6 +383,9 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, span: int = SPA
         index, anchors = [], []
         for b in batches:
             for block, names, starts, counts, owners, origins, text in zip(*(b.column(c).to_pylist() for c in ("block", "anchors", "starts", "counts", "owners", "origins", "text")), strict=True):
+                if key[0].as_py() >= parts:  # runs that their own block decided
+                    yield _row(REPLY, block, key[0].as_py(), starts, counts)
+                    continue
                 count = _ints(counts)
                 end = np.cumsum(count + span - 1)
                 begin = (end - (count + span - 1)).tolist()

@@ -263,6 +263,35 @@ def test_passages_under_repeated_and_null_ids(spark):
         assert sorted((rank(x.doc_id), x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in got) == sorted(want)
 
 
+def test_one_run_a_block_travels():
+    buf = b"aXXXbXXXcXXXaXXXdYYY"
+    start = np.array([0, 1, 5, 9, 13, 17])
+    got = suffix_dedup.leads(buf, start, start + 3, np.array([1, 1, 1, 2, 3, suffix_dedup.LAST]))
+    assert got.tolist() == [True, True, True, False, False, True]  # repeats inside the first document stay with it
+
+
+def test_passage_of_every_document_and_rows_without_id(spark):
+    r = random.Random(9)
+    word = lambda n: "".join(r.choice("abcdefgh ") for _ in range(n))
+    line = word(130)
+    rows = [(i if i % 3 else None, word(40) + line + word(30) + (line if i % 7 == 0 else "")) for i in range(90)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    held, _ = suffix_dedup.blocks(frame, [], 500)
+    assert held.filter("doc_id is null").select("block").distinct().count() > 1
+    for size in (500, 8_000_000):
+        got = suffix_dedup.deduplicate(frame, size=size, part_size=300).collect()
+        first, want = {}, []
+        for i, t in rows:
+            for k in range(len(t) - 49):
+                o = suffix_dedup.LAST if i is None else i
+                first[t[k : k + 50]] = min(first.get(t[k : k + 50], o), o)
+        for i, t in rows:
+            gone = {k + j for k in range(len(t) - 49) for j in range(50) if first[t[k : k + 50]] < (suffix_dedup.LAST if i is None else i)}
+            want.append((i, len(t), len(gone), hashlib.sha256("".join(c for k, c in enumerate(t) if k not in gone).encode()).hexdigest()))
+        order = lambda x: (x[0] is None, *(v or 0 for v in x[:3]), x[3])
+        assert sorted([(x.doc_id, x.n_bytes, x.n_removed, x.kept_sha256) for x in got], key=order) == sorted(want, key=order)
+
+
 def test_ranges_of_anchors():
     """Every anchor lies in the range whose lower end it is packed from, ranges are even, and stretches cover a sorted array."""
     anchors = np.sort(np.random.default_rng(5).integers(0, 1 << 64, 20_000, dtype=np.uint64))
