@@ -31,6 +31,9 @@ from . import graph
 from ._util import keep, lower_ascii, min_labels, ship, slices, tokens, width
 
 SHINGLE, SEED, THRESHOLD, BLOCK, PART_ROWS = 3, 42, 2, 3, 100_000
+#: Rows of one anchor from which on comparing all of them costs more than sorting the points around them.
+DENSE = 4_000
+_SPREAD = np.uint64(0x9E3779B97F4A7C15)
 
 
 def fingerprint(text: str, shingle: int = SHINGLE, seed: int = SEED) -> int:
@@ -126,9 +129,34 @@ def replicas(fp: np.ndarray, threshold: int = THRESHOLD, block: int = BLOCK) ->
     return row[first], anchor[first]
 
 
+def midpoint_forest(fp: np.ndarray, threshold: int, most: int = 1 << 21) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs that join all rows linked within an even threshold. Two rows are linked just when a point lies within half the
+    threshold of both, so rows that reach the same point are joined to the first of them; no pairs of rows are tried. Points are
+    held a bucket of their hash at a time, about ``most`` at once."""
+    masks = np.array([sum(1 << b for b in bits) for n in range(threshold // 2 + 1) for bits in combinations(range(64), n)], np.uint64)
+    buckets = -(-len(fp) * len(masks) // most)
+    label = np.arange(len(fp))
+    for bucket in range(buckets):
+        points, rows = [], []
+        for mask in masks:
+            point = fp ^ mask
+            at = np.flatnonzero(((point * _SPREAD) >> np.uint64(40)) % np.uint64(buckets) == bucket) if buckets > 1 else np.arange(len(fp))
+            points.append(point[at])
+            rows.append(at)
+        point, row = np.concatenate(points), np.concatenate(rows)
+        order = np.argsort(point, kind="stable")
+        point, row = point[order], row[order]
+        head = np.maximum.accumulate(np.where(np.r_[True, point[1:] != point[:-1]], np.arange(len(point)), 0))
+        far = np.flatnonzero(row[head] != row)
+        known = np.arange(len(fp))
+        label = min_labels(len(fp), np.r_[known, row[far]], np.r_[label, row[head[far]]])
+    way = np.flatnonzero(label != np.arange(len(fp)))
+    return way, label[way]
+
+
 def links(fp: np.ndarray, anchor: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs within the threshold among rows of equal anchor (rows sorted by anchor); a large group is compared block by
-    block."""
+    """Index pairs within the threshold among rows of equal anchor (rows sorted by anchor); of groups over 64 rows a forest. A group
+    over ``DENSE`` rows meets in common midpoints if the threshold is even, and else block by block."""
     a, b = [], []
     run = np.cumsum(np.r_[True, anchor[1:] != anchor[:-1]]) - 1
     size = np.bincount(run)
@@ -148,6 +176,11 @@ def links(fp: np.ndarray, anchor: np.ndarray, threshold: int) -> tuple[np.ndarra
     begin = np.r_[0, np.cumsum(size)]
     for g in big.tolist():
         own = np.arange(begin[g], begin[g + 1])
+        if len(own) > DENSE and threshold % 2 == 0:
+            i, j = midpoint_forest(fp[own], threshold)
+            a.append(own[i])
+            b.append(own[j])
+            continue
         for s in range(0, len(own), 1000):
             part = fp[own[s : s + 1000], None]
             for r in range(s, len(own), 1000):

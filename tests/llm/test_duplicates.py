@@ -93,6 +93,25 @@ def test_anchor_links_are_complete(spark):
     assert len(edges) < 6 * len(fps)
 
 
+def test_dense_anchor_meets_in_midpoints(monkeypatch):
+    r = np.random.default_rng(5)
+    base = r.integers(0, 2**63, 40).astype(np.uint64)
+    flips = np.array([1 << int(b) for b in r.integers(0, 64, 3000)], np.uint64)
+    fp = np.unique(r.choice(base, 1000) ^ flips[:1000] ^ flips[1000:2000] ^ flips[2000:])  # up to three flips: some links, some none
+    near = np.bitwise_count(fp[:, None] ^ fp[None, :])
+    for threshold in (0, 2):
+        i, j = np.nonzero(near <= threshold)
+        want = min_labels(len(fp), i, j)
+        for most in (1 << 21, 5000):
+            a, b = simhash.midpoint_forest(fp, threshold, most)
+            assert (min_labels(len(fp), a, b) == want).all()
+    monkeypatch.setattr(simhash, "DENSE", 100)
+    for threshold in (1, 2, 3):  # an odd one goes block by block
+        i, j = np.nonzero(near <= threshold)
+        a, b = simhash.links(fp, np.zeros(len(fp), np.uint64), threshold)
+        assert (min_labels(len(fp), a, b) == min_labels(len(fp), i, j)).all()
+
+
 def test_majority_of_long_runs():
     h = np.full(130_001, np.uint64(0xF0F0F0F0F0F0F0F0))
     h[:60_000] = 0x0F0F0F0F0F0F0F0F
