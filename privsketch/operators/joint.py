@@ -31,14 +31,26 @@ def adaptive_rounds(items: DataFrame, target: str, eps: float, k: int, m: int, r
     return out
 
 
-def asof_params(reports: DataFrame, schedule: DataFrame, most: int = 10_000) -> DataFrame:
-    """Parameter version in force at each report's ``ts``: last schedule row at or before it, null before the first. A schedule of
-    at most ``most`` rows is broadcast as intervals and the reports are not moved; a longer one goes through ``asof_sorted``."""
-    if schedule.limit(most + 1).count() > most:
+def asof_params(reports: DataFrame, schedule: DataFrame, most: int = 10_000, most_days: int = 100_000) -> DataFrame:
+    """Parameter version in force at each report's ``ts``: last schedule row at or before it (ties: the highest version), null before the
+    first; schedule rows with nulls do not count. A schedule of at most ``most`` rows over ``most_days`` days is broadcast as a calendar,
+    a row a day with the changes of that day and the version it starts from: reports are not moved and meet their day by equality.
+    A larger one goes through ``asof_sorted``."""
+    schedule = schedule.filter("valid_from is not null and ver is not null").select("valid_from", "ver")
+    day = F.to_date("valid_from")
+    rows, first, last = schedule.agg(F.count("*"), F.min(day), F.max(day)).first()
+    if not rows:
+        return reports.withColumn("ver", F.lit(None).cast(schedule.schema["ver"].dataType))
+    if rows > most or (last - first).days >= most_days:
         return asof_sorted(reports, schedule)
-    spans = schedule.select(F.col("valid_from").alias("_from"), F.lead("valid_from").over(Window.orderBy("valid_from")).alias("_to"), "ver")
-    inside = (F.col("ts") >= F.col("_from")) & (F.col("_to").isNull() | (F.col("ts") < F.col("_to")))
-    return reports.join(F.broadcast(spans), inside, "left").drop("_from", "_to")
+    days = reports.sparkSession.range(1).select(F.explode(F.sequence(F.lit(first), F.lit(last))).alias("_day"))
+    change = F.struct("valid_from", "ver")
+    changes = schedule.groupBy(day.alias("_day")).agg(F.collect_list(change).alias("_changes"), F.max(change)["ver"].alias("_end"))
+    before = Window.orderBy("_day").rowsBetween(Window.unboundedPreceding, -1)  # at most ``most_days`` rows
+    calendar = days.join(changes, "_day", "left").withColumn("_start", F.last("_end", ignorenulls=True).over(before)).drop("_end")
+    at = reports.withColumn("_day", F.least(F.to_date("ts"), F.when(F.col("ts").isNotNull(), F.lit(last))))  # later reports share the last day
+    inside = F.array_max(F.filter("_changes", lambda c: c["valid_from"] <= F.col("ts")))["ver"]
+    return at.join(F.broadcast(calendar), "_day", "left").withColumn("ver", F.coalesce(inside, "_start")).drop("_day", "_changes", "_start")
 
 
 def asof_sorted(reports: DataFrame, schedule: DataFrame) -> DataFrame:
@@ -49,11 +61,11 @@ def asof_sorted(reports: DataFrame, schedule: DataFrame) -> DataFrame:
     empty = F.lit(None).cast(left.schema["row"].dataType).alias("row")
     right = schedule.select(empty, F.col("valid_from").alias("_at"), F.col("ver").cast("int").alias("ver"), F.lit(0).alias("_kind"))
     hours = reports.select(hour("ts").alias("_hour")).union(schedule.select(hour("valid_from"))).distinct()
-    last = schedule.groupBy(hour("valid_from").alias("_hour")).agg(F.max_by("ver", "valid_from").alias("ver"))
+    last = schedule.groupBy(hour("valid_from").alias("_hour")).agg(F.max(F.struct("valid_from", "ver"))["ver"].alias("ver"))
     before = Window.orderBy("_hour").rowsBetween(Window.unboundedPreceding, -1)  # one row an hour
     starts = hours.join(last, "_hour", "left").withColumn("ver", F.last("ver", ignorenulls=True).over(before))
     seeds = starts.select(empty, F.col("_hour").alias("_at"), F.col("ver").cast("int").alias("ver"), F.lit(-1).alias("_kind"))
-    order = Window.partitionBy(hour("_at")).orderBy("_at", "_kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    order = Window.partitionBy(hour("_at")).orderBy("_at", "_kind", "ver").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return left.unionByName(right).unionByName(seeds).withColumn("ver", F.last("ver", ignorenulls=True).over(order)).filter("_kind = 1").select("row.*", "ver")
 
 

@@ -283,7 +283,26 @@ def test_asof_forms_agree(spark, small):
     schedule = spark.createDataFrame([("2024-01-03 05:10:00", 0), ("2024-01-03 05:40:00", 1), ("2024-01-20 00:00:00", 2)], "t string, ver int").select(F.to_timestamp("t").alias("valid_from"), "ver")
     a, b = joint.asof_params(events, schedule), joint.asof_sorted(events, schedule)
     assert a.exceptAll(b).count() == 0 and a.count() == b.count() == events.count()
-    assert a.filter("ver is null").count() > 0 and "Exchange hashpartitioning" not in plan(a)
+    assert a.filter("ver is null").count() > 0 and "Exchange hashpartitioning" not in plan(a).split("BroadcastExchange")[0] and "NestedLoop" not in plan(a)
+
+
+def test_asof_against_brute_force(spark):
+    """Ties, nulls, reports before, between and after, days without a change, many changes a day, an empty schedule, one too long."""
+    import datetime
+    import random
+
+    from privsketch.operators import joint
+
+    r = random.Random(3)
+    start = datetime.datetime(2024, 1, 1)
+    when = lambda: start + datetime.timedelta(minutes=30 * r.randrange(48 * 12))
+    plan_rows = [(when() + datetime.timedelta(days=2), v) for v in range(60)] + [(None, 90), (start, None)]
+    rows = [(i, when() + datetime.timedelta(days=r.choice((0, 0, 5)))) for i in range(300)] + [(300, None)]
+    reports, schedule = spark.createDataFrame(rows, "id int, ts timestamp"), spark.createDataFrame(plan_rows, "valid_from timestamp, ver int")
+    want = {i: max(((f, v) for f, v in plan_rows if t and f and v is not None and f <= t), default=(None, None))[1] for i, t in rows}
+    for got in (joint.asof_params(reports, schedule), joint.asof_params(reports, schedule, most=10), joint.asof_params(reports, schedule, most_days=3)):
+        assert {x.id: x.ver for x in got.collect()} == want
+    assert [x.ver for x in joint.asof_params(reports, schedule.limit(0)).collect()] == [None] * 301
 
 
 def test_versions_add_up(spark):
