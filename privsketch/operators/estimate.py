@@ -35,10 +35,11 @@ def frequencies(items: DataFrame, matrix: DataFrame, sp: SketchParams, n: int |
 
 
 def support_scan(items: DataFrame, reports: DataFrame, sp: SketchParams, mode: str | None = None, largest: int = 10_000) -> DataFrame:
-    """Support straight from reports, for a small domain (refused beyond ``largest`` items) and no matrix."""
-    if items.limit(largest + 1).count() > largest:
+    """Support straight from reports, for a small domain (refused beyond ``largest`` distinct items) and no matrix."""
+    names = items.select("item").distinct()
+    if names.limit(largest + 1).count() > largest:
         raise ValueError(f"the domain has more than {largest} items; build a matrix")
-    each = items.select("item").distinct().withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(sp.k)))).withColumn("c", cell(sp, F.col("j"), F.col("item"), mode))
+    each = names.withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(sp.k)))).withColumn("c", cell(sp, F.col("j"), F.col("item"), mode))
     hits = reports.join(F.broadcast(each), "j").filter(F.array_contains("x", F.col("c")))
     return each.select("item").distinct().join(hits.groupBy("item").agg(F.count("*").alias("support")), "item", "left").select("item", F.coalesce("support", F.lit(0)).cast("long").alias("support"))
 

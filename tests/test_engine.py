@@ -189,6 +189,14 @@ def test_support_scan_refuses_large_domains(spark, small):
         estimate.support_scan(words, words, replayed(8, 64, 5, 0.6), largest=100)
 
 
+def test_support_scan_counts_items_and_not_their_rows(spark):
+    sp = replayed(8, 64, 5, 0.6)
+    items = spark.range(150).select(F.col("id").alias("report_id"), (F.col("id") % 3).cast("string").alias("item"))
+    reports = randomize.subset_reports(items, sp)
+    got = dict(map(tuple, estimate.support_scan(items, reports, sp, largest=100).collect()))
+    assert got == dict(map(tuple, estimate.support(items, sketch.build(reports), sp).collect())) and len(got) == 3
+
+
 def test_the_rest_works_without_the_operator_folder(tmp_path):
     """The entry module imports and keeps its other queries when the subpackage and the pipeline are gone."""
     import shutil
