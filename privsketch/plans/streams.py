@@ -6,11 +6,10 @@ from pyspark.sql import functions as F
 
 from ..functions.theory import replayed
 from ..operators import discover, randomize, sketch
-from ..sources.tables import load
+from ..sources.tables import load, scratch
 from ..streaming import stream
 from .core import B_, R6, T_, _r6
 from .registry import h, items_sql, laplace_sql, matrix_sql, query, reports_sql
-from .relational import scratch
 
 _SP = replayed(2, 8, 2, 0.7, 42)
 

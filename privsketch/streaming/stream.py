@@ -12,15 +12,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.theory import SketchParams
+from ..sources.tables import scratch
 from ..sources.workers import ship
 from ..operators import discover, estimate, randomize, sketch
 
 
-def events(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
-    """``events`` as a file stream with proper timestamps."""
+def events(spark: SparkSession, sf_dir: str, files_per_trigger: int | None = None) -> DataFrame:
+    """``events`` as a file stream with proper timestamps. The files of a folder stand in no order of time, so a trigger takes all that
+    are there unless told otherwise."""
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
-    raw = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger)
+    raw = spark.readStream.schema(schema)
+    if files_per_trigger:
+        raw = raw.option("maxFilesPerTrigger", files_per_trigger)
     # a Parquet path that is one file is read through its folder
     source = raw.option("pathGlobFilter", "events.parquet").parquet(sf_dir) if not _is_folder(spark, path) else raw.parquet(path)
     return source.withColumn("ts", F.col("ts").cast("timestamp"))
@@ -32,18 +36,24 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
 
 
 def run_available(df: DataFrame, mode: str = "complete", on_batch: Callable | None = None) -> DataFrame:
-    """Process what is available, then stop; the memory sink's table is the result."""
+    """Process what is available, then stop, and return the result. Appended rows grow with the input: they go to files of the shared
+    folder and no driver holds them. A complete result is an aggregate, kept by the memory sink."""
     spark, name = df.sparkSession, f"stream_{uuid.uuid4().hex}"
     writer = df.writeStream.outputMode(mode).trigger(availableNow=True)
+    folder = scratch(spark, "stream")
     if on_batch:
         query = writer.foreachBatch(on_batch).start()
+    elif mode == "append":
+        query = writer.format("parquet").option("checkpointLocation", f"{folder}/checkpoint").start(f"{folder}/rows")
     else:
         query = writer.format("memory").queryName(name).start()
     try:
         query.awaitTermination()
     finally:
         query.stop()
-    return spark.table(name) if not on_batch else spark.range(0)
+    if on_batch:
+        return spark.range(0)
+    return spark.read.schema(df.schema).parquet(f"{folder}/rows") if mode == "append" else spark.table(name)
 
 
 def reports(df: DataFrame, sp: SketchParams, item: str = "event_type", report: str = "event_id", client: str = "user_id") -> DataFrame:

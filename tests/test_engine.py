@@ -337,3 +337,22 @@ def test_discovery_grows_with_budget(spark, medium):
 def test_subset_reports_beat_bit_vectors_at_equal_bits(spark, medium):
     rows = QUERIES["sweep_eps_equal_bits"](spark, medium).filter("f = 1000 and eps >= 2").collect()
     assert all(r["ours"] < r["classical"] for r in rows)
+
+
+@pytest.fixture(scope="session")
+def shuffled_events(spark, small, tmp_path_factory):
+    """``events`` as a folder of two files, the later half of the time first."""
+    top = tmp_path_factory.mktemp("shuffled")
+    rows = spark.read.parquet(f"{small}/events.parquet")
+    half = rows.selectExpr("percentile(cast(cast(ts as timestamp) as long), 0.5)").first()[0]
+    late = F.col("ts").cast("timestamp").cast("long") >= half
+    for part in (rows.filter(late), rows.filter(~late)):
+        part.coalesce(1).write.mode("append").parquet(f"{top}/events.parquet")
+    return str(top)
+
+
+def test_appended_streams_go_to_files_and_lose_no_row_of_a_folder(spark, small, shuffled_events):
+    got = QUERIES["stream_dedupe"](spark, shuffled_events)
+    assert got.inputFiles()
+    want = spark.read.parquet(f"{small}/events.parquet").select("event_id", "user_id")
+    assert got.count() == want.count() and got.exceptAll(want).count() == 0
