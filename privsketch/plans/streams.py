@@ -33,7 +33,7 @@ _KEPT = f"(SELECT event_id AS report_id, user_id AS client_id, event_type AS ite
 @query(f"SELECT CAST(j AS BIGINT) AS j, CAST(x AS BIGINT) AS x, cnt FROM {matrix_sql(_SP, _KEPT)}")
 def stream_session_cap(s, d):
     """Matrix of the reports that two events a session allow."""
-    kept = stream.run_available(stream.session_capped(stream.events(s, d), limit=2), "append")
+    kept = stream.session_capped(stream.events(s, d), limit=2)
     sent = randomize.subset_reports(kept.select(F.col("event_id").alias("report_id"), F.col("event_type").alias("item")), _SP)
     return sketch.build(sent).select(F.col("j").cast("long"), F.col("x").cast("long"), "cnt")
 

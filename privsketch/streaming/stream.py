@@ -8,7 +8,8 @@ from collections.abc import Callable, Iterator
 from dataclasses import replace
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.theory import SketchParams
@@ -74,25 +75,43 @@ def sliding_sketch(df: DataFrame, sp: SketchParams, length: str = "7 days", step
     return cells.select(F.to_date("w.start").alias("epoch"), "j", "x", "cnt")
 
 
-def session_capped(df: DataFrame, gap_seconds: int = 12 * 3600, limit: int = 5) -> DataFrame:
-    """The first ``limit`` events of each client session (``user_id, event_id, event_type``): what clients may report. The state is a
-    time and a number a client."""
-    ship(df.sparkSession)
+def session_cap_on_batch(folder: str, gap_seconds: int = 12 * 3600, limit: int = 5) -> Callable[[DataFrame, int], None]:
+    """A foreachBatch sink that keeps the first ``limit`` events of each client session (``user_id, event_id, event_type``), in order of
+    time and id: what clients may report. ``session_capped`` reads them. The state is a time and a number a client, one table a batch; a
+    batch that is tried again writes the same tables again."""
 
-    def work(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        last, used = state.get if state.exists else (float("-inf"), 0)
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
-        keep = []
-        for at in ((rows["ts"] - pd.Timestamp(0)) / pd.Timedelta(seconds=1)).tolist():
-            used = 1 if at - last >= gap_seconds else used + 1
-            last = at
-            keep.append(used <= limit)
-        state.update((last, used))
-        rows = rows[keep]
-        yield pd.DataFrame({c: rows[c].to_numpy() for c in ("user_id", "event_id", "event_type")})
-
-    own = df.select("user_id", "event_id", "event_type", "ts")
-    return own.groupBy("user_id").applyInPandasWithState(work, "user_id long, event_id long, event_type string", "last double, used long", "append", "NoTimeout")
+    def sink(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        at = f"{folder}/state/{{}}".format
+        before = spark.read.schema(_SESSION_STATE).parquet(at(number - 1)) if number else spark.createDataFrame([], _SESSION_STATE)
+        own = batch.select(F.col("user_id").cast("long"), F.col("event_id").cast("long"), F.col("event_type").cast("string"), "ts")
+        own = own.join(before.withColumnRenamed("user_id", "_user"), F.col("user_id").eqNullSafe(F.col("_user")), "left").drop("_user")
+        w = Window.partitionBy("user_id").orderBy(F.asc_nulls_last("ts"), F.asc_nulls_last("event_id"))
+        own = own.withColumn("rn", F.row_number().over(w))
+        earlier = F.when(F.col("rn") == 1, F.col("last")).otherwise(F.lag("ts").over(w))
+        own = own.withColumn("opens", F.coalesce(F.col("ts") >= earlier + F.expr(f"interval {int(gap_seconds)} seconds"), F.lit(True)))
+        # the rank where the row's session began; none: it goes on from an earlier batch, which used some of its places
+        first = F.last(F.when(F.col("opens"), F.col("rn")), ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, Window.currentRow))
+        place = F.coalesce(F.col("rn") - first + 1, F.col("rn") + F.col("used"))
+        marked = own.select("user_id", "event_id", "event_type", "ts", "rn", place.cast("long").alias("place")).persist(StorageLevel.DISK_ONLY)
+        marked.filter(F.col("place") <= limit).select("user_id", "event_id", "event_type").write.mode("overwrite").parquet(f"{folder}/rows/batch={number}")
+        after = marked.groupBy("user_id").agg(F.max_by("ts", "rn").alias("last"), F.max_by("place", "rn").alias("used"))
+        seen = after.select(F.col("user_id").alias("_user"))
+        rest = before.join(seen, F.col("user_id").eqNullSafe(F.col("_user")), "left_anti")
+        after.unionByName(rest).write.mode("overwrite").parquet(at(number))
+        marked.unpersist()
+
+    return sink
+
+
+_SESSION_STATE = "user_id long, last timestamp, used long"
+
+
+def session_capped(df: DataFrame, gap_seconds: int = 12 * 3600, limit: int = 5) -> DataFrame:
+    """Everything available through ``session_cap_on_batch``: ``user_id, event_id, event_type``."""
+    folder = scratch(df.sparkSession, "sessions")
+    run_available(df, "append", session_cap_on_batch(folder, gap_seconds, limit))
+    return df.sparkSession.read.schema("user_id long, event_id long, event_type string, batch int").parquet(f"{folder}/rows").drop("batch")
 
 
 def capped(df: DataFrame, limit: int) -> DataFrame:

@@ -356,3 +356,19 @@ def test_appended_streams_go_to_files_and_lose_no_row_of_a_folder(spark, small,
     assert got.inputFiles()
     want = spark.read.parquet(f"{small}/events.parquet").select("event_id", "user_id")
     assert got.count() == want.count() and got.exceptAll(want).count() == 0
+
+
+def test_sessions_do_not_depend_on_files_or_triggers(spark, small, shuffled_events, tmp_path):
+    from privsketch.streaming import stream
+
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW events AS SELECT * FROM read_parquet('{small}/events.parquet')")
+    got = sorted(map(tuple, QUERIES["stream_session_cap"](spark, shuffled_events).collect()))
+    assert got == sorted(con.sql(SQL["stream_session_cap"]).fetchall())
+    rows = spark.read.parquet(f"{small}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    cuts = ["2000-01-01", "2024-01-08", "2024-01-08 12:00:00", "2024-01-20", "2030-01-01"]
+    order = [rows.filter((F.col("ts") >= F.lit(a).cast("timestamp")) & (F.col("ts") < F.lit(b).cast("timestamp"))) for a, b in zip(cuts, cuts[1:], strict=False)]
+    each = stream.session_capped(stream.in_order(order, str(tmp_path / "in")), 3 * 86400, 2)
+    whole = stream.session_capped(stream.events(spark, small), 3 * 86400, 2)
+    assert each.columns == ["user_id", "event_id", "event_type"] and 0 < whole.count() < rows.count()
+    assert each.exceptAll(whole).count() == 0 and whole.exceptAll(each).count() == 0
