@@ -111,6 +111,13 @@ def stretched(column: pa.Array, seed: int, mode: str) -> Callable[[int], np.ndar
 
 def _arrow_reports(df: DataFrame, sp: SketchParams, keep: list[str], mode: str) -> DataFrame:
     ship(df.sparkSession)
+    rows, work = subset_worker(df, sp, keep, mode)
+    fields = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep)
+    return rows.mapInArrow(work, f"{fields}j int, x array<int>")
+
+
+def subset_worker(df: DataFrame, sp: SketchParams, keep: list[str], mode: str) -> tuple[DataFrame, Callable]:
+    """What the clients' tasks read, and the work that turns its batches into reports."""
     k, m, s, seed = sp.k, sp.m, sp.s, sp.seed
     bound = np.uint64(min(2**64 - 1, int(sp.p * 2**64)))
     family = sp.public()
@@ -127,8 +134,7 @@ def _arrow_reports(df: DataFrame, sp: SketchParams, keep: list[str], mode: str)
             cells = pa.ListArray.from_arrays(pa.array(np.arange(0, len(x) * s + 1, s, dtype=np.int32)), pa.array(x.ravel(), pa.int32()))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(j), cells], names=[*keep, "j", "x"])
 
-    fields = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep)
-    return rows.mapInArrow(work, f"{fields}j int, x array<int>")
+    return rows, work
 
 
 def arrow_cell(sp: SketchParams, j: np.ndarray, item_hash: np.ndarray) -> np.ndarray:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 import numpy as np
@@ -20,19 +21,23 @@ def build(reports: DataFrame, by: list[str] | None = None) -> DataFrame:
 
 def build_dense(reports: DataFrame, k: int, m: int) -> DataFrame:
     """Counts by NumPy inside every task, for matrices that fit a worker; then the same final sum."""
+    return collect_dense(reports.select("j", "x"), None, k, m)
 
-    ship(reports.sparkSession)
+
+def collect_dense(rows: DataFrame, client: Callable | None, k: int, m: int) -> DataFrame:
+    """The same with the clients' work (``rows`` to reports) in the same task, so that reports cross no process."""
+    ship(rows.sparkSession)
 
     def work(batches):
         total = np.zeros((k + 1) * (m + 1), np.int64)
-        for b in batches:
+        for b in client(batches) if client else batches:
             x = b.column("x")
             j = np.repeat(b.column("j").to_numpy(zero_copy_only=False), np.diff(x.offsets.to_numpy()))
             total += np.bincount(j.astype(np.int64) * (m + 1) + x.flatten().to_numpy(zero_copy_only=False), minlength=len(total))
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array((at // (m + 1)).astype(np.int32)), pa.array((at % (m + 1)).astype(np.int32)), pa.array(total[at])], names=["j", "x", "cnt"])
 
-    return reports.select("j", "x").mapInArrow(work, "j int, x int, cnt long").groupBy("j", "x").agg(F.sum("cnt").alias("cnt"))
+    return rows.mapInArrow(work, "j int, x int, cnt long").groupBy("j", "x").agg(F.sum("cnt").alias("cnt"))
 
 
 def merge(*matrices: DataFrame) -> DataFrame:

@@ -372,3 +372,22 @@ def test_sessions_do_not_depend_on_files_or_triggers(spark, small, shuffled_even
     whole = stream.session_capped(stream.events(spark, small), 3 * 86400, 2)
     assert each.columns == ["user_id", "event_id", "event_type"] and 0 < whole.count() < rows.count()
     assert each.exceptAll(whole).count() == 0 and whole.exceptAll(each).count() == 0
+
+
+def test_bands_cost_one_digest_a_line(spark, small):
+    """The null filter must not repeat the digests of the ladder."""
+    assert plan(item_frame(spark, small, "band16").select("item")).count("md5") == 1
+
+
+@pytest.mark.parametrize("key", ["subset", "classical"])
+def test_reports_counted_where_they_are_drawn_are_the_same_reports(spark, small, key):
+    from privsketch.operators import oracles
+
+    items = item_frame(spark, small, "band16")
+    sp = SketchParams(16, 32, 5, 0.6, secret="x")
+    if key == "subset":
+        apart, fused = randomize.subset_reports(items, sp, engine="arrow"), randomize.subset_worker(items, sp, [], sp.mode)
+    else:
+        apart = oracles.classical_reports(items, 16, 32, 3.0, engine="arrow", secret="x")
+        fused = oracles.classical_worker(items, *oracles.classical_params(16, 32, 3.0, secret="x"))
+    assert sorted(sketch.build(apart).collect()) == sorted(sketch.collect_dense(*fused, 16, 32).collect())
