@@ -391,3 +391,13 @@ def test_reports_counted_where_they_are_drawn_are_the_same_reports(spark, small,
         apart = oracles.classical_reports(items, 16, 32, 3.0, engine="arrow", secret="x")
         fused = oracles.classical_worker(items, *oracles.classical_params(16, 32, 3.0, secret="x"))
     assert sorted(sketch.build(apart).collect()) == sorted(sketch.collect_dense(*fused, 16, 32).collect())
+
+
+#: Closed forms whose totals and targets come from the events.
+FROM_EVENTS = ["amplification"]
+
+
+@pytest.mark.parametrize("key", FROM_EVENTS)
+def test_closed_forms_read_the_events(spark, small, key):
+    got = QUERIES[key](spark, small)
+    assert [f.rsplit("/", 1)[-1] for f in got.inputFiles()] == ["events.parquet"] and got.count()
