@@ -394,7 +394,7 @@ def test_reports_counted_where_they_are_drawn_are_the_same_reports(spark, small,
 
 
 #: Closed forms whose totals and targets come from the events.
-FROM_EVENTS = ["amplification", "best_variance_by_target", "best_variance_with_collisions", "budget_split"]
+FROM_EVENTS = ["amplification", "best_variance_by_target", "best_variance_with_collisions", "budget_split", "capacity_plan"]
 
 
 @pytest.mark.parametrize("key", FROM_EVENTS)
