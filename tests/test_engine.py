@@ -394,7 +394,7 @@ def test_reports_counted_where_they_are_drawn_are_the_same_reports(spark, small,
 
 
 #: Closed forms whose totals and targets come from the events.
-FROM_EVENTS = ["amplification", "best_variance_by_target", "best_variance_with_collisions", "budget_split", "capacity_plan", "comm_bits", "comm_sweep", "discovery_calibration", "eps_enumeration", "math_closed_forms"]
+FROM_EVENTS = ["amplification", "best_variance_by_target", "best_variance_with_collisions", "budget_split", "capacity_plan", "comm_bits", "comm_sweep", "discovery_calibration", "eps_enumeration", "math_closed_forms", "opt_p_by_eps"]
 
 
 @pytest.mark.parametrize("key", FROM_EVENTS)
