@@ -3,11 +3,13 @@
 Vectors are compared by cosine in double precision; on unit vectors the threshold is a chord length. Equal vectors are one class with
 a count. Classes of one length go to the nearest of some pivots (the top net, about one pivot a block of data, from a bounded sample);
 each pivot's cell is split by hash into blocks of a bounded number of rows, and pairs of cells further apart than their radii and
-the threshold allow are never formed. For every remaining pair of blocks one task builds a cover tree of each: nested nets whose radii
-halve from level to level, every row in the subtree of the first net point that covers it, every node with the true radius of its rows.
-Both trees are walked at once. Children of two nodes are compared in one matrix product; pairs too far apart for their radii
-are dropped, pairs wholly within the threshold are counted as they are, the others are entered, and single rows are decided
-there (unordered pairs of one tree once). A task returns each class's number of links and a spanning forest, never its pairs.
+the threshold allow are never formed. A cover tree of each block is built once and travels with it: nested nets whose radii halve
+from level to level, every row in the subtree of the first net point that covers it, every node with the true radius of its rows. Tasks
+get pairs of groups of blocks and walk both trees of every pair of blocks at once. Children of two nodes are compared in one matrix
+product; pairs too far apart for their radii are dropped, pairs wholly within the threshold are counted as they are, the others are
+entered, and single rows are decided there (unordered pairs of one tree once). Where nets spare nothing, as small nodes are too wide or
+rows lie alone, rows are compared by their heads first, a few coordinates whose product bounds the cosine from above, and in full only if
+that bound reaches the threshold. Tasks return each class's number of links and a spanning forest, never its pairs.
 
 Exact search over data without clusters compares all blocks: the work is quadratic there, the memory is not.
 
@@ -19,6 +21,9 @@ table gives an empty result. Columns other than ``vec_id`` and ``embedding`` are
 
 from __future__ import annotations
 
+import pickle
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -26,11 +31,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import graph
-from ._util import keep, min_labels, ship
+from ._util import drop, keep, min_labels, ship, width
 
 THRESHOLD, PIVOTS, SAMPLE, BLOCK, LEAF = 0.95, 1024, 16_384, 8192, 32
-#: Room for rounding: of lengths in bounds, and of cosines that are looked at again from the vectors as given.
-SLACK, UNSURE = 1e-7, 1e-9
+#: Room for rounding: of lengths in bounds, of cosines that are looked at again from the vectors as given, and of heads' products.
+SLACK, UNSURE, ROUGH = 1e-7, 1e-9, 1e-5
+#: Bytes of the blocks of one side that a task compares with those of another.
+TILE = 32 << 20
+#: Coordinates of a head besides an eighth of the vector's; nodes of so many rows or fewer are compared row by row.
+HEAD, FEW = 8, 4
 
 
 def chord(cosine: float) -> float:
@@ -43,12 +52,26 @@ def unit(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return scaled, scaled / np.linalg.norm(scaled, axis=1, keepdims=True)
 
 
+@lru_cache(maxsize=64)
+def axes(dim: int) -> np.ndarray:
+    """Some orthonormal directions, the same for every block of a length; none where they would not spare work."""
+    k = HEAD + dim // 8 - 1
+    return np.linalg.qr(np.random.default_rng(dim).normal(size=(dim, k)))[0] if 2 * k <= dim else np.zeros((dim, 0))
+
+
+def heads(u: np.ndarray) -> np.ndarray:
+    """Unit rows in few single-precision coordinates: those along ``axes`` and the length of what is left. Products of heads are never
+    below the cosine (but for rounding, see ``ROUGH``), as what is left of two rows has at most the product of its lengths."""
+    h = u @ axes(u.shape[1])
+    return np.c_[h, np.sqrt(np.maximum(0.0, 1 - np.einsum("ij,ij->i", h, h)))].astype(np.float32) if h.shape[1] else np.zeros((len(u), 0), np.float32)
+
+
 class CoverTree:
     """Nested nets over unit rows ``x`` as flat arrays by node: centre row, covering radius, number of rows, children. Below ``leaf``
     rows a node's children are its rows; ``rows_of`` lists a node's rows; ``depth`` is the number of levels."""
 
     def __init__(self, x: np.ndarray, leaf: int = LEAF):
-        self.x, self.leaf, self.depth = x, leaf, 0
+        self.x, self.narrow, self.leaf, self.depth = x, x.astype(np.float32), leaf, 0
         self._made: list[tuple[int, float, int, int]] = []
         self._kids: list[list[int]] = []
         self._order: list[int] = []
@@ -62,6 +85,18 @@ class CoverTree:
         self.kids = np.array([k for some in self._kids for k in some], np.int64)
         self._order = np.array(self._order, np.int64)
 
+    def pack(self) -> tuple:
+        """The tree without its rows' coordinates."""
+        return self.leaf, self.depth, self.radius, *(a.astype(np.int32) for a in (self.centre, self.size, self._first, self.kid_count, self.kids, self._order))
+
+    @classmethod
+    def unpack(cls, packed: tuple) -> CoverTree:
+        tree = cls.__new__(cls)
+        tree.leaf, tree.depth, tree.radius, *rest = packed
+        tree.centre, tree.size, tree._first, tree.kid_count, tree.kids, tree._order = (a.astype(np.int64) for a in rest)
+        tree.kid_first = np.cumsum(tree.kid_count) - tree.kid_count
+        return tree
+
     def rows_of(self, node: int) -> np.ndarray:
         return self._order[self._first[node] : self._first[node] + self.size[node]]
 
@@ -70,6 +105,14 @@ class CoverTree:
         n = self.kid_count[node]
         return self.kids[self.kid_first[node] : self.kid_first[node] + n] if n else np.array([node])
 
+    def opened(self, node: int, wide: float) -> np.ndarray:
+        """Children of a node, with the rows of those that hold few, or at most ``leaf`` within more than ``wide``, in their place."""
+        a = self.parts(node)
+        size = self.size[a]
+        apart = (size > 1) & (size <= self.leaf) & ((size <= FEW) | (self.radius[a] > wide))
+        n = self.kid_count[a[apart]]  # a node of at most ``leaf`` rows has them as its children
+        return np.r_[a[~apart], self.kids[np.repeat(self.kid_first[a[apart]] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]]
+
     def _add(self, centre: int, radius: float, size: int) -> int:
         self._made.append((centre, radius, size, len(self._order)))
         self._kids.append([])
@@ -94,47 +137,62 @@ class CoverTree:
         owner = self.net(centre, rows, scale)
         order = np.argsort(owner, kind="stable")
         names, head = np.unique(owner[order], return_index=True)
-        self._kids[node] = [self._node(int(c), some, scale, level + 1) for c, some in zip(names, np.split(rows[order], head[1:]), strict=True)]
+        self._kids[node] = [self._node(int(c), some, scale / 2, level + 1) for c, some in zip(names, np.split(rows[order], head[1:]), strict=True)]
         return node
 
     def net(self, centre: int, rows: np.ndarray, step: float, block: int = 256) -> np.ndarray:
         """For each row the net point that covers it within ``step``; net points lie further apart than that. The parent's centre is
         one; rows are met a block at a time, first against the points so far, then among themselves."""
-        near = 1 - step * step / 2
-        points, owner = [centre], np.empty(len(rows), np.int64)
+        near, all_x = 1 - step * step / 2, self.narrow if step > 0.01 else self.x  # radii are taken from ``x`` whatever covers
+        points, owner, many = np.full(len(rows) + 1, centre), np.empty(len(rows), np.int64), 1
+        x = all_x[rows]
+        net = np.empty((len(rows) + 1, x.shape[1]), x.dtype)
+        net[0] = all_x[centre]
         for at in range(0, len(rows), block):
-            some = rows[at : at + block]
-            cos = self.x[some] @ self.x[points].T
+            some, these = rows[at : at + block], x[at : at + block]
+            cos = these @ net[:many].T
             best = cos.argmax(1)
-            own = np.where(cos[np.arange(len(some)), best] >= near, np.array(points)[best], -1)
+            own = np.where(cos[np.arange(len(some)), best] >= near, points[best], -1)
             left = np.flatnonzero(own < 0)
             if len(left):
-                covers = self.x[some[left]] @ self.x[some[left]].T >= near
+                new = these[left]
+                covers = new @ new.T >= near
+                covers |= covers.T
+                np.fill_diagonal(covers, True)
                 free = np.ones(len(left), bool)
-                for i in range(len(left)):
+                for i in np.flatnonzero(covers.sum(1) > 1).tolist():
                     if free[i]:
-                        covers[i, i] = True
                         new = covers[i] & free
                         own[left[new]] = some[left[i]]
                         free &= ~new
-                        points.append(int(some[left[i]]))
+                        free[i] = True
+                chosen = left[free]
+                own[chosen] = some[chosen]
+                points[many : many + len(chosen)] = some[chosen]
+                net[many : many + len(chosen)] = these[chosen]
+                many += len(chosen)
             owner[at : at + block] = own
         return owner
 
 
 class Links:
     """What a dual traversal finds: weighted degrees of both sides, component labels over ``x`` then ``y`` rows, and the number of
-    distances it took."""
+    distances it took, of heads or whole rows, and of whole rows. ``trees``: those of both sides, if they are there."""
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, mx: np.ndarray, my: np.ndarray, threshold: float, same: bool):
-        (self.x, self.ux), (self.y, self.uy) = unit(x), unit(y)
+    def __init__(self, x: np.ndarray, y: np.ndarray, mx: np.ndarray, my: np.ndarray, threshold: float, same: bool, trees: tuple[CoverTree, CoverTree] | None = None):
+        self.x, self.ux = unit(x)
+        self.y, self.uy = (self.x, self.ux) if same else unit(y)
         self.mx, self.my, self.threshold, self.same, self.reach = mx, my, threshold, same, chord(threshold)
         self.dx, self.dy = np.zeros(len(x), np.int64), np.zeros(len(y), np.int64)
         self.shift = 0 if same else len(x)
         self.label = np.arange(self.shift + len(y))
-        self.edges, self.waiting, self.distances = [], 0, 0
-        tx = CoverTree(self.ux)
-        self.trees = (tx, tx if same else CoverTree(self.uy))
+        self.edges, self.waiting, self.distances, self.whole = [], 0, 0, 0
+        self.hx = heads(self.ux)
+        self.hy = self.hx if same else heads(self.uy)
+        if trees is None:
+            tx = CoverTree(self.ux)
+            trees = tx, tx if same else CoverTree(self.uy)
+        self.trees = trees
         self.walk()
         self._join()
 
@@ -190,9 +248,7 @@ class Links:
                     rows = tx.rows_of(p)
                     self.every(rows, rows, True)
                 else:
-                    self.product(p, p, True)
-                    kids = tx.parts(p)
-                    own += kids[tx.size[kids] > 1].tolist()
+                    own += self.product(p, p, True).tolist()
                 continue
             a, b = self.todo.pop()
             ka, kb = tx.kid_count[a], ty.kid_count[b]
@@ -215,34 +271,66 @@ class Links:
             tx, ty = self.trees
             cos = np.einsum("ij,ij->i", self.ux[tx.centre[a]], self.uy[ty.centre[b]])
             self.distances += len(cos)
+            self.whole += len(cos)
             live = 2 - 2 * cos <= (self.reach + SLACK + tx.radius[a] + ty.radius[b]) ** 2
             self.settle(a[live], b[live], cos[live])
 
-    def product(self, p: int, q: int, one: bool) -> None:
-        """All children of ``p`` against all of ``q``, single rows apart from the others; of one node every unordered pair once."""
+    def product(self, p: int, q: int, one: bool) -> np.ndarray:
+        """All children of ``p`` against all of ``q``, single rows apart from the others; of one node every unordered pair once.
+        Returns the children of ``p`` that were not taken row by row."""
         tx, ty = self.trees
-        a = tx.parts(p)
+        a = tx.opened(p, self.reach / 2)
         single, many = a[tx.size[a] == 1], a[tx.size[a] > 1]
         if one:
-            sides = ((single, single, True), (single, many, False), (many, many, True))
+            self.rows(single, single, True)
+            sides = ((single, many, False), (many, many, True))
         else:
-            b = ty.parts(q)
+            b = ty.opened(q, self.reach / 2)
             alone, more = b[ty.size[b] == 1], b[ty.size[b] > 1]
-            sides = ((single, alone, False), (single, more, False), (many, alone, False), (many, more, False))
+            self.rows(single, alone, False)
+            sides = ((single, more, False), (many, alone, False), (many, more, False))
         for x, y, over in sides:
             if len(x) and len(y):
                 self.matrix(x, y, over)
+        return many
+
+    def rows(self, a: np.ndarray, b: np.ndarray, over: bool, tall: int = 256, broad: int = 2048) -> None:
+        """Single rows against single rows: heads first, whole rows for the pairs that these leave; whole rows at once where heads
+        leave many. ``over``: only pairs above the diagonal."""
+        i, j = self.trees[0].centre[a], self.trees[1].centre[b]
+        hx, hy = self.hx[i], self.hy[j]
+        least = np.float32(self.threshold - ROUGH)
+        poor = not hx.shape[1]
+        for s in range(0, len(i), tall):
+            for t in range(s if over else 0, len(j), broad):
+                si, tj = i[s : s + tall], j[t : t + broad]
+                self.distances += len(si) * len(tj)
+                if not poor:
+                    at = np.flatnonzero(hx[s : s + tall] @ hy[t : t + broad].T >= least)
+                    poor = 16 * len(at) > len(si) * len(tj)
+                self.whole += len(si) * len(tj) if poor else len(at)
+                if poor:
+                    cos = (self.ux[si] @ self.uy[tj].T).ravel()
+                    at = np.flatnonzero(cos >= self.threshold - UNSURE)
+                    cos = cos[at]
+                f, g = np.divmod(at, len(tj))
+                if over:
+                    above = s + f < t + g
+                    f, g = f[above], g[above]
+                    cos = cos[above] if poor else None
+                if len(f):
+                    self.decide(si[f], tj[g], cos if poor else np.einsum("ij,ij->i", self.ux[si[f]], self.uy[tj[g]]))
 
     def matrix(self, a: np.ndarray, b: np.ndarray, over: bool) -> None:
         """Nodes against nodes; ``over``: only pairs above the diagonal."""
         tx, ty = self.trees
         ca, cb, ra, rb = tx.centre[a], ty.centre[b], tx.radius[a] + (self.reach + SLACK), ty.radius[b]
-        flat = not tx.radius[a].any() and not rb.any()
         for s in range(0, len(a), 256):
             f = s if over else 0
             cos = self.ux[ca[s : s + 256]] @ self.uy[cb[f:]].T
             self.distances += cos.size
-            i, j = np.nonzero(cos >= 1 - ra[0] ** 2 / 2 if flat else 2 - 2 * cos <= (ra[s : s + 256, None] + rb[None, f:]) ** 2)
+            self.whole += cos.size
+            i, j = np.nonzero(2 - 2 * cos <= (ra[s : s + 256, None] + rb[None, f:]) ** 2)
             c = cos[i, j]
             i, j = i + s, j + f
             if over:
@@ -273,10 +361,30 @@ def _pieces(edge: np.ndarray, most: int) -> tuple[list[int], list[int]]:
     return [0, *cut[:-1]], cut
 
 
-def compare(x: np.ndarray, y: np.ndarray, mx: np.ndarray, my: np.ndarray, threshold: float, same: bool):
-    """Links between two blocks of rows: weighted degrees of both sides, and component labels over ``x`` then ``y`` rows."""
-    found = Links(x, y, mx, my, threshold, same)
-    return found.dx, found.dy, found.label
+class Block:
+    """Classes of one block: their keys, counts, vectors and the tree over them, which is built once and travels with the keys."""
+
+    def __init__(self, keys: list[bytes], m: np.ndarray, tree: CoverTree | None = None):
+        self.keys, self.m, self.x = keys, m, matrix(keys)
+        self.tree = tree or CoverTree(unit(self.x)[1])
+
+    def pack(self) -> bytes:
+        return pickle.dumps((b"".join(self.keys), np.fromiter(map(len, self.keys), np.int64, len(self.keys)), self.m, self.tree.pack()), 5)
+
+    @classmethod
+    def unpack(cls, body: bytes) -> Block:
+        flat, sizes, m, tree = pickle.loads(body)
+        ends = np.cumsum(sizes)
+        return cls([flat[lo:hi] for lo, hi in zip((ends - sizes).tolist(), ends.tolist(), strict=True)], m, CoverTree.unpack(tree))
+
+    def links(self, other: Block, threshold: float) -> dict[str, pa.Array]:
+        """Links to another block, or of this one: rows ``a, n`` (links of a class) and ``a, b`` (forest)."""
+        same = self is other
+        found = Links(self.x, other.x, self.m, other.m, threshold, same, (self.tree, other.tree))
+        n, keys = (found.dx + found.dy, self.keys) if same else (np.r_[found.dx, found.dy], self.keys + other.keys)
+        a = [keys[i] for i in np.flatnonzero(n).tolist()]
+        way = np.flatnonzero(found.label != np.arange(len(keys))).tolist()
+        return {"a": pa.array(a + [keys[i] for i in way], pa.binary()), "b": pa.array([None] * len(a) + [keys[found.label[i]] for i in way], pa.binary()), "n": pa.array(n[n > 0].tolist() + [None] * len(way), pa.int64())}
 
 
 def prepare(vectors: DataFrame) -> DataFrame:
@@ -320,7 +428,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, block: int
     spark = ship(vectors.sparkSession)
     rows = keep(prepare(vectors), "vectors")
     classes = keep(rows.filter("key is not null").groupBy("key").agg(F.min("vec_id").alias("first"), F.count("*").alias("m"), F.min("dim").alias("dim")).withColumn("cls", F.xxhash64("key")), "classes")
-    found = keep(_links(spark, classes, threshold, block), "links")
+    found = _links(spark, classes, threshold, block)
     degree = found.filter("n is not null").groupBy(F.col("a").alias("key")).agg(F.sum("n").alias("n"))
     root = graph.components(found.filter("b is not null").select("a", "b")).select(F.col("node").alias("key"), "root")
     own = classes.select("key", "first", "m").join(degree, "key", "left").join(root, "key", "left").select("key", "first", (F.col("m") - 1 + F.coalesce("n", F.lit(0))).alias("n_links"), F.coalesce("root", "key").alias("root"))
@@ -360,11 +468,16 @@ def _links(spark, classes: DataFrame, threshold: float, block: int) -> DataFrame
             yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("m"), batch.column("cls"), pa.array(dim), pa.array(cell), pa.array(away)], names=["key", "m", "cls", "dim", "cell", "away"])
 
     placed = keep(classes.select("key", "m", "cls", "dim").mapInArrow(assign, "key binary, m long, cls long, dim int, cell int, away double"), "cells")
-    cells = {(r[0], r[1]): (r[2], r[3]) for r in placed.groupBy("dim", "cell").agg(F.count("*"), F.max("away")).collect()}
+    cells, weight = {}, 0
+    for r in placed.groupBy("dim", "cell").agg(F.count("*"), F.max("away"), F.sum(F.length("key"))).collect():
+        cells[r[0], r[1]] = r[2], r[3]
+        weight += r[4] + 40 * r[2]
     split = {c: max(1, -(-n // block)) for c, (n, _) in cells.items()}
     base, total = {}, 0
     for c in sorted(cells):
         base[c], total = total, total + split[c]
+    # a block is sent once to each group of blocks: as few groups as their bytes and the session's parallelism allow
+    tiles = min(total, max(-(-weight // TILE), int((4 * width(spark)) ** 0.5) + 1))
     by_dim: dict[int, list] = {}
     for c in cells:
         by_dim.setdefault(c[0], []).append(c)
@@ -377,51 +490,58 @@ def _links(spark, classes: DataFrame, threshold: float, block: int) -> DataFrame
 
     meets = {c: [d for d in by_dim[c[0]] if may_meet(c, d)] for c in cells}
 
-    def spread(batches):
-        held: dict[int, list] = {}
+    def gather(batches):
+        held: dict[int, tuple[list, list]] = {}
 
         def flush():
-            for (cell, b), got in held.items():
-                ids, ms = [k for k, _ in got], np.array([m for _, m in got], np.int64).tobytes()
-                partners = [base[d] + s for d in meets[cell] for s in range(split[d])]
-                for other in partners:
-                    yield pa.RecordBatch.from_arrays([pa.array([min(b, other) * total + max(b, other)], pa.int64()), pa.array([b], pa.int64()), pa.array([ids], pa.list_(pa.binary())), pa.array([ms], pa.binary())], names=["pair", "side", "ids", "ms"])
+            for unit_, (ids, ms) in held.items():
+                yield pa.RecordBatch.from_arrays([pa.array([unit_], pa.int64()), pa.array([ids], pa.list_(pa.binary())), pa.array([np.array(ms, np.int64).tobytes()], pa.binary())], names=["unit", "ids", "ms"])
             held.clear()
 
         size = 0
         for batch in batches:
             for key, m, cls, dim, cell in zip(*(batch.column(c).to_pylist() for c in ("key", "m", "cls", "dim", "cell")), strict=True):
                 cell = dim, cell
-                held.setdefault((cell, base[cell] + cls % split[cell]), []).append((key, m))
+                ids, ms = held.setdefault(base[cell] + cls % split[cell], ([], []))
+                ids.append(key)
+                ms.append(m)
             size += batch.num_rows
             if size >= 4 * block:
                 yield from flush()
                 size = 0
         yield from flush()
 
-    def meet(table: pa.Table) -> pa.Table:
-        pair = table.column("pair")[0].as_py()
-        sides: dict[int, tuple[list, list]] = {}
-        for side, ids, ms in zip(table.column("side").to_pylist(), table.column("ids").to_pylist(), table.column("ms").to_pylist(), strict=True):
-            got = sides.setdefault(side, ([], []))
-            got[0].extend(map(bytes, ids))
-            got[1].append(np.frombuffer(ms, np.int64))
-        low, high = divmod(pair, total)
-        empty = {"a": pa.array([], pa.binary()), "b": pa.array([], pa.binary()), "n": pa.array([], pa.int64())}
-        if low not in sides or high not in sides:
-            return pa.table(empty)
-        (ka, ma), (kb, mb) = sides[low], sides[high]
-        same = low == high
-        ma, mb = np.concatenate(ma), np.concatenate(mb)
-        x = matrix(ka)
-        y = x if same else matrix(kb)
-        dx, dy, label = compare(x, y, ma, mb, threshold, same)
-        if same:
-            dx, keys = dx + dy, ka
-        else:
-            dx, keys = np.r_[dx, dy], ka + kb
-        a = [keys[i] for i in np.flatnonzero(dx).tolist()]
-        way = np.flatnonzero(label[: len(keys)] != np.arange(len(keys))).tolist()
-        return pa.table({"a": pa.array(a + [keys[i] for i in way], pa.binary()), "b": pa.array([None] * len(a) + [keys[label[i]] for i in way], pa.binary()), "n": pa.array(dx[dx > 0].tolist() + [None] * len(way), pa.int64())})
+    def build(table: pa.Table) -> pa.Table:
+        made = Block([k for ids in table.column("ids").to_pylist() for k in ids], np.concatenate([np.frombuffer(ms, np.int64) for ms in table.column("ms").to_pylist()]))
+        own = made.links(made, threshold)
+        n = len(own["a"])
+        return pa.table({k: pa.concat_arrays([v, pa.nulls(1, v.type)]) for k, v in own.items()} | {"unit": pa.array([None] * n + [table.column("unit")[0].as_py()], pa.int64()), "body": pa.array([None] * n + [made.pack()], pa.binary())})
+
+    def send(batches):
+        for batch in batches:
+            for i, b in enumerate(batch.column("unit").to_pylist()):
+                cell, mine = owner[b], b % tiles
+                for other in sorted({(base[d] + s) % tiles for d in meets[cell] for s in range(split[d]) if base[d] + s != b}):
+                    yield pa.RecordBatch.from_arrays([pa.array([min(mine, other) * tiles + max(mine, other)], pa.int64()), *(batch.column(c).slice(i, 1) for c in ("unit", "body"))], names=["tile", "unit", "body"])
 
-    return placed.mapInArrow(spread, "pair long, side long, ids array<binary>, ms binary").groupBy("pair").applyInArrow(meet, "a binary, b binary, n long")
+    def meet(table: pa.Table) -> pa.Table:
+        left, right = divmod(table.column("tile")[0].as_py(), tiles)
+        bodies = dict(zip(table.column("unit").to_pylist(), table.column("body"), strict=True))
+        out = [pa.table({"a": pa.array([], pa.binary()), "b": pa.array([], pa.binary()), "n": pa.array([], pa.int64())})]
+        for u in sorted(bodies):
+            if u % tiles == left:
+                others = [v for v in sorted(bodies) if v % tiles == right and (left < right or u < v) and owner[v] in meets[owner[u]]]
+                one = Block.unpack(bodies[u].as_py()) if others else None
+                out += [pa.table(one.links(Block.unpack(bodies[v].as_py()), threshold)) for v in others]
+        return pa.concat_tables(out).combine_chunks()
+
+    owner = {base[c] + s: c for c in cells for s in range(split[c])}
+    blocks = keep(placed.mapInArrow(gather, "unit long, ids array<binary>, ms binary").groupBy("unit").applyInArrow(build, "a binary, b binary, n long, unit long, body binary"), "blocks")
+    found = blocks.filter("unit is null").select("a", "b", "n")
+    if total > 1:
+        made = blocks.filter("unit is not null").select("unit", "body")
+        pairs = made.mapInArrow(send, "tile long, unit long, body binary")
+        found = keep(found.unionByName(pairs.groupBy("tile").applyInArrow(meet, "a binary, b binary, n long")), "links")
+        drop(blocks)
+    drop(placed)
+    return found

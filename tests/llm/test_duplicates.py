@@ -162,6 +162,70 @@ def test_given_vectors_branch(spark):
     assert (found.dx + found.dy == brute_degrees(x, np.ones(len(x), int), 0.95)).all()
 
 
+def test_lone_rows_are_compared_by_their_heads(spark):
+    """Near-orthogonal rows: whole rows are multiplied for few pairs only; the others are settled by a bound that is never below the cosine."""
+    rows = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet").select("embedding").distinct().collect()
+    x = np.array([r[0] for r in rows], float)
+    one = np.ones(1000, int)
+    found = embedding_cover.Links(x[:1000], x[1000:], one, one, 0.95, False)
+    assert found.distances >= 1000 * 1000 and found.whole < 0.2 * found.distances
+    rng = np.random.default_rng(1)
+    for y in (x, rng.normal(size=(500, 40)) + 3, np.repeat(rng.normal(size=(10, 300)), 50, axis=0) + 0.1 * rng.normal(size=(500, 300))):
+        u = embedding_cover.unit(y)[1]
+        h = embedding_cover.heads(u)
+        assert 2 * h.shape[1] <= u.shape[1] + 2 and (h @ h.T >= u @ u.T - embedding_cover.ROUGH).all()
+
+
+@pytest.mark.parametrize("dim", [1, 3, 15, 16, 40])
+@pytest.mark.parametrize("threshold", [0.2, 0.8, 0.95, 0.9999])
+def test_blocks_travel_with_their_trees(dim, threshold):
+    """Links of packed blocks, of few and many coordinates, from lone rows to groups of copies that hardly differ."""
+    rng = np.random.default_rng(dim)
+    x = np.repeat(rng.normal(size=(30, dim)), 20, axis=0) + rng.choice([0, 1e-7, 0.004, 0.1, 2], (600, 1)) * rng.normal(size=(600, dim))
+    keys = list(dict.fromkeys(b"4" + r.astype(np.float32).tobytes() if i % 2 else b"8" + r.tobytes() for i, r in enumerate(x)))
+    x, size = embedding_cover.matrix(keys), len(keys)
+    m = rng.integers(1, 4, size)
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    cos = u @ u.T
+    assert not (np.abs(cos - threshold) < 1e-12).any()  # nothing is left to rounding
+    a, b = (embedding_cover.Block.unpack(embedding_cover.Block(keys[s], m[s]).pack()) for s in (slice(0, 250), slice(250, size)))
+    want = (cos >= threshold) & ~np.eye(size, dtype=bool)
+    got, forest = {}, []
+    for one, other in ((a, a), (b, b), (a, b)):
+        for p, q, n in zip(*(v.to_pylist() for v in one.links(other, threshold).values()), strict=True):
+            if q is None:
+                got[p] = got.get(p, 0) + n
+            else:
+                forest.append((p, q))
+    degree = want @ m
+    place = {k: i for i, k in enumerate(keys)}
+    assert [got.get(k, 0) for k in keys] == degree.tolist()
+    ends = [np.array([place[e[i]] for e in forest], int) for i in (0, 1)]
+    assert (min_labels(size, *ends) == min_labels(size, *np.nonzero(want))).all()
+
+
+def test_rows_exactly_a_net_radius_apart():
+    """Rows at chord 1 from the centre are all covered by it: the next net must be finer."""
+    x = np.zeros((41, 121))
+    x[:, 0] = 1
+    for i in range(40):
+        x[1 + i, 1 + 3 * i : 4 + 3 * i] = 1
+    tree = embedding_cover.CoverTree(embedding_cover.unit(x)[1])
+    assert sorted(tree.rows_of(0).tolist()) == list(range(41)) and tree.depth > 1
+
+
+def test_blocks_in_groups_lose_no_link(spark, monkeypatch):
+    """Many blocks in few groups: every pair of blocks is met once, and a block is sent once to a group."""
+    monkeypatch.setattr(embedding_cover, "width", lambda _: 2)
+    rng = np.random.default_rng(4)
+    x = np.repeat(rng.normal(size=(60, 32)), 10, axis=0) + 0.04 * rng.normal(size=(600, 32))
+    got = {r.vec_id: r for r in embedding_cover.near_duplicates(spark.createDataFrame(list(enumerate(x.tolist())), "vec_id long, embedding array<double>"), 0.95, 40).collect()}
+    want = brute_degrees(x, np.ones(600, int), 0.95)
+    assert want.sum() > 600 and [got[i].n_links for i in range(600)] == want.tolist()
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    assert [got[i].component_id for i in range(600)] == min_labels(600, *np.nonzero(u @ u.T >= 0.95)).tolist()
+
+
 def test_many_vector_lengths_and_extreme_norms(spark):
     rows = [(3 * n + k, [float(k == 2)] + [1.0] * n) for n in range(1, 140) for k in range(3)]
     rows += [(1000, [1e200, 1e200]), (1001, [1e-200, 1.1e-200]), (1002, [3e-310, -1e-310])]
